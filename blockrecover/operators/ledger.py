@@ -61,8 +61,9 @@ def build(image: DataFrame, *, size: int, zero: str = "0", dedup: bool = True) -
     return out.select("pos", F.lit(False).alias("covered"), (n > 1).alias("dup"), ((n > 1) & (e == F.col("pos"))).alias("exemplar"), "zero", e.alias("exemplar_pos"), n.cast("long").alias("refcount"))
 
 
-def state(covered: Column = F.col("covered"), dup: Column = F.col("dup"), exemplar: Column = F.col("exemplar")) -> Column:
+def state(covered: str = "covered", dup: str = "dup", exemplar: str = "exemplar") -> Column:
     """Name of the flag combination; an exemplar that is no duplicate is an error."""
+    covered, dup, exemplar = F.col(covered), F.col(dup), F.col(exemplar)
     legal = F.when(dup & exemplar, "exemplar").when(dup, "duplicate").when(~exemplar, "unique").otherwise(F.raise_error(F.lit("exemplar without duplicates")))
     return F.concat(F.when(covered, "covered ").otherwise("free "), legal)
 
