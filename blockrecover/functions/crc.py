@@ -75,7 +75,7 @@ def required(target: int, prefix: int, block: int, suffix: int, suffix_length: i
 def _product(columns: tuple[int, ...], value: Column) -> Column:
     table = F.array(*[F.lit(x).cast("long") for x in columns])
     picked = F.zip_with(table, F.sequence(F.lit(0), F.lit(31)), lambda c, i: F.when(F.call_function("getbit", value, i) == 1, c).otherwise(F.lit(0).cast("long")))
-    return F.aggregate(picked, F.lit(0).cast("long"), lambda a, x: a.bitwiseXOR(x))
+    return F.when(value.isNotNull(), F.aggregate(picked, F.lit(0).cast("long"), lambda a, x: a.bitwiseXOR(x)))
 
 
 def shift_by(value: Column, n: int) -> Column:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import blocks
+from . import blocks, recovery
 
-QUERIES = blocks.QUERIES
-ORACLE_SQL = blocks.ORACLE_SQL
+QUERIES = blocks.QUERIES | recovery.QUERIES
+ORACLE_SQL = blocks.ORACLE_SQL | recovery.ORACLE_SQL
