@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import blocks, recovery
+from . import analytics, blocks, recovery, streams
 
-QUERIES = blocks.QUERIES | recovery.QUERIES
-ORACLE_SQL = blocks.ORACLE_SQL | recovery.ORACLE_SQL
+QUERIES = blocks.QUERIES | recovery.QUERIES | analytics.QUERIES | streams.QUERIES
+ORACLE_SQL = blocks.ORACLE_SQL | recovery.ORACLE_SQL | analytics.ORACLE_SQL | streams.ORACLE_SQL
