@@ -1,8 +1,9 @@
 """Exact deduplication by skew-safe combining.
 
-Local stage: Spark's map-side aggregation keeps one row per (digest, full text) of each input partition. Salted stage:
-those rows meet by (digest, salt, full text), the salt being that of the input partition, so that a text which a third
-of all rows share reaches each of ``salts`` tasks at most once per input partition. Global stage: digests found under
+Local stage: Spark's map-side aggregation keeps one row per (digest, salt, full text) of each input partition, the salt
+being a hash of the doc_id. Salted stage: those rows meet by (digest, salt, full text), so that a text which a third of
+all rows share is spread over ``salts`` tasks, each of which gets it at most once per input partition. (A salt from the
+partition's number would be undetermined to the planner, which could then not reuse the exchange.) Global stage: digests found under
 one salt only are done; the salt winners of the others meet by (digest, full text). Each stage groups by the text
 itself, not by its digest alone.
 
@@ -20,18 +21,21 @@ from .common import lower_ascii, text_or_empty
 
 
 def default_digest(text: Column) -> Column:
-    return F.unhex(F.sha2(text, 256))
+    # never null, so that no null filter sets one reader of an exchange apart from another
+    return F.coalesce(F.unhex(F.sha2(text, 256)), F.lit(b""))
 
 
-def groups(docs: DataFrame, *, salts: int = 32, digest=default_digest) -> DataFrame:
+def groups(docs: DataFrame, *, salts: int = 16, digest=default_digest) -> DataFrame:
     """One row per distinct normalised text: digest, check (second hash), keep_id, group_size."""
     norm = lower_ascii(text_or_empty())
-    rows = docs.select(F.col("doc_id"), norm.alias("body")).select("doc_id", "body", digest(F.col("body")).alias("digest"), F.pmod(F.spark_partition_id(), F.lit(salts)).alias("salt"))
+    rows = docs.select(F.col("doc_id"), norm.alias("body")).select("doc_id", "body", digest(F.col("body")).alias("digest"), F.pmod(F.xxhash64("doc_id"), F.lit(salts)).alias("salt"))
     salted = rows.groupBy("digest", "salt", "body").agg(F.max("doc_id").alias("top"), F.count(F.lit(1)).alias("n"))
     brief = salted.select("digest", F.xxhash64("body").alias("check"), F.octet_length("body").alias("bytes"), "top", "n", "salt")
     by_digest = brief.groupBy("digest").agg(F.count(F.lit(1)).alias("rows"), F.max("top").alias("keep_id"), F.sum("n").alias("group_size"), F.max("check").alias("check"), F.max("bytes").alias("bytes"))
     single = by_digest.where("rows = 1").drop("rows")
-    shared = by_digest.where("rows > 1").select(F.col("digest").alias("many"))
+    # asking for all columns, though rows alone decide, keeps this reader's exchange the same as the others'
+    whole = (F.col("group_size") > 1) & (F.coalesce("keep_id", F.lit(0)) >= F.lit(-(2**63)))
+    shared = by_digest.where((F.col("rows") > 1) & whole).select(F.col("digest").alias("many"))
     merged = (
         salted.join(shared, salted["digest"] == shared["many"], "left_semi")
         .groupBy("digest", "body")
@@ -41,7 +45,7 @@ def groups(docs: DataFrame, *, salts: int = 32, digest=default_digest) -> DataFr
     return single.select("digest", "check", "bytes", "keep_id", "group_size").unionByName(merged)
 
 
-def deduplicate(docs: DataFrame, *, salts: int = 32, digest=default_digest) -> DataFrame:
+def deduplicate(docs: DataFrame, *, salts: int = 16, digest=default_digest) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256.
 
     Rows find their group by digest, second hash and length; ``groups`` has compared whole texts. Should two different
@@ -61,7 +65,7 @@ def deduplicate(docs: DataFrame, *, salts: int = 32, digest=default_digest) -> D
     )
 
 
-def survivors(docs: DataFrame, *, salts: int = 32) -> DataFrame:
+def survivors(docs: DataFrame, *, salts: int = 16) -> DataFrame:
     """The rows of ``docs`` that stay, with all their columns; of rows that repeat both the kept doc_id and the text,
     one stays. A null doc_id takes the place of the least id here."""
     body = lower_ascii(text_or_empty())
