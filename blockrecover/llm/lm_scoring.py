@@ -1,12 +1,12 @@
 """Language-model scoring from a log-frequency Bloom filter of quantised n-gram counts.
 
 A count c is stored as its level 1 + floor(log_base c): the filter holds the n-gram together with each level up to
-its own, so a count is read back by probing level after level until a probe fails. Such a read never falls below the
+its own, so a count is read back by probing levels until probes fail. Such a read never falls below the
 stored level; it may exceed it by a false positive. Counts come from all training text: every task counts its n-grams,
 counts meet by hash bucket, each bucket builds the filter segment of its hashes. The filter is broadcast; where its
 bits would pass ``most_bytes``, the least count that is stored rises, order by order, until it fits.
 
-Model: p1(w) = (c(w) + 1) / (N + V + 1); p(w | v) = (c(v w) + mu * p1(w)) / (c(v) + mu), all counts as the filter gives
+Model: p1(w) = (c(w) + 1) / (N + V + 1); p(w | v) = share * c(v w) / c(v) + (1 - share) * p1(w), all counts as the filter gives
 them: numerators take the lower edge of a level, the denominator the upper edge, so probabilities of a context sum to at
 most one, but for false positives. A text is its words and one end; its first context is a start mark.
 
@@ -26,7 +26,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_long, materialise, mix64, text_or_empty, words_of
+from .common import arrow_map, as_long, materialise, mix64, text_or_empty, words_of
 from .packed import buckets_for, regroup, split_by, text_bytes
 
 #: Hashes of the end token and of the start mark: no words.
@@ -74,29 +74,64 @@ class LogBloom:
         self.bits, self.start, self.size, self.first, self.base = bits, start, size, first, base
 
     @staticmethod
-    def positions(h: np.ndarray, level: np.ndarray, start: np.ndarray, size: np.ndarray):
-        """Yields the bit positions of each probe."""
-        key = mix64(h ^ (level.astype(np.uint64) * _LEVEL))
-        step = (key >> np.uint64(33)) | np.uint64(1)
+    def probes(h: np.ndarray, level: np.ndarray | int):
+        """Yields PROBES 32-bit values for each n-gram at a level."""
+        key = mix64(h ^ (np.asarray(level, np.uint64) * _LEVEL))
+        step = (key << np.uint64(1)) | np.uint64(1)
         for _ in range(PROBES):
-            yield start + (key % size.astype(np.uint64)).astype(np.int64)
-            key = key + step * np.uint64(0x9E3779B1)
-            key ^= key >> np.uint64(29)
+            yield key >> np.uint64(32)
+            key = key + step
+
+    @staticmethod
+    def place(probe: np.ndarray, size) -> np.ndarray:
+        return ((probe * size) >> np.uint64(32)).astype(np.int64)
+
+    def holds(self, salt: np.ndarray, start: np.ndarray, size: np.ndarray, level: np.ndarray) -> np.ndarray:
+        """Whether n-grams are stored with a level each. They leave at their first unset bit."""
+        out = np.zeros(len(salt), bool)
+        alive = np.arange(len(salt))
+        key = mix64(salt ^ (level.astype(np.uint64) * _LEVEL))
+        step = (key << np.uint64(1)) | np.uint64(1)
+        for _ in range(PROBES):
+            pos = start + self.place(key >> np.uint64(32), size)
+            ok = (self.bits[pos >> 3] >> (pos & 7).astype(np.uint8)) & 1 == 1
+            if not ok.all():
+                alive, start, size, key, step = alive[ok], start[ok], size[ok], key[ok], step[ok]
+            key = key + step
+        out[alive] = True
+        return out
 
     def level(self, h: np.ndarray, order: int) -> np.ndarray:
-        """Level of each n-gram: repeated membership probes, 0 if the least stored level is absent."""
+        """Level of each n-gram by repeated membership probes, 0 if the least stored level is absent. All levels up to
+        an n-gram's own are stored, so after the first the probes go up by doubling steps until one fails, then halve
+        what lies between."""
         out = np.zeros(len(h), np.int64)
         bucket = ((h >> np.uint64(20)) % np.uint64(len(self.size))).astype(np.int64)
-        alive, now = np.flatnonzero(self.size[bucket] > 0), self.first[order]
-        salt = h ^ np.uint64(order)
-        while len(alive):
-            a, b = salt[alive], bucket[alive]
-            ok = np.ones(len(alive), bool)
-            for pos in self.positions(a, np.full(len(a), now), self.start[b], self.size[b]):
-                ok &= (self.bits[pos >> 3] >> (pos & 7).astype(np.uint8)) & 1 == 1
-            alive = alive[ok]
-            out[alive] = now
-            now += 1
+        there = np.flatnonzero(self.size[bucket] > 0)
+        first = self.first[order]
+
+        def facts(rows):
+            return (h ^ np.uint64(order))[rows], self.start[bucket[rows]], self.size[bucket[rows]].astype(np.uint64)
+
+        there = there[self.holds(*facts(there), np.full(len(there), first))]
+        # frequent n-grams come many times: each is followed up once
+        _, one, code = np.unique(h[there], return_index=True, return_inverse=True)
+        salt, start, size = facts(there[one])
+        low, high = np.zeros(len(one), np.int64), np.full(len(one), -1, np.int64)
+        rows, k = np.arange(len(one)), 1
+        while len(rows):
+            ok = self.holds(salt[rows], start[rows], size[rows], np.full(len(rows), first + k))
+            high[rows[~ok]] = k
+            rows = rows[ok]
+            low[rows] = k
+            k = 2 * k + 1
+        rows = np.flatnonzero(high - low > 1)
+        while len(rows):
+            mid = (low[rows] + high[rows]) // 2
+            ok = self.holds(salt[rows], start[rows], size[rows], first + mid)
+            low[rows[ok]], high[rows[~ok]] = mid[ok], mid[~ok]
+            rows = rows[high[rows] - low[rows] > 1]
+        out[there] = first + low[code]
         return out
 
 
@@ -132,7 +167,7 @@ def count_grams(docs: DataFrame, training: Column, buckets: int) -> DataFrame:
                 names=["bucket", "order", "total", "kinds", "histogram", "h", "c"],
             )
 
-    rows = docs.where(training).select(text_or_empty().alias("text")).mapInArrow(emit, "bucket int, body binary")
+    rows = arrow_map(docs.where(training).select(text_or_empty().alias("text")), emit, "bucket int, body binary")
     return regroup(rows, buckets, ENTRY, handle, "bucket int, order int, total long, kinds long, histogram array<long>, h binary, c binary")
 
 
@@ -167,19 +202,19 @@ def build_filter(counts: DataFrame, buckets: int, *, base: float, bits_a_key: in
                 size = -(-max(64, len(hh) * bits_a_key) // 8) * 8 if len(hh) else 0
                 bits = np.zeros(size, np.uint8)
                 if size:
-                    for pos in LogBloom.positions(hh, level, np.zeros(len(hh), np.int64), np.full(len(hh), size)):
-                        bits[pos] = 1
+                    for probe in LogBloom.probes(hh, level):
+                        bits[LogBloom.place(probe, np.uint64(size))] = 1
                 yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([np.packbits(bits, bitorder="little").tobytes()], pa.binary())], names=["bucket", "bits"])
 
     grouped = counts.groupBy("bucket").agg(F.collect_list(F.struct("order", "h", "c")).alias("x")).select("bucket", F.col("x.order").alias("orders"), F.col("x.h").alias("hs"), F.col("x.c").alias("cs"))
-    got = {r["bucket"]: r["bits"] for r in grouped.mapInArrow(segment, "bucket int, bits binary").collect()}
+    got = {r["bucket"]: r["bits"] for r in arrow_map(grouped, segment, "bucket int, bits binary").collect()}
     size = np.array([8 * len(got.get(k, b"")) for k in range(buckets)], np.int64)
     bits = np.frombuffer(b"".join(bytes(got.get(k, b"")) for k in range(buckets)) or b"\0", np.uint8)
     return LogBloom(bits, np.cumsum(size) - size, size, first, base)
 
 
 def score(
-    docs: DataFrame, *, held_modulus: int = 7, held_remainder: int = 2, mu: float = 20.0, base: float = 1.3, bits_a_key: int = 12, most_bytes: int = 96 << 20, most_base_bytes: int = 96 << 20
+    docs: DataFrame, *, held_modulus: int = 7, held_remainder: int = 2, share: float = 0.2, base: float = 1.15, bits_a_key: int = 12, most_bytes: int = 96 << 20, most_base_bytes: int = 96 << 20
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of ``docs``."""
     spark = docs.sparkSession
@@ -202,6 +237,7 @@ def score(
 
     def read(batches):
         filter_ = LogBloom(*shared.value, base)
+        by_level = edges(np.arange(400), base)[0]
         for b in batches:
             out = {k: [] for k in ("n_tokens", "n_known", "base_score", "score")}
             for _, tokens, contexts, at in token_stream(b.column("text")):
@@ -212,13 +248,14 @@ def score(
                     count = np.where(h[place] == kind, c[place], 0) if len(h) else np.zeros(len(kind), np.int64)
                     out["n_known"].append(np.add.reduceat((count > 0)[code].astype(np.int64), at[:-1]))
                     out["base_score"].append(np.add.reduceat(np.log10((count + 1.0) / (n_all + v_all + 1.0))[code], at[:-1]))
-                p1 = (edges(filter_.level(kind, 1), base)[0] + 1.0) / (n_all + v_all + 1.0)
-                lead, lead_code = np.unique(contexts, return_inverse=True)
-                seen = edges(filter_.level(lead, 1), base)[1]
-                pair, pair_code = np.unique(pair_hash(contexts, tokens), return_inverse=True)
-                both = edges(filter_.level(pair, 2), base)[0]
-                context = seen[lead_code]
-                p = (np.minimum(both[pair_code], context) + mu * p1[code]) / (context + mu)
+                low, high = edges(filter_.level(np.append(kind, START), 1), base)
+                p1 = (low[:-1] + 1.0) / (n_all + v_all + 1.0)
+                # a token's context is the token before it, or the start mark
+                lead = np.append(len(kind), code[:-1])
+                lead[at[:-1]] = len(kind)
+                context = high[lead]
+                both = by_level[filter_.level(pair_hash(contexts, tokens), 2)]
+                p = (1 - share) * p1[code] + share * np.minimum(both, context) / np.maximum(context, 1)
                 out["n_tokens"].append(np.diff(at))
                 out["score"].append(np.add.reduceat(np.log10(p), at[:-1]))
             join = lambda k, t: pa.array(np.concatenate(out[k]).astype(t)) if out[k] else pa.nulls(b.num_rows, pa.from_numpy_dtype(t))
@@ -227,7 +264,7 @@ def score(
                 names=["doc_id", "held_out", "text_key", "n_tokens", "n_known", "base_score", "score"],
             )
 
-    scored = rows.mapInArrow(read, "doc_id long, held_out boolean, text_key long, n_tokens long, n_known long, base_score double, score double")
+    scored = arrow_map(rows, read, "doc_id long, held_out boolean, text_key long, n_tokens long, n_known long, base_score double, score double")
     if exact is None:
         scored = scored.drop("n_known", "base_score").join(joined_base(rows, counts, n_all + v_all + 1.0), ["text_key"], "left")
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(total)).cast("long").alias("train_tokens"), "base_score", "score")
@@ -250,7 +287,7 @@ def joined_base(rows: DataFrame, counts: DataFrame, whole: float) -> DataFrame:
             for h, c in zip(b.column("h").to_pylist(), b.column("c").to_pylist()):
                 yield pa.RecordBatch.from_arrays([as_long(np.frombuffer(h, "<u8")), pa.array(np.frombuffer(c, "<u4").astype(np.int64))], names=["h", "c"])
 
-    words = rows.select("text_key", "text").dropDuplicates(["text_key"]).mapInArrow(emit, "text_key long, h long, n long")
-    known = counts.where("order = 1").select("h", "c").mapInArrow(unpack, "h long, c long")
+    words = arrow_map(rows.select("text_key", "text").dropDuplicates(["text_key"]), emit, "text_key long, h long, n long")
+    known = arrow_map(counts.where("order = 1").select("h", "c"), unpack, "h long, c long")
     both = words.join(known, "h", "left").withColumn("c", F.coalesce("c", F.lit(0)))
     return both.groupBy("text_key").agg(F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("n_known"), F.sum(F.col("n") * F.log10((F.col("c") + 1.0) / F.lit(whole))).alias("base_score"))
