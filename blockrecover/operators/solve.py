@@ -133,7 +133,7 @@ def solve_anchor(candidates: DataFrame, blocks: DataFrame) -> DataFrame:
 def extend(candidates: DataFrame, proposals: DataFrame, blocks: DataFrame) -> DataFrame:
     """Each candidate with the proposal (header_pos, j, start, r, g) that validates furthest: kept blocks, then r live
     blocks from ``start`` and what followed the kept blocks before, but for its first g blocks; with r null, live blocks up to the file's length.
-    Ties: the nearest start."""
+    Ties: the start physically nearest to the last kept block."""
     if "r" not in proposals.columns:
         proposals = proposals.withColumn("r", F.lit(None).cast("int")).withColumn("g", F.lit(0))
     n = framed.block_count(framed.body_length(F.col("content")), BLOCK)
@@ -144,10 +144,9 @@ def extend(candidates: DataFrame, proposals: DataFrame, blocks: DataFrame) -> Da
     after = F.substring("c0", ((F.col("j") + F.col("g")) * BLOCK + 1).cast("int"), later * BLOCK)
     content = F.concat(F.substring("c0", F.lit(1), (F.col("j") * BLOCK).cast("int")), F.col("content"), after)
     positions = F.concat(F.slice("p0", F.lit(1), F.col("j").cast("int")), F.col("positions"), F.slice("p0", (F.col("j") + F.col("g")).cast("int") + 1, later))
-    tried = got.select("header_pos", "j", "start", "r", "g", content.alias("content"), positions.alias("positions"), "before")
+    tried = got.select("header_pos", "j", "start", "r", "g", content.alias("content"), positions.alias("positions"), "before", F.abs(F.get("positions", F.lit(0)) - F.get("p0", F.col("j").cast("int") - 1)).alias("far"))
     tried = tried.withColumn("v", framed.verdict(F.col("content"))).where(F.col("v.validates_to") > F.col("before"))
     # a complete layout uses a block once; behind the break of an open one anything may stand
     tried = tried.where(~F.col("v.validates") | (F.size(F.array_distinct("positions")) == F.size("positions")))
-    far = F.abs(F.col("start") - F.col("header_pos"))
-    best = tried.groupBy("header_pos").agg(F.max_by(F.struct("content", "positions", "v"), F.struct(F.col("v.validates"), F.col("v.validates_to"), -far, -F.col("start"), -F.col("r"), -F.col("g"))).alias("b"))
+    best = tried.groupBy("header_pos").agg(F.max_by(F.struct("content", "positions", "v"), F.struct(F.col("v.validates"), F.col("v.validates_to"), -F.col("far"), -F.col("start"), -F.col("r"), -F.col("g"))).alias("b"))
     return best.select("header_pos", "b.*")
