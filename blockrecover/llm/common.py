@@ -55,6 +55,37 @@ def text_or_empty(col: str = "text") -> Column:
     return F.coalesce(F.col(col), F.lit(""))
 
 
+# ---------------------------------------------------------------- Arrow functions
+
+#: Rows of an Arrow batch: texts may be long, and a task holds a few batches at once.
+BATCH_ROWS = 1000
+
+
+def lean(function):
+    """``function`` over record batches; what a task has freed goes back to the system when it ends, as workers wait
+    for further tasks beside the executor's own memory."""
+
+    def run(batches):
+        yield from function(batches)
+        pa.default_memory_pool().release_unused()
+        try:
+            import ctypes
+
+            ctypes.CDLL("libc.so.6").malloc_trim(0)
+        except (OSError, AttributeError):
+            pass  # another C library
+
+    return run
+
+
+def arrow_map(df: DataFrame, function, schema) -> DataFrame:
+    """mapInArrow in batches of at most BATCH_ROWS rows (a smaller session setting stays)."""
+    conf, key = df.sparkSession.conf, "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(conf.get(key)) <= BATCH_ROWS:
+        conf.set(key, str(BATCH_ROWS))
+    return df.mapInArrow(lean(function), schema)
+
+
 # ---------------------------------------------------------------- Arrow text buffers
 
 _SPACE = np.zeros(256, dtype=bool)
@@ -66,7 +97,7 @@ _BASE = np.uint64(0x9E3779B97F4A7C15)
 _MIX1, _MIX2 = np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB)
 _LEN = np.uint64(0xD6E8FEB86659FD93)
 #: Bytes hashed at a time, so that the position tables stay small; one longer text is taken whole.
-SLAB = 1 << 21
+SLAB = 1 << 20
 
 
 def buffers(column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
@@ -180,7 +211,7 @@ def as_long(x: np.ndarray) -> pa.Array:
 # ---------------------------------------------------------------- distributed ranks
 
 
-def numbered(df: DataFrame, group: list[str], order: list[str], value: str | None = None, *, spread: Column | None = None, rows_a_bucket: int = 50_000, most_buckets: int = 65_536) -> DataFrame:
+def numbered(df: DataFrame, group: list[str], order: list[str], value: str | None = None, *, spread: Column | None = None, rows_a_bucket: int = 4_000, most_buckets: int = 65_536) -> DataFrame:
     """Adds ``before``: in each group, the rows (or the sum of ``value``) that precede a row, from 0.
 
     Two levels, so that no group meets in one task: rows of a group are dealt by a hash of ``order`` over a number of

@@ -11,6 +11,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import arrow_map
+
 BUCKET_BYTES, LEAST, MOST = 16 << 20, 64, 65_536
 
 
@@ -48,4 +50,4 @@ def regroup(rows: DataFrame, buckets: int, kind: np.dtype, handle, schema: str)
         if bodies:
             yield from handle(held, np.concatenate(bodies))
 
-    return rows.repartition(buckets, "bucket").sortWithinPartitions("bucket").mapInArrow(merge, schema)
+    return arrow_map(rows.repartition(buckets, "bucket").sortWithinPartitions("bucket"), merge, schema)

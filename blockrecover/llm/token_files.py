@@ -24,7 +24,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import fresh_path, materialise, text_or_empty
+from .common import arrow_map, fresh_path, materialise, text_or_empty
 from .tokens import encode_with_end, tokenizer_path
 
 #: Fixed values of the public formats.
@@ -152,7 +152,7 @@ def write_files(docs: DataFrame, folder: str, *, tokenizer: str = "word_bpe_49k.
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     dealt = rows.repartitionByRange(F.col("doc_id").asc_nulls_first()).sortWithinPartitions(F.col("doc_id").asc_nulls_first(), F.xxhash64("text"))
-    return materialise(dealt.mapInArrow(write, "part long, path string, n_docs long, n_tokens long"), "manifest")
+    return materialise(arrow_map(dealt, write, "part long, path string, n_docs long, n_tokens long"), "manifest")
 
 
 def read_files(spark: SparkSession, manifest: DataFrame, *, with_ids: bool = False) -> DataFrame:
@@ -181,7 +181,7 @@ def read_files(spark: SparkSession, manifest: DataFrame, *, with_ids: bool = Fal
                     at += len(ids)
 
     listed = spark.createDataFrame(files, "path string, at long")
-    return listed.repartition(max(1, len(files))).mapInArrow(read, schema)
+    return arrow_map(listed.repartition(max(1, len(files))), read, schema)
 
 
 def round_trip(docs: DataFrame, **options) -> DataFrame:

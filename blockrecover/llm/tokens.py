@@ -15,9 +15,9 @@ import pyarrow as pa
 
 from .common import buffers, slabs, span_hashes
 
-#: Distinct pieces whose ids a worker remembers (about 40 bytes each, found by 64-bit hash); beyond, new ones are encoded
+#: Distinct pieces whose ids a worker remembers (about 28 bytes each, found by 64-bit hash); beyond, new ones are encoded
 #: each time they come.
-REMEMBERED = 2_000_000
+REMEMBERED = 1_000_000
 _BLANK = np.zeros(256, bool)
 _BLANK[[0x20, 0x09, 0x0A, 0x0B, 0x0C, 0x0D, 0x1C, 0x1D, 0x1E, 0x1F, 0x00]] = True
 
@@ -56,14 +56,14 @@ class Encoder:
 
     def forget(self):
         self.keys = np.zeros(0, np.uint64)  # sorted hashes of known pieces
-        self.at = np.zeros(0, np.int64)  # first id of each in the pool
-        self.size = np.zeros(0, np.int64)
+        self.at = np.zeros(0, np.int32)  # first id of each in the pool
+        self.size = np.zeros(0, np.int32)
         self.pool = np.zeros(0, np.uint32)
 
     def __call__(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray]:
         data, offsets = buffers(column)
         ids, counts = [], []
-        for lo, hi in slabs(offsets, 1 << 23):
+        for lo, hi in slabs(offsets, 1 << 22):
             a, b = self.slab(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
             ids.append(a)
             counts.append(b)

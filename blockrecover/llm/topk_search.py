@@ -21,6 +21,8 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+
+from .common import arrow_map
 from pyspark.sql import Window as W
 
 SCALE = 256
@@ -142,7 +144,7 @@ def top_k(vectors: DataFrame, *, every: int = 50, k: int = 5, block: int = 16_38
                         q, r, s = index.search(queries[at : at + 256], k, names[at : at + 256, None] == ids[None, :])
                         yield pa.RecordBatch.from_pydict({"query_id": pa.array(names[at + q]), "vec_id": part.column("vec_id").take(pa.array(r)), "score": pa.array(s)})
 
-        found = fine.mapInArrow(search, "query_id long, vec_id long, score long")
+        found = arrow_map(fine, search, "query_id long, vec_id long, score long")
         best = found.withColumn("rank", F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), F.col("vec_id").asc_nulls_last()))).where(F.col("rank") <= k)
         out = best if out is None else out.unionByName(best)
     return out.select("query_id", "rank", "vec_id", "score")

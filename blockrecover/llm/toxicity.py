@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import _LOWER, _SPACE, buffers, slabs, span_hashes, text_or_empty
+from .common import _LOWER, _SPACE, arrow_map, buffers, slabs, span_hashes, text_or_empty
 
 BITS = 18
 _CUT = _SPACE.copy()
@@ -148,7 +148,7 @@ def predict(docs: DataFrame, model: Model, *, modulus: int = 5) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (fold(modulus) == 0).alias("held_out"), text_or_empty().alias("text"))
-    return rows.mapInArrow(run, "doc_id long, held_out boolean, score double, predicted int")
+    return arrow_map(rows, run, "doc_id long, held_out boolean, score double, predicted int")
 
 
 def offending(docs: DataFrame, model: Model, *, least: float = 0.5) -> DataFrame:
@@ -167,7 +167,7 @@ def offending(docs: DataFrame, model: Model, *, least: float = 0.5) -> DataFrame
                 yield pa.RecordBatch.from_arrays([b.column("doc_id").take(pa.array(lo + document[hit])), pa.array(begins[hit] - inner[document[hit]]), pa.array(finish[hit] - inner[document[hit]]), pa.array(p[hit])], names=["doc_id", "start", "end", "score"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
-    return rows.mapInArrow(run, "doc_id long, start long, end long, score double")
+    return arrow_map(rows, run, "doc_id long, start long, end long, score double")
 
 
 def clean(docs: DataFrame, model: Model) -> DataFrame:
@@ -181,4 +181,4 @@ def clean(docs: DataFrame, model: Model) -> DataFrame:
             parts = [own.scores(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]) for lo, hi in slabs(offsets)]
             yield b.filter(pa.array(np.concatenate(parts) < 0.5)) if parts else b
 
-    return docs.mapInArrow(run, docs.schema)
+    return arrow_map(docs, run, docs.schema)

@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import UPPER
+from .common import UPPER, arrow_map
 
 #: (host, path, verdict), fixed values of the query's contract.
 RULES = (("org", "/", "allow"), ("example.org", "/es/", "block"), ("example.org", "/en/1", "block"), ("com", "/fr/", "allow"), ("com", "/de/", "block"))
@@ -115,7 +115,7 @@ def judge(pages: DataFrame, rules: DataFrame, listed: DataFrame | None = None, *
                 ok = bits.passes(b.column("key").to_numpy(zero_copy_only=False), b.column("second").to_numpy(zero_copy_only=False))
                 yield b.select(columns).filter(pa.array(ok))
 
-        probes = probes.mapInArrow(pass_on, probes.drop("second").schema)
+        probes = arrow_map(probes, pass_on, probes.drop("second").schema)
     fits = probes.join(entries.select("kind", "e_key", "verdict"), ["kind", "e_key"])
     best = fits.groupBy("host", "path").agg(
         F.max(F.when(F.col("kind") == "p", F.struct("h", "p", F.col("e_key").alias("rule"), "verdict"))).alias("r"), F.max((F.col("kind") == "u").cast("int")).alias("u")
