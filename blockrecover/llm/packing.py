@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import materialise, numbered, text_or_empty
+from .common import arrow_map, materialise, numbered, text_or_empty
 from .tokens import encode_with_end, tokenizer_path
 
 
@@ -52,22 +52,57 @@ def best_pattern(values: np.ndarray, lengths: np.ndarray, capacity: int) -> tupl
     return float(best[capacity]), dict(out)
 
 
-def generate_columns(demand: dict[int, int], capacity: int, *, gap: float = 1e-3, most_columns: int = 4000) -> list[tuple[dict[int, int], float]]:
+def first_basis(lengths: np.ndarray, need: np.ndarray, capacity: int) -> tuple[list[dict[int, int]], np.ndarray]:
+    """Patterns ({index: copies}) and multiplicities that meet the demand and form a basis. Each is filled with the
+    longest lengths left and used until one of them is exhausted; later patterns lack that length, so the matrix is triangular."""
+    left = need.astype(float).copy()
+    open_ = list(range(len(lengths)))  # ascending
+    columns, x = [], []
+    while open_:
+        room, pattern = capacity, Counter()
+        sizes = lengths[open_]
+        while room >= sizes[0]:
+            i = open_[int(np.searchsorted(sizes, room, "right")) - 1]
+            copies = max(1, min(room // int(lengths[i]), int(left[i])))
+            pattern[i] += copies
+            room -= copies * int(lengths[i])
+            if copies < room // int(lengths[i]) + copies and room >= sizes[0]:
+                below = int(np.searchsorted(sizes, min(room, int(lengths[i]) - 1), "right"))
+                if below == 0:
+                    break
+                sizes = sizes[:below]
+        done = min(pattern, key=lambda i: left[i] / pattern[i])
+        step = left[done] / pattern[done]
+        for i, k in pattern.items():
+            left[i] = max(0.0, left[i] - step * k)
+        columns.append(dict(pattern))
+        x.append(step)
+        open_.remove(done)
+    return columns, np.array(x)
+
+
+def generate_columns(demand: dict[int, int], capacity: int, *, gap: float = 1e-3, most_columns: int = 600) -> list[tuple[dict[int, int], float]]:
     """Patterns ({length: copies}) with their multiplicities in a solution of the linear program within ``gap`` of its
-    optimum, or after ``most_columns`` columns."""
+    optimum, or after ``most_columns`` generated columns."""
     lengths = np.array(sorted(demand), np.int64)
     need = np.array([demand[x] for x in lengths.tolist()], float)
     m = len(lengths)
     if not m:
         return []
-    # the basis starts with one length a pattern
-    copies = np.minimum(capacity // lengths, np.maximum(need, 1)).astype(float)
-    columns: list[dict[int, int]] = [{i: int(copies[i])} for i in range(m)]
-    inverse, x = np.diag(1 / copies), need / copies
+    columns, x = first_basis(lengths, need, capacity)
+    matrix = np.zeros((m, m))
+    for k, pattern in enumerate(columns):
+        for i, copies in pattern.items():
+            matrix[i, k] = copies
+    inverse = np.linalg.inv(matrix)
+    bound = max(float(lengths @ need) / capacity, float(need[lengths * 2 > capacity].sum()))
     for _ in range(most_columns):
         duals = inverse.sum(axis=0)
+        if x.sum() <= (1 + gap) * bound:
+            break
         value, pattern = best_pattern(duals, lengths, capacity)
-        if value <= 1 + 1e-9 or x.sum() * (1 - 1 / value) <= gap * x.sum():
+        bound = max(bound, x.sum() / max(value, 1.0))
+        if value <= 1 + 1e-9 or x.sum() <= (1 + gap) * bound:
             break
         column = np.zeros(m)
         for i, k in pattern.items():
@@ -160,7 +195,7 @@ def cut_documents(docs: DataFrame, tokenizer: str, end_id: int, capacity: int, *
                 columns.append(pa.ListArray.from_arrays(pa.array(np.append(at, len(ids)).astype(np.int32)), pa.array(ids.astype(np.int32))))
             yield pa.RecordBatch.from_arrays(columns, names=["doc_id", "start", "length", "ids_crc32", "doc_tokens", *["ids"] * keep_ids])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")).mapInArrow(cut, schema)
+    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")), cut, schema)
 
 
 def pack(pieces: DataFrame, capacity: int, *, order: list[str], **options) -> DataFrame:
