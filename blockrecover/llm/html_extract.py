@@ -26,6 +26,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .common import arrow_map
+
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 RAW = frozenset("script style noscript template textarea title iframe svg math xmp noembed noframes".split())
 BLOCK = frozenset(
@@ -255,7 +257,7 @@ def fit(pages: list[tuple[str, list[str]]], *, rounds: int = 12, rate: float = 0
     return Model(node, edge)
 
 
-def labelled_pages(n: int = 120, seed: int = 5) -> list[tuple[str, list[str]]]:
+def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
     """Generated training pages: (html, texts of the content runs). Layouts, names and the order of parts vary."""
     rng = np.random.default_rng(seed)
     pick = lambda x: x[int(rng.integers(len(x)))]
@@ -291,8 +293,11 @@ def labelled_pages(n: int = 120, seed: int = 5) -> list[tuple[str, list[str]]]:
     for _ in range(n):
         kept = []
 
+        small = chance(0.2)  # pages of a few words
+
         def keep(lo, hi, stop=True):
-            kept.append(words(lo, hi, stop))
+            text = words(lo, hi, stop)
+            kept.append(text.split()[0] if small and chance(0.8) else text)
             return kept[-1]
 
         def inner():
@@ -390,4 +395,4 @@ def extract(pages: DataFrame, model: Model | None = None) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column("page_id"), b.column("url"), pa.array(texts, pa.string()), pa.array([len(t) for t in texts], pa.int64())], names=["page_id", "url", "text", "n_chars"])
 
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), "html")
-    return rows.mapInArrow(run, "page_id long, url string, text string, n_chars long")
+    return arrow_map(rows, run, "page_id long, url string, text string, n_chars long")
