@@ -3,18 +3,21 @@
 The distance is 1 - |x and y| / |x or y|, a metric. Documents with one and the same set are one point.
 
 First level: the pivots are the single shingles. A point is equally near to all of its own shingles; the tie goes to
-the first in a common order (frequent shingles of a sample last, then by hash), whose Voronoi region it joins. A point
-within the radius shares one of the first n - ceil(0.8 n) + 1 shingles of that order, so the boundary windows replicate
-it into exactly those regions. Regions of one point end here; regions of two are a pair to verify.
-
-Further levels: a region of more points takes one of them as pivot and gets the exact distance of each to it. Points
-within the radius link to the pivot. Points then fall into rings of one radius' width; by the triangle inequality links join
-points of the same or of adjacent rings only, so each ring is a region that its neighbour's points are replicated
-into, and joins recursively. Regions whose points already have one component label are settled: no further link there
-can change a component. Pairs of different labels in the regions that remain after the last level are filtered by the
-ring distances, by size and by position, and verified exactly. No partner or candidate is capped.
-
-Only sets of candidate points are ever gathered, each once; distances are computed on whole sets of 64-bit shingle
+the first in a common order (frequent shingles of a sample last, then by hash), whose Voronoi region it joins. Points
+within the radius share one of the first n - ceil(0.8 n) + 1 shingles of that order, so the boundary windows replicate a
+point into exactly those regions. The windows reach a tenth of the set further; then points within the radius share a
+tenth of their sizes more, and a point with fewer shared windows than that has no partner and leaves before any pair is made.
+
+Further levels: a region takes one of its points as pivot. A second set of pivots, 256 classes of all shingles, gives
+each point coordinates whose L1 distance never exceeds the symmetric difference of two sets; pairs that it proves too
+far apart end there, the others get the exact distance. Points within the radius of the pivot link to it (the ball). By
+the triangle inequality they can link only to points within two radii of it (the shell). Ball and shell, and shell and
+the rest, are two new regions; they join recursively. Regions whose points have one component label are settled: no
+link there can change a component; points that no longer share enough windows of open regions leave again. In the
+regions that remain after the last level, pairs of different labels are filtered by size, position and coordinates inside
+tasks of bounded blocks, and what passes is measured. No partner or candidate is capped.
+
+Only sets of candidate points are ever gathered; distances are computed on whole sets of 64-bit shingle
 hashes. A very frequent shingle's region is dealt by points, not kept in one task.
 
 Defined results: null or empty text, or one without words: set size 0, linked with nothing; fewer words than
@@ -29,10 +32,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import as_long, gram_hashes, materialise, mix64, text_or_empty, words_of
+from .common import arrow_map, as_long, gram_hashes, materialise, mix64, text_or_empty, words_of
 from .components import components
 from .packed import buckets_for, regroup, split_by, text_bytes
 
+MOST_BROADCAST = 2_000_000
 ENTRY = np.dtype([("h", "<u8"), ("id", "<i8"), ("n", "<u4"), ("pos", "<u4")])
 _SALT = np.uint64(0xA0761D6478BD642F)
 
@@ -52,7 +56,18 @@ def shingle_sets(column: pa.Array, order: int):
 
 
 def prefix_length(n: int, percent: int) -> int:
-    return n - -(-percent * n // 100) + 1 if n else 0
+    """Shingles that a point's windows cover: up to the first that a partner must share, and a tenth of the set."""
+    return n - -(-percent * n // 100) + 1 + n // 10 if n else 0
+
+
+def least_shared(n, percent: int):
+    """Windows that a point with a partner shares at least: a partner may be smaller, and its extension shorter."""
+    return 1 + -(-percent * n // 100) // 10
+
+
+def coordinates(s: np.ndarray) -> bytes:
+    """Counts of a set in 256 classes of hashes, each at most 255: both steps never add to a difference."""
+    return np.minimum(np.bincount((s >> np.uint64(40)).astype(np.int64) & 255, minlength=256), 255).astype(np.uint8).tobytes()
 
 
 def frequent_shingles(docs: DataFrame, order: int, *, sample: int, most: int, least: int = 4) -> np.ndarray:
@@ -67,38 +82,39 @@ def frequent_shingles(docs: DataFrame, order: int, *, sample: int, most: int, le
                 h, c = np.unique(np.concatenate(sets), return_counts=True)
                 yield pa.RecordBatch.from_arrays([as_long(h), pa.array(c.astype(np.int64))], names=["h", "c"])
 
-    rows = some.select(text_or_empty().alias("text")).mapInArrow(emit, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).where(F.col("c") >= least)
+    rows = arrow_map(some.select(text_or_empty().alias("text")), emit, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).where(F.col("c") >= least)
     top = rows.orderBy(F.col("c").desc(), "h").limit(most).select("h").toArrow()
     return np.sort(top.column("h").to_numpy().view(np.uint64))
 
 
 def points_of(docs: DataFrame, order: int, percent: int, frequent: np.ndarray) -> DataFrame:
-    """doc_id, n, k1, k2 (digest of the set) and the prefix in the common order, as packed hashes."""
+    """doc_id, n, k1, k2 (digest of the set) the prefix in the common order, as packed hashes, and the coordinates."""
     spark = docs.sparkSession
     common = spark.sparkContext.broadcast(frequent)
 
     def shingle(batches):
         late = common.value
         for b in batches:
-            size, k1, k2, prefix = [], [], [], []
+            size, k1, k2, prefix, place = [], [], [], [], []
             for _, s in shingle_sets(b.column("text"), order):
                 n = len(s)
                 size.append(n)
                 k1.append(int(mix64(s ^ _SALT).sum(dtype=np.uint64)) if n else 0)
                 k2.append(int(mix64(s + _SALT).sum(dtype=np.uint64)) if n else 0)
+                place.append(coordinates(s))
                 if len(late) and n:
                     at = np.searchsorted(late, s)
                     at[at == len(late)] = 0
                     s = s[np.argsort(late[at] == s, kind="stable")]
                 prefix.append(s[: prefix_length(n, percent)].tobytes())
             to_long = lambda x: as_long(np.array(x, np.uint64))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(size, pa.int64()), to_long(k1), to_long(k2), pa.array(prefix, pa.binary())], names=["doc_id", "n", "k1", "k2", "prefix"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(size, pa.int64()), to_long(k1), to_long(k2), pa.array(prefix, pa.binary()), pa.array(place, pa.binary())], names=["doc_id", "n", "k1", "k2", "prefix", "place"])
 
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")).mapInArrow(shingle, "doc_id long, n long, k1 long, k2 long, prefix binary")
+    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")), shingle, "doc_id long, n long, k1 long, k2 long, prefix binary, place binary")
 
 
-def first_regions(points: DataFrame, frequent: np.ndarray, buckets: int, percent: int) -> DataFrame:
-    """Rows (region, id, n, pos, partner): a pair to verify where partner is set, else a point of a larger region."""
+def first_regions(points: DataFrame, frequent: np.ndarray, buckets: int) -> DataFrame:
+    """Rows (region, id, n, pos) of regions with more than one point; those of frequent shingles come unchecked."""
     spark = points.sparkSession
     common = spark.sparkContext.broadcast(frequent)
     spread = 64
@@ -128,37 +144,37 @@ def first_regions(points: DataFrame, frequent: np.ndarray, buckets: int, percent
             got = got[np.r_[True, (got["h"][1:] != got["h"][:-1]) | (got["id"][1:] != got["id"][:-1])]]
             heads = np.flatnonzero(np.r_[True, got["h"][1:] != got["h"][:-1]])
             size = np.diff(np.append(heads, len(got)))
-            two = heads[size == 2]
-            a, b = got[two], got[two + 1]
-            fine = possible(a["n"], a["pos"], b["n"], b["pos"], percent)
-            a, b = a[fine], b[fine]
-            if len(a):
-                pair = np.unique(np.stack([a["id"], b["id"]]), axis=1)
-                yield region_rows(np.zeros(pair.shape[1], np.uint64), pair[0], None, None, pair[1])
-            got = got[np.repeat(size, size) > 2]
-        if len(got):
-            yield region_rows(got["h"], got["id"], got["n"], got["pos"], None)
+            got = got[np.repeat(size, size) > 1]
+        for at in range(0, len(got), 1 << 17):
+            part = got[at : at + (1 << 17)]
+            yield pa.RecordBatch.from_arrays([as_long(part["h"]), pa.array(part["id"]), pa.array(part["n"].astype(np.int64)), pa.array(part["pos"].astype(np.int64))], names=["region", "id", "n", "pos"])
 
-    return regroup(points.mapInArrow(emit, "bucket int, body binary"), buckets, ENTRY, handle, "region long, id long, n long, pos long, partner long")
+    return regroup(arrow_map(points, emit, "bucket int, body binary"), buckets, ENTRY, handle, "region long, id long, n long, pos long")
 
 
-def possible(n1, pos1, n2, pos2, percent: int):
-    """Whether sizes, and what follows a first common shingle, allow a link."""
-    n1, n2, pos1, pos2 = (np.asarray(x, np.int64) for x in (n1, n2, pos1, pos2))
-    need = -(-percent * (n1 + n2) // (100 + percent))
-    return (100 * np.minimum(n1, n2) >= percent * np.maximum(n1, n2)) & (1 + np.minimum(n1 - pos1, n2 - pos2) - 1 >= need)
+def small(ids: DataFrame) -> DataFrame:
+    """A table of numbers, to be broadcast if it has at most MOST_BROADCAST rows, else joined by a shuffle."""
+    return F.broadcast(ids) if ids.count() <= MOST_BROADCAST else ids
 
 
-def region_rows(h, ids, n, pos, partner) -> pa.RecordBatch:
-    k = len(ids)
-    number = lambda x: pa.nulls(k, pa.int64()) if x is None else pa.array(np.asarray(x, np.int64))
-    return pa.RecordBatch.from_arrays([as_long(np.asarray(h, np.uint64)), number(ids), number(n), number(pos), number(partner)], names=["region", "id", "n", "pos", "partner"])
+def promising(regions: DataFrame, percent: int) -> DataFrame:
+    """Rows of points that share enough windows (first-level regions still open) to have a further partner. Two points
+    that link and have not been compared meet in all windows they share, so each of them passes this count."""
+    windows = regions.groupBy("id", "origin").agg(F.max("n").alias("n")).groupBy("id").agg(F.count(F.lit(1)).alias("k"), F.max("n").alias("n"))
+    enough = F.col("k") >= F.expr(f"1 + ceil({percent} * n / 100) div 10")
+    ids = materialise(windows.where(enough).select("id"), "promising")
+    return regions.join(small(ids), "id", "left_semi")
 
 
-def gather_sets(docs: DataFrame, ids: DataFrame, order: int, *, most_broadcast: int = 4_000_000) -> DataFrame:
+def several(regions: DataFrame, what: str) -> DataFrame:
+    """Rows of the regions that hold more than one value of ``what``."""
+    open_ = regions.groupBy("region").agg(F.min(what).alias("lo"), F.max(what).alias("hi")).where("lo <> hi").select("region")
+    return regions.join(open_, "region", "left_semi")
+
+
+def gather_sets(docs: DataFrame, ids: DataFrame, order: int) -> DataFrame:
     """id, body: the whole shingle sets of candidate points only."""
-    ids = ids.select(F.col("id").alias("want"))
-    wanted = F.broadcast(ids) if ids.count() <= most_broadcast else ids
+    wanted = small(materialise(ids.select(F.col("id").alias("want")), "wanted"))
 
     def shingle(batches):
         for b in batches:
@@ -167,38 +183,120 @@ def gather_sets(docs: DataFrame, ids: DataFrame, order: int, *, most_broadcast:
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     found = rows.join(wanted, rows["doc_id"] == F.col("want"), "left_semi")
-    return materialise(found.mapInArrow(shingle, "id long, body binary"), "sets")
+    return materialise(arrow_map(found, shingle, "id long, body binary"), "sets")
 
 
-def distances(pairs: DataFrame, sets: DataFrame) -> DataFrame:
-    """a, b, common, whole: sizes of intersection and union of the two whole sets."""
+def near_pairs(pairs: DataFrame, places: DataFrame, percent: int) -> DataFrame:
+    """a, b, floor: distinct pairs with the least distance that coordinates allow; places: id, n, place."""
+
+    def compare(batches):
+        for b in batches:
+            if not b.num_rows:
+                continue
+            x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, 256).astype(np.int16) for c in ("x", "y"))
+            n = b.column("n1").to_numpy() + b.column("n2").to_numpy()
+            apart = np.maximum(np.abs(x - y).sum(axis=1, dtype=np.int64), np.abs(b.column("n1").to_numpy() - b.column("n2").to_numpy()))
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(2 * apart / (n + apart))], names=["a", "b", "floor"])
+
+    left = places.select(F.col("id").alias("b"), F.col("n").alias("n2"), F.col("place").alias("y"))
+    right = places.select(F.col("id").alias("a"), F.col("n").alias("n1"), F.col("place").alias("x"))
+    rows = pairs.select("a", "b").distinct().join(left, "b").join(right, "a")
+    return materialise(arrow_map(rows.select("a", "b", "n1", "n2", "x", "y"), compare, "a long, b long, floor double"), "near")
+
+
+#: Points of a region that one task compares with each other; larger regions are cut into blocks of this size, and each
+#: pair of blocks is a task's.
+BLOCK_POINTS = 4096
+
+
+def open_pairs(regions: DataFrame, places: DataFrame, percent: int) -> DataFrame:
+    """a, b: pairs of different labels in a common region that sizes, positions and coordinates leave possible."""
+    counts = regions.groupBy("region").agg(F.count(F.lit(1)).alias("c"))
+    rows = regions.join(counts, "region").withColumn("blocks", F.expr(f"1 + (c - 1) div {BLOCK_POINTS}"))
+    rows = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
+    rows = rows.withColumn("cell", F.xxhash64("region", F.least("block", "other"), F.greatest("block", "other"))).withColumn("same", F.col("block") == F.col("other"))
+    rows = rows.select("cell", "id", "n", "pos", "label", "block", "same").join(places.select("id", F.col("n").alias("p_n"), "place"), "id").where("n = p_n").drop("p_n")
+
+    def compare(cell):
+        if len(cell["id"]) < 2:
+            return None
+        order = np.argsort(cell["n"], kind="stable")
+        ids, n, pos, label, block, same = (cell[k][order] for k in ("id", "n", "pos", "label", "block", "same"))
+        place = cell["place"][order]
+        found = []
+        for i in range(len(ids) - 1):
+            end = int(np.searchsorted(n, n[i] * 100 // percent, "right"))  # sizes within the ratio
+            j = np.arange(i + 1, end)
+            j = j[(label[j] != label[i]) & (ids[j] != ids[i]) & (same[i] | (block[j] != block[i]))]
+            need = -(-percent * (n[i] + n[j]) // (100 + percent))
+            j = j[np.minimum(n[i] - pos[i], n[j] - pos[j]) >= need]
+            if len(j):
+                apart = np.abs(place[j] - place[i]).sum(axis=1, dtype=np.int64)
+                j = j[2 * apart * 100 <= (100 - percent) * (n[i] + n[j] + apart)]
+                found.append(np.stack([np.minimum(ids[i], ids[j]), np.maximum(ids[i], ids[j])]))
+        return np.unique(np.concatenate(found, axis=1), axis=1) if found else None
+
+    def run(batches):
+        held, parts = None, []
+
+        def finish():
+            cell = {k: np.concatenate([p[k] for p in parts]) for k in parts[0]}
+            pairs = compare(cell)
+            if pairs is not None:
+                yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["a", "b"])
+
+        for b in batches:
+            if not b.num_rows:
+                continue
+            key = b.column("cell").to_numpy()
+            part = {k: b.column(k).to_numpy(zero_copy_only=False) for k in ("id", "n", "pos", "label", "block", "same")}
+            part["place"] = np.frombuffer(b"".join(b.column("place").to_pylist()), np.uint8).reshape(-1, 256).astype(np.int16)
+            cuts = [0, *(np.flatnonzero(key[1:] != key[:-1]) + 1).tolist(), len(key)]
+            for lo, hi in zip(cuts[:-1], cuts[1:]):
+                if key[lo] != held and parts:
+                    yield from finish()
+                    parts = []
+                held = key[lo]
+                parts.append({k: v[lo:hi] for k, v in part.items()})
+        if parts:
+            yield from finish()
+
+    return arrow_map(rows.repartition("cell").sortWithinPartitions("cell"), run, "a long, b long")
+
+
+def distances(pairs: DataFrame, docs: DataFrame, order: int) -> DataFrame:
+    """a, b, d: exact distances of pairs, on whole sets gathered for them alone."""
+    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
+    sets = gather_sets(docs, ids, order)
 
     def overlap(batches):
         for b in batches:
-            common, whole = [], []
+            d = []
             for x, y in zip(b.column("x"), b.column("y")):
                 x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
                 both = len(np.intersect1d(x, y, assume_unique=True))
-                common.append(both)
-                whole.append(len(x) + len(y) - both)
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(common, pa.int64()), pa.array(whole, pa.int64())], names=["a", "b", "common", "whole"])
+                whole = len(x) + len(y) - both
+                d.append((whole - both, whole))
+            d = np.array(d, np.int64).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(d[:, 0]), pa.array(d[:, 1])], names=["a", "b", "apart", "whole"])
 
     left = sets.select(F.col("id").alias("b"), F.col("body").alias("y"))
     right = sets.select(F.col("id").alias("a"), F.col("body").alias("x"))
-    rows = pairs.select("a", "b").distinct().join(left, "b").join(right, "a")
-    return materialise(rows.select("a", "b", "x", "y").mapInArrow(overlap, "a long, b long, common long, whole long"), "distances")
+    rows = pairs.join(left, "b").join(right, "a")
+    return materialise(arrow_map(rows.select("a", "b", "x", "y"), overlap, "a long, b long, apart long, whole long"), "distances")
 
 
-def settle(regions: DataFrame, labels: DataFrame) -> DataFrame:
-    """Points of the regions that hold more than one component label."""
-    marked = regions.drop("label").join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
-    open_ = marked.groupBy("region").agg(F.min("label").alias("lo"), F.max("label").alias("hi")).where("lo <> hi").select("region")
-    return marked.join(open_, "region", "left_semi")
+def settle(regions: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
+    """What is open: points of regions with more than one component label that still share enough such windows."""
+    marked = regions.join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
+    left = materialise(several(marked, "label"), "open")
+    return materialise(several(promising(left, percent), "label"), "regions")
 
 
-def links(docs: DataFrame, *, order: int = 5, percent: int = 80, levels: int = 4, sample: int = 8192, most_frequent: int = 50_000) -> tuple[DataFrame, DataFrame, DataFrame]:
+def links(docs: DataFrame, *, order: int = 5, percent: int = 80, levels: int = 2, sample: int = 8192, most_frequent: int = 100_000) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(points, links, labels). points: doc_id, n, rep (the smallest doc_id of its set); links: verified pairs a, b of
     different sets, enough to connect every component; labels: node, label."""
+    spark = docs.sparkSession
     frequent = frequent_shingles(docs, order, sample=sample, most=most_frequent)
     table = materialise(points_of(docs, order, percent, frequent), "points")
     known = table.where("doc_id is not null")
@@ -208,44 +306,40 @@ def links(docs: DataFrame, *, order: int = 5, percent: int = 80, levels: int = 4
     points = known.select("doc_id", "n", "k1", "k2").join(many, ["k1", "k2", "n"], "left").select("doc_id", "n", "k1", F.coalesce("rep", "doc_id").alias("rep"))
     points = materialise(points, "reps")
     others = points.where("rep <> doc_id").select("doc_id", "k1")
-    small = others.count() <= 1_000_000
-    single = known.where("n > 0").join(F.broadcast(others) if small else others, ["doc_id", "k1"], "left_anti").select("doc_id", "n", "prefix")
-    found = materialise(first_regions(single, frequent, buckets_for(text_bytes(docs)), percent), "regions")
-    sets = gather_sets(docs, found.select("id").union(found.where("partner is not null").select("partner")).distinct(), order)
-    linked = lambda d: d.where(F.col("common") * 100 >= percent * F.col("whole")).select("a", "b")
-    regions = found.where("partner is null").select("region", "id", "n", "pos")
-    pairs = found.where("partner is not null").select(F.col("id").alias("a"), F.col("partner").alias("b"))
-    all_links, radius = None, (100 - percent) / 100
-    labels = None
+    single = known.where("n > 0").join(small(others), ["doc_id", "k1"], "left_anti").select("doc_id", "n", "prefix")
+    first = materialise(first_regions(single, frequent, buckets_for(text_bytes(docs))), "windows").withColumn("origin", F.col("region"))
+    regions = materialise(several(promising(first, percent), "id"), "regions")
+    seen = materialise(regions.select(F.col("id").alias("doc_id")).distinct(), "seen")
+    places = known.join(small(seen), "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "n", "place")
+    places = materialise(places.dropDuplicates(["id", "n", "place"]), "places")
+    gap, all_links = 100 - percent, None
+    labels = spark.createDataFrame([], "node long, label long")
     for level in range(levels + 1):
         if level < levels:
             # the pivot of a region: one order of all points, so that regions of the same points agree
             pivots = regions.groupBy("region").agg(F.min(F.struct(F.xxhash64("id", F.lit(level)).alias("o"), "id")).alias("p"), F.count(F.lit(1)).alias("c")).where("c > 1").select("region", F.col("p.id").alias("pivot"))
-            held = regions.select("region", "id", "n", "pos").join(pivots, "region").where("id <> pivot")
-            pairs_now = held.select(F.col("id").alias("a"), F.col("pivot").alias("b"))
+            held = regions.select("region", "origin", "id", "n", "pos").join(pivots, "region").where("id <> pivot")
+            pairs = held.select(F.col("id").alias("a"), F.col("pivot").alias("b"))
         else:
-            x, y = regions.alias("x"), regions.alias("y")
-            n1, n2 = F.col("x.n"), F.col("y.n")
-            need = F.ceil(percent * (n1 + n2) / (100 + percent))
-            fits = (F.col("x.region") == F.col("y.region")) & (F.col("x.id") < F.col("y.id")) & (F.col("x.label") != F.col("y.label"))
-            fits &= (100 * F.least(n1, n2) >= percent * F.greatest(n1, n2)) & (F.least(n1 - F.col("x.pos"), n2 - F.col("y.pos")) >= need) & (F.abs(F.col("x.d") - F.col("y.d")) <= radius + 1e-9)
             held = None
-            pairs_now = x.join(y, fits).select(F.col("x.id").alias("a"), F.col("y.id").alias("b"))
-        if level == 0:
-            pairs_now = pairs_now.unionByName(pairs)
-        measured = distances(pairs_now, sets)
-        fresh = linked(measured)
+            pairs = open_pairs(regions, places, percent)
+        rough = near_pairs(pairs, places, percent)
+        exact = distances(rough.where(F.col("floor") * 100 <= gap + 1e-6).select("a", "b").distinct(), docs, order)
+        fresh = exact.where(F.col("apart") * 100 <= gap * F.col("whole")).select("a", "b").distinct()
+        fresh = materialise(fresh, "links")
+        if not fresh.isEmpty():  # earlier labels stand for earlier links
+            labels = materialise(components(fresh.unionByName(labels.select(F.col("node").alias("a"), F.col("label").alias("b")))), "labels")
         all_links = fresh if all_links is None else all_links.unionByName(fresh)
-        labels = materialise(components(all_links), "labels")
         if held is None:
             break
-        d = 1 - F.col("common") / F.col("whole")
-        ringed = held.join(measured.withColumn("d", d).select(F.col("a").alias("id"), F.col("b").alias("pivot"), "d"), ["id", "pivot"])
-        ring = F.floor(F.col("d") / radius - 1e-9).cast("int")
-        # a point goes to its own ring and into the next one outwards
-        ringed = ringed.withColumn("ring", F.explode(F.array(ring, ring + 1)))
-        regions = ringed.select(F.xxhash64("region", "ring").alias("region"), "id", "n", "pos", "d")
-        regions = materialise(settle(regions, labels), "regions")
+        d = rough.groupBy("a", "b").agg(F.min("floor").alias("floor")).join(exact.groupBy("a", "b").agg(F.min(F.col("apart") / F.col("whole")).alias("d")), ["a", "b"], "left")
+        d = d.select(F.col("a").alias("id"), F.col("b").alias("pivot"), F.coalesce("d", "floor").alias("d"), F.col("d").isNotNull().alias("known"))
+        placed = held.join(d, ["id", "pivot"])
+        ball = F.col("known") & (F.col("d") * 100 <= gap)
+        shell = ~ball & (F.col("d") * 100 <= 2 * gap + 1e-6)
+        parts = F.when(ball, F.array(F.lit(0))).when(shell, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(1)))
+        split = placed.withColumn("part", F.explode(parts))
+        regions = settle(split.select(F.xxhash64("region", "part").alias("region"), "origin", "id", "n", "pos"), labels, percent)
         if regions.isEmpty():
             break
     return points, all_links, labels
@@ -264,7 +358,7 @@ def classes(docs: DataFrame, **options) -> DataFrame:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array([len(s) for _, s in shingle_sets(b.column("text"), order)], pa.int64()), b.column("doc_id")], names=["doc_id", "n_shingles", "component_id"])
 
-    return whole.unionByName(empty.mapInArrow(sizes, "doc_id long, n_shingles long, component_id long"))
+    return whole.unionByName(arrow_map(empty, sizes, "doc_id long, n_shingles long, component_id long"))
 
 
 def representatives(docs: DataFrame, **options) -> DataFrame:
