@@ -119,10 +119,11 @@ def test_jaccard_components_equal_brute_force(spark, seed):
     assert all(r.n_shingles in size[r.doc_id] for r in got)
 
 
-def test_jaccard_without_further_levels(spark):
-    """All pairs of the first regions: the last stage alone gives the same."""
+def test_jaccard_without_further_levels(spark, monkeypatch):
+    """one level, then small blocks."""
+    monkeypatch.setattr(jaccard_join, "BLOCK_POINTS", 6)
     rows = corpus(3, 80)
-    got = jaccard_join.classes(frame(spark, rows), sample=10, levels=0 or 1).collect()
+    got = jaccard_join.classes(frame(spark, rows), sample=10, levels=1).collect()
     assert {r.doc_id: r.component_id for r in got} == brute(rows)
 
 
