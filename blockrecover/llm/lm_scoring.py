@@ -1,10 +1,11 @@
 """Language-model scoring from a log-frequency Bloom filter of quantised n-gram counts.
 
-A count c is stored as its level 1 + floor(log_base c): the filter holds the n-gram together with each level up to
-its own, so a count is read back by probing levels until probes fail. Such a read never falls below the
-stored level; it may exceed it by a false positive. Counts come from all training text: every task counts its n-grams,
-counts meet by hash bucket, each bucket builds the filter segment of its hashes. The filter is broadcast; where its
-bits would pass ``most_bytes``, the least count that is stored rises, order by order, until it fits.
+A count c is stored as its level: levels are the intervals between powers of ``base`` that hold a whole number. The
+filter holds the n-gram together with each level up to its own, so a count is read back by probing levels until probes
+fail. Such a read never falls below the stored level; it may exceed it by a false positive. Counts come from all training
+text: every task counts its n-grams, counts meet by hash bucket, each bucket builds the filter segment of its hashes. No
+count is dropped at any size: where the bits surely fit ``most_bytes`` the filter is broadcast, else each bucket probes
+its own segment for the n-grams that slabs of text ask for, and the levels go back to the slabs. Both give equal results.
 
 Model: p1(w) = (c(w) + 1) / (N + V + 1); p(w | v) = share * c(v w) / c(v) + (1 - share) * p1(w), all counts as the filter gives
 them: numerators take the lower edge of a level, the denominator the upper edge, so probabilities of a context sum to at
@@ -19,15 +20,15 @@ an empty table gives an empty result; repeated rows train and are scored each.
 
 from __future__ import annotations
 
-import math
+from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, as_long, materialise, mix64, text_or_empty, words_of
-from .packed import buckets_for, regroup, split_by, text_bytes
+from .common import arrow_map, as_long, buffers, materialise, mix64, slabs, text_or_empty, words_of
+from .packed import buckets_for, regroup, split_by
 
 #: Hashes of the end token and of the start mark: no words.
 END, START = np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3)
@@ -56,15 +57,25 @@ def pair_hash(contexts: np.ndarray, tokens: np.ndarray) -> np.ndarray:
     return mix64(contexts * _PAIR + tokens)
 
 
+@lru_cache(maxsize=8)
+def least_counts(base: float) -> np.ndarray:
+    """The least count of each level, from level 1 up."""
+    powers = [1.0]
+    while powers[-1] < 2.0**53:
+        powers.append(base ** len(powers))
+    return np.unique(np.ceil(np.array(powers) - 1e-9))
+
+
 def level_of(counts: np.ndarray, base: float) -> np.ndarray:
-    return 1 + np.floor(np.log(np.maximum(counts, 1)) / math.log(base) + 1e-12).astype(np.int64)
+    return np.searchsorted(least_counts(base), np.maximum(counts, 1), "right").astype(np.int64)
 
 
 def edges(levels: np.ndarray, base: float) -> tuple[np.ndarray, np.ndarray]:
     """Least and largest count of each level; level 0: none."""
-    low = np.where(levels > 0, np.ceil(base ** (levels - 1.0) - 1e-9), 0)
-    high = np.where(levels > 0, np.maximum(low, np.ceil(base ** (levels * 1.0) - 1e-9) - 1), 0)
-    return low, high
+    least = least_counts(base)
+    levels = np.minimum(levels, len(least) - 1)
+    low = np.where(levels > 0, least[levels - 1], 0)
+    return low, np.where(levels > 0, least[levels] - 1, 0)
 
 
 class LogBloom:
@@ -159,58 +170,201 @@ def count_grams(docs: DataFrame, training: Column, buckets: int) -> DataFrame:
             h, inverse = np.unique(part["h"], return_inverse=True)
             c = np.bincount(inverse, weights=part["c"], minlength=len(h)).astype(np.int64)
             total, kinds = (int(c[h != START].sum()), int((h != START).sum())) if order == 1 else (0, 0)
-            # single occurrences of pairs are never stored
-            keep = c >= (1 if order == 1 else 2)
-            levels = np.bincount(np.minimum(c[keep], 255), minlength=256).astype(np.int64)
+            keep = c >= LEAST_STORED[order]
             yield pa.RecordBatch.from_arrays(
-                [pa.array([bucket], pa.int32()), pa.array([order], pa.int32()), pa.array([total], pa.int64()), pa.array([kinds], pa.int64()), pa.array([levels.tolist()], pa.list_(pa.int64())), pa.array([h[keep].tobytes()], pa.binary()), pa.array([c[keep].astype("<u4").tobytes()], pa.binary())],
-                names=["bucket", "order", "total", "kinds", "histogram", "h", "c"],
+                [pa.array([bucket], pa.int32()), pa.array([order], pa.int32()), pa.array([total], pa.int64()), pa.array([kinds], pa.int64()), pa.array([h[keep].tobytes()], pa.binary()), pa.array([c[keep].astype("<u4").tobytes()], pa.binary())],
+                names=["bucket", "order", "total", "kinds", "h", "c"],
             )
 
     rows = arrow_map(docs.where(training).select(text_or_empty().alias("text")), emit, "bucket int, body binary")
-    return regroup(rows, buckets, ENTRY, handle, "bucket int, order int, total long, kinds long, histogram array<long>, h binary, c binary")
+    return regroup(rows, buckets, ENTRY, handle, "bucket int, order int, total long, kinds long, h binary, c binary")
 
 
-def build_filter(counts: DataFrame, buckets: int, *, base: float, bits_a_key: int, most_bytes: int) -> LogBloom:
-    """The filter of all stored counts; only its bits, of a bounded size, come to the driver."""
-    shape = counts.select("order", F.posexplode("histogram").alias("c", "n")).groupBy("order", "c").agg(F.sum("n").alias("n")).collect()
-    least = {1: 1, 2: 2}
+#: The least count that is stored, by order.
+LEAST_STORED = {1: 1, 2: 2}
+
+
+def first_levels(base: float) -> dict[int, int]:
+    return {o: int(level_of(np.array([k]), base)[0]) for o, k in LEAST_STORED.items()}
+
 
-    def keys(order: int, cut: int) -> int:
-        c = [(r["c"], r["n"]) for r in shape if r["order"] == order and r["c"] >= cut]
-        low = int(level_of(np.array([cut]), base)[0])
-        # counts past the histogram's end are few and stored with some more levels
-        return sum(n * (int(level_of(np.array([k]), base)[0]) - low + 1 + 16 * (k == 255)) for k, n in c)
+def segment_of(parts, *, base: float, bits_a_key: int) -> np.ndarray:
+    """The packed bits of one bucket's segment from its (order, hashes, counts)."""
+    first, keys, levels = first_levels(base), [], []
+    for o, h, c in parts:
+        keep = c >= LEAST_STORED[o]
+        n = level_of(c[keep], base) - first[o] + 1
+        keys.append(np.repeat(h[keep] ^ np.uint64(o), n))
+        levels.append(first[o] + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n))
+    hh, level = np.concatenate(keys), np.concatenate(levels)
+    size = -(-max(64, len(hh) * bits_a_key) // 8) * 8 if len(hh) else 0
+    bits = np.zeros(size, np.uint8)
+    if size:
+        for probe in LogBloom.probes(hh, level):
+            bits[LogBloom.place(probe, np.uint64(size))] = 1
+    return np.packbits(bits, bitorder="little")
 
-    while (keys(1, least[1]) + keys(2, least[2])) * bits_a_key > 8 * most_bytes and min(least.values()) < 255:
-        order = 2 if keys(2, least[2]) >= keys(1, least[1]) and least[2] < 255 or least[1] == 255 else 1
-        least[order] += 1
-    first = {o: int(level_of(np.array([k]), base)[0]) for o, k in least.items()}
+
+def build_filter(counts: DataFrame, buckets: int, *, base: float, bits_a_key: int, most_bytes: int) -> LogBloom:
+    """The filter of all stored counts on the driver; ``most_bytes`` bounds its bits."""
 
     def segment(batches):
         for b in batches:
             for bucket, order, h, c in zip(*(b.column(x).to_pylist() for x in ("bucket", "orders", "hs", "cs"))):
-                parts = []
-                for o, hh, cc in zip(order, h, c):
-                    hh, cc = np.frombuffer(hh, "<u8"), np.frombuffer(cc, "<u4")
-                    keep = cc >= least[o]
-                    top = level_of(cc[keep], base)
-                    n = np.maximum(top - first[o] + 1, 1)
-                    level = first[o] + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
-                    parts.append((np.repeat(hh[keep] ^ np.uint64(o), n), level))
-                hh, level = (np.concatenate(x) for x in zip(*parts))
-                size = -(-max(64, len(hh) * bits_a_key) // 8) * 8 if len(hh) else 0
-                bits = np.zeros(size, np.uint8)
-                if size:
-                    for probe in LogBloom.probes(hh, level):
-                        bits[LogBloom.place(probe, np.uint64(size))] = 1
-                yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([np.packbits(bits, bitorder="little").tobytes()], pa.binary())], names=["bucket", "bits"])
+                bits = segment_of([(o, np.frombuffer(hh, "<u8"), np.frombuffer(cc, "<u4")) for o, hh, cc in zip(order, h, c)], base=base, bits_a_key=bits_a_key)
+                yield pa.RecordBatch.from_arrays([pa.array([bucket], pa.int32()), pa.array([bits.tobytes()], pa.binary())], names=["bucket", "bits"])
 
     grouped = counts.groupBy("bucket").agg(F.collect_list(F.struct("order", "h", "c")).alias("x")).select("bucket", F.col("x.order").alias("orders"), F.col("x.h").alias("hs"), F.col("x.c").alias("cs"))
     got = {r["bucket"]: r["bits"] for r in arrow_map(grouped, segment, "bucket int, bits binary").collect()}
+    if sum(map(len, got.values())) > most_bytes:
+        raise ValueError("the filter passes most_bytes: score such tables by scored_by_bucket")
     size = np.array([8 * len(got.get(k, b"")) for k in range(buckets)], np.int64)
     bits = np.frombuffer(b"".join(bytes(got.get(k, b"")) for k in range(buckets)) or b"\0", np.uint8)
-    return LogBloom(bits, np.cumsum(size) - size, size, first, base)
+    return LogBloom(bits, np.cumsum(size) - size, size, first_levels(base), base)
+
+
+def ratings(code, at, unigrams, pairs, *, whole: float, share: float, base: float) -> np.ndarray:
+    """The score of each text of a slab. code: each token's place among the kinds; unigrams: levels of the kinds and,
+    last, of the start mark; pairs: level of each token with its context."""
+    low, high = edges(unigrams, base)
+    p1 = (low[:-1] + 1.0) / whole
+    # a token's context is the token before it, or the start mark
+    lead = np.append(len(low) - 1, code[:-1])
+    lead[at[:-1]] = len(low) - 1
+    context = high[lead]
+    p = (1 - share) * p1[code] + share * np.minimum(edges(pairs, base)[0], context) / np.maximum(context, 1)
+    return np.add.reduceat(np.log10(p), at[:-1])
+
+
+def base_ratings(code, at, count, whole: float) -> tuple[np.ndarray, np.ndarray]:
+    """n_known and base_score of each text of a slab from the exact counts of its kinds."""
+    return np.add.reduceat((count > 0)[code].astype(np.int64), at[:-1]), np.add.reduceat(np.log10((count + 1.0) / whole)[code], at[:-1])
+
+
+# ---------------------------------------------------------------- probes by bucket
+
+
+def runs_of(batches, key: str):
+    """Yields (value, table) of each run of rows with equal ``key``, across batches."""
+    held, parts = None, []
+    for b in batches:
+        values = b.column(key).to_numpy()
+        heads = np.flatnonzero(np.r_[True, values[1:] != values[:-1]]) if len(values) else []
+        for lo, hi in zip(heads, np.append(heads[1:], len(values)) if len(values) else []):
+            if parts and values[lo] != held:
+                yield held, pa.Table.from_batches(parts)
+                parts = []
+            held = values[lo]
+            parts.append(b.slice(lo, hi - lo))
+    if parts:
+        yield held, pa.Table.from_batches(parts)
+
+
+class Slab:
+    """The distinct n-grams of a slab of text in the order in which buckets are asked for them."""
+
+    def __init__(self, texts, buckets: int):
+        ((_, tokens, contexts, self.at),) = token_stream(texts)
+        self.kinds, self.code = np.unique(tokens, return_inverse=True)
+        self.pairs, self.pair_code = np.unique(pair_hash(contexts, tokens), return_inverse=True)
+        self.h = np.concatenate([self.kinds, [START], self.pairs])
+        bucket = ((self.h >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64)
+        self.order = np.argsort(bucket, kind="stable")
+        self.unigrams = len(self.kinds) + 1
+        self.bucket = bucket[self.order]
+
+    def counts(self, train: np.ndarray) -> np.ndarray:
+        each = np.repeat(train, np.diff(self.at)).astype(np.float64)
+        return np.concatenate([np.bincount(self.code, each, len(self.kinds)), [train.sum()], np.bincount(self.pair_code, each, len(self.pairs))]).astype("<u4")
+
+
+def in_slabs(rows: DataFrame) -> DataFrame:
+    """A table (slab, rows): texts of one slab are one row, so that later passes see the same slabs."""
+    kind = "array<struct<doc_id:bigint,held_out:boolean,text:string>>"
+
+    def cut(batches):
+        from pyspark import TaskContext
+
+        at = TaskContext.get().partitionId() << 32
+        for b in batches:
+            ranges = list(slabs(buffers(b.column("text"))[1]))
+            offsets = pa.array([0, *(hi for _, hi in ranges)], pa.int32())
+            body = pa.StructArray.from_arrays([b.column(k) for k in ("doc_id", "held_out", "text")], ["doc_id", "held_out", "text"])
+            yield pa.RecordBatch.from_arrays([pa.array(at + np.arange(len(ranges))), pa.ListArray.from_arrays(offsets, body)], names=["slab", "rows"])
+            at += len(ranges)
+
+    return materialise(arrow_map(rows.select("doc_id", "held_out", "text"), cut, f"slab long, rows {kind}"), "slabs").select("slab", F.posexplode("rows").alias("pos", "row")).select("slab", "pos", "row.*")
+
+
+def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float, bits_a_key: int) -> DataFrame:
+    """As ``score``, with nothing of the input's size on the driver or in a broadcast. A slab sends each bucket its distinct
+    n-grams with their training counts; the bucket adds them up, builds its segment and answers with the level of each
+    n-gram and the exact count of each unigram, in the order asked."""
+    texts = in_slabs(rows)
+
+    def ask(batches):
+        for slab, part in runs_of(batches, "slab"):
+            own = Slab(part.column("text"), buckets)
+            h, c = own.h[own.order], own.counts(~part.column("held_out").to_numpy(zero_copy_only=False))[own.order]
+            heads = np.flatnonzero(np.r_[True, own.bucket[1:] != own.bucket[:-1]])
+            ends = np.append(heads[1:], len(h))
+            single = np.add.reduceat((own.order < own.unigrams).astype(np.int32), heads)
+            yield pa.RecordBatch.from_arrays(
+                [pa.array(np.full(len(heads), slab)), pa.array(own.bucket[heads].astype(np.int32)), pa.array(single.astype(np.int32)), pa.array([h[a:b].tobytes() for a, b in zip(heads, ends)], pa.binary()), pa.array([c[a:b].tobytes() for a, b in zip(heads, ends)], pa.binary())],
+                names=["slab", "bucket", "single", "h", "c"],
+            )
+
+    def answer(batches):
+        for bucket, part in runs_of(batches, "bucket"):
+            single = part.column("single").to_numpy()
+            h = [np.frombuffer(x.as_buffer(), "<u8") for x in part.column("h")]
+            c = [np.frombuffer(x.as_buffer(), "<u4") for x in part.column("c")]
+            whole, places = [], []
+            for o in (1, 2):
+                pick = [slice(0, n) if o == 1 else slice(n, None) for n in single]
+                kinds, place = np.unique(np.concatenate([x[k] for x, k in zip(h, pick)]), return_inverse=True)
+                count = np.bincount(place, np.concatenate([x[k] for x, k in zip(c, pick)]), len(kinds)).astype(np.int64)
+                whole.append((o, kinds, count))
+                places.append(np.split(place, np.cumsum([len(x[k]) for x, k in zip(h, pick)])[:-1]))
+            bits = segment_of(whole, base=base, bits_a_key=bits_a_key)
+            own = LogBloom(bits, np.zeros(1, np.int64), np.array([8 * len(bits)], np.int64), first_levels(base), base)
+            levels = [own.level(kinds, o).astype("<u2") for o, kinds, _ in whole]
+            _, kinds, count = whole[0]
+            word = kinds != START
+            total, known = int(count[word].sum()), int((count[word] > 0).sum())
+            for i, slab in enumerate(part.column("slab").to_pylist()):
+                read = np.concatenate([levels[0][places[0][i]], levels[1][places[1][i]]])
+                yield pa.RecordBatch.from_arrays(
+                    [pa.array([slab]), pa.array([bucket], pa.int32()), pa.array([total if i == 0 else 0]), pa.array([known if i == 0 else 0]), pa.array([read.tobytes()], pa.binary()), pa.array([count[places[0][i]].astype("<u4").tobytes()], pa.binary())],
+                    names=["slab", "pos", "total", "kinds", "levels", "counts"],
+                )
+
+    asked = arrow_map(texts, ask, "slab long, bucket int, single int, h binary, c binary").repartition(buckets, "bucket").sortWithinPartitions("bucket", "slab")
+    answers = materialise(arrow_map(asked, answer, "slab long, pos int, total long, kinds long, levels binary, counts binary"), "answers")
+    total, kinds = (x or 0 for x in answers.agg(F.sum("total"), F.sum("kinds")).first())
+    smooth = float(total) + float(kinds) + 1.0
+
+    def read(batches):
+        for _, part in runs_of(batches, "slab"):
+            answers = part.column("levels").null_count < len(part) and part.filter(part.column("levels").is_valid())
+            part = part.filter(part.column("levels").is_null())
+            own = Slab(part.column("text"), buckets)
+            levels, single = np.empty(len(own.h), np.int64), np.empty(len(own.h), np.int64)
+            levels[own.order] = np.frombuffer(b"".join(answers.column("levels").to_pylist()), "<u2")
+            # unigrams keep their order among the asked
+            single[own.order[own.order < own.unigrams]] = np.frombuffer(b"".join(answers.column("counts").to_pylist()), "<u4")
+            known, base_score = base_ratings(own.code, own.at, single[: own.unigrams - 1], smooth)
+            rated = ratings(own.code, own.at, levels[: own.unigrams], levels[own.unigrams :][own.pair_code], whole=smooth, share=share, base=base)
+            yield pa.RecordBatch.from_arrays(
+                [part.column("doc_id").combine_chunks(), part.column("held_out").combine_chunks(), pa.array(np.diff(own.at).astype(np.int64)), pa.array(known), pa.array(np.full(len(part), int(total))), pa.array(base_score), pa.array(rated)],
+                names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
+            )
+
+    both = texts.withColumn("after", F.lit(1)).unionByName(answers.select("slab", "pos", "levels", "counts", F.lit(0).alias("after")), allowMissingColumns=True)
+    return arrow_map(both.repartition("slab").sortWithinPartitions("slab", "after", "pos"), read, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
+
+
+# ---------------------------------------------------------------- whole tables
 
 
 def score(
@@ -219,7 +373,13 @@ def score(
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of ``docs``."""
     spark = docs.sparkSession
     fold = F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.lit(held_modulus))
-    buckets = buckets_for(text_bytes(docs))
+    held = (fold == held_remainder).alias("held_out")
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held, F.xxhash64(text_or_empty()).alias("text_key"), text_or_empty().alias("text"))
+    n_bytes, n_rows = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.count(F.lit(1))).first()
+    buckets = buckets_for(n_bytes)
+    # a token adds at most one key for itself and one with its context, a text one more for its start
+    if (n_bytes + 4 * n_rows) * bits_a_key // 8 + 16 * buckets > most_bytes:
+        return scored_by_bucket(rows, buckets, share=share, base=base, bits_a_key=bits_a_key)
     counts = materialise(count_grams(docs, fold != held_remainder, buckets), "grams")
     total, kinds = (x or 0 for x in counts.where("order = 1").agg(F.sum("total"), F.sum("kinds")).first())
     bloom = build_filter(counts, buckets, base=base, bits_a_key=bits_a_key, most_bytes=most_bytes)
@@ -231,13 +391,10 @@ def score(
         c = np.frombuffer(b"".join(table.column("c").to_pylist()), "<u4")
         order = np.argsort(h)
         exact = spark.sparkContext.broadcast((h[order], c[order]))
-    n_all, v_all = float(total), float(kinds)
-    held = (fold == held_remainder).alias("held_out")
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held, F.xxhash64(text_or_empty()).alias("text_key"), text_or_empty().alias("text"))
+    whole = float(total) + float(kinds) + 1.0
 
     def read(batches):
         filter_ = LogBloom(*shared.value, base)
-        by_level = edges(np.arange(400), base)[0]
         for b in batches:
             out = {k: [] for k in ("n_tokens", "n_known", "base_score", "score")}
             for _, tokens, contexts, at in token_stream(b.column("text")):
@@ -246,18 +403,11 @@ def score(
                     h, c = exact.value
                     place = np.minimum(np.searchsorted(h, kind), max(len(h) - 1, 0))
                     count = np.where(h[place] == kind, c[place], 0) if len(h) else np.zeros(len(kind), np.int64)
-                    out["n_known"].append(np.add.reduceat((count > 0)[code].astype(np.int64), at[:-1]))
-                    out["base_score"].append(np.add.reduceat(np.log10((count + 1.0) / (n_all + v_all + 1.0))[code], at[:-1]))
-                low, high = edges(filter_.level(np.append(kind, START), 1), base)
-                p1 = (low[:-1] + 1.0) / (n_all + v_all + 1.0)
-                # a token's context is the token before it, or the start mark
-                lead = np.append(len(kind), code[:-1])
-                lead[at[:-1]] = len(kind)
-                context = high[lead]
-                both = by_level[filter_.level(pair_hash(contexts, tokens), 2)]
-                p = (1 - share) * p1[code] + share * np.minimum(both, context) / np.maximum(context, 1)
+                    known, base_score = base_ratings(code, at, count, whole)
+                    out["n_known"].append(known)
+                    out["base_score"].append(base_score)
                 out["n_tokens"].append(np.diff(at))
-                out["score"].append(np.add.reduceat(np.log10(p), at[:-1]))
+                out["score"].append(ratings(code, at, filter_.level(np.append(kind, START), 1), filter_.level(pair_hash(contexts, tokens), 2), whole=whole, share=share, base=base))
             join = lambda k, t: pa.array(np.concatenate(out[k]).astype(t)) if out[k] else pa.nulls(b.num_rows, pa.from_numpy_dtype(t))
             yield pa.RecordBatch.from_arrays(
                 [b.column("doc_id"), b.column("held_out"), b.column("text_key"), join("n_tokens", np.int64), join("n_known", np.int64), join("base_score", np.float64), join("score", np.float64)],
@@ -266,7 +416,7 @@ def score(
 
     scored = arrow_map(rows, read, "doc_id long, held_out boolean, text_key long, n_tokens long, n_known long, base_score double, score double")
     if exact is None:
-        scored = scored.drop("n_known", "base_score").join(joined_base(rows, counts, n_all + v_all + 1.0), ["text_key"], "left")
+        scored = scored.drop("n_known", "base_score").join(joined_base(rows, counts, whole), ["text_key"], "left")
     return scored.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(int(total)).cast("long").alias("train_tokens"), "base_score", "score")
 
 

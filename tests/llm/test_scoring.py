@@ -66,6 +66,14 @@ def test_model_beats_base_on_held_out(spark, data):
     assert sum(r.score for r in got) > sum(r.base_score for r in got)
 
 
+@pytest.mark.parametrize("n", [120, 4])
+def test_scores_do_not_depend_on_the_broadcast_bound(spark, n):
+    rows = frame(spark, texts(5, n))
+    whole, parted = (sorted(map(repr, lm_scoring.score(rows, most_bytes=bound).collect())) for bound in (96 << 20, 0))
+    assert whole == parted
+    assert lm_scoring.score(rows.where("false"), most_bytes=0).count() == 0
+
+
 def test_topk_brute_force(spark):
     rng = np.random.default_rng(3)
     rows = [(i, [float(x) for x in v]) for i, v in enumerate(rng.normal(size=(300, 16)))]
