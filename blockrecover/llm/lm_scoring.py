@@ -2,7 +2,7 @@
 
 A count c is stored as its level: levels are the intervals between powers of ``base`` that hold a whole number. The
 filter holds the n-gram together with each level up to its own, so a count is read back by probing levels until probes
-fail. Such a read never falls below the stored level; it may exceed it by a false positive. Counts come from all training
+fail; counts from 1 are stored. Such a read never falls below the stored level; it may exceed it by a false positive. Counts come from all training
 text: every task counts its n-grams, counts meet by hash bucket, each bucket builds the filter segment of its hashes. No
 count is dropped at any size: where the bits surely fit ``most_bytes`` the filter is broadcast, else each bucket probes
 its own segment for the n-grams that slabs of text ask for, and the levels go back to the slabs. Both give equal results.
@@ -81,8 +81,8 @@ def edges(levels: np.ndarray, base: float) -> tuple[np.ndarray, np.ndarray]:
 class LogBloom:
     """Segments by hash bucket. bits: all segments; start and size: their first bit and number of bits."""
 
-    def __init__(self, bits: np.ndarray, start: np.ndarray, size: np.ndarray, first: dict[int, int], base: float):
-        self.bits, self.start, self.size, self.first, self.base = bits, start, size, first, base
+    def __init__(self, bits: np.ndarray, start: np.ndarray, size: np.ndarray, base: float):
+        self.bits, self.start, self.size, self.base = bits, start, size, base
 
     @staticmethod
     def probes(h: np.ndarray, level: np.ndarray | int):
@@ -113,25 +113,24 @@ class LogBloom:
         return out
 
     def level(self, h: np.ndarray, order: int) -> np.ndarray:
-        """Level of each n-gram by repeated membership probes, 0 if the least stored level is absent. All levels up to
+        """Level of each n-gram by repeated membership probes, 0 if the first is absent. All levels up to
         an n-gram's own are stored, so after the first the probes go up by doubling steps until one fails, then halve
         what lies between."""
         out = np.zeros(len(h), np.int64)
         bucket = ((h >> np.uint64(20)) % np.uint64(len(self.size))).astype(np.int64)
         there = np.flatnonzero(self.size[bucket] > 0)
-        first = self.first[order]
 
         def facts(rows):
             return (h ^ np.uint64(order))[rows], self.start[bucket[rows]], self.size[bucket[rows]].astype(np.uint64)
 
-        there = there[self.holds(*facts(there), np.full(len(there), first))]
+        there = there[self.holds(*facts(there), np.full(len(there), 1))]
         # frequent n-grams come many times: each is followed up once
         _, one, code = np.unique(h[there], return_index=True, return_inverse=True)
         salt, start, size = facts(there[one])
         low, high = np.zeros(len(one), np.int64), np.full(len(one), -1, np.int64)
         rows, k = np.arange(len(one)), 1
         while len(rows):
-            ok = self.holds(salt[rows], start[rows], size[rows], np.full(len(rows), first + k))
+            ok = self.holds(salt[rows], start[rows], size[rows], np.full(len(rows), 1 + k))
             high[rows[~ok]] = k
             rows = rows[ok]
             low[rows] = k
@@ -139,10 +138,10 @@ class LogBloom:
         rows = np.flatnonzero(high - low > 1)
         while len(rows):
             mid = (low[rows] + high[rows]) // 2
-            ok = self.holds(salt[rows], start[rows], size[rows], first + mid)
+            ok = self.holds(salt[rows], start[rows], size[rows], 1 + mid)
             low[rows[ok]], high[rows[~ok]] = mid[ok], mid[~ok]
             rows = rows[high[rows] - low[rows] > 1]
-        out[there] = first + low[code]
+        out[there] = 1 + low[code]
         return out
 
 
@@ -170,9 +169,8 @@ def count_grams(docs: DataFrame, training: Column, buckets: int) -> DataFrame:
             h, inverse = np.unique(part["h"], return_inverse=True)
             c = np.bincount(inverse, weights=part["c"], minlength=len(h)).astype(np.int64)
             total, kinds = (int(c[h != START].sum()), int((h != START).sum())) if order == 1 else (0, 0)
-            keep = c >= LEAST_STORED[order]
             yield pa.RecordBatch.from_arrays(
-                [pa.array([bucket], pa.int32()), pa.array([order], pa.int32()), pa.array([total], pa.int64()), pa.array([kinds], pa.int64()), pa.array([h[keep].tobytes()], pa.binary()), pa.array([c[keep].astype("<u4").tobytes()], pa.binary())],
+                [pa.array([bucket], pa.int32()), pa.array([order], pa.int32()), pa.array([total], pa.int64()), pa.array([kinds], pa.int64()), pa.array([h.tobytes()], pa.binary()), pa.array([c.astype("<u4").tobytes()], pa.binary())],
                 names=["bucket", "order", "total", "kinds", "h", "c"],
             )
 
@@ -180,22 +178,13 @@ def count_grams(docs: DataFrame, training: Column, buckets: int) -> DataFrame:
     return regroup(rows, buckets, ENTRY, handle, "bucket int, order int, total long, kinds long, h binary, c binary")
 
 
-#: The least count that is stored, by order.
-LEAST_STORED = {1: 1, 2: 2}
-
-
-def first_levels(base: float) -> dict[int, int]:
-    return {o: int(level_of(np.array([k]), base)[0]) for o, k in LEAST_STORED.items()}
-
-
 def segment_of(parts, *, base: float, bits_a_key: int) -> np.ndarray:
     """The packed bits of one bucket's segment from its (order, hashes, counts)."""
-    first, keys, levels = first_levels(base), [], []
+    keys, levels = [], []
     for o, h, c in parts:
-        keep = c >= LEAST_STORED[o]
-        n = level_of(c[keep], base) - first[o] + 1
-        keys.append(np.repeat(h[keep] ^ np.uint64(o), n))
-        levels.append(first[o] + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n))
+        n = level_of(c[c > 0], base)
+        keys.append(np.repeat(h[c > 0] ^ np.uint64(o), n))
+        levels.append(1 + np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n))
     hh, level = np.concatenate(keys), np.concatenate(levels)
     size = -(-max(64, len(hh) * bits_a_key) // 8) * 8 if len(hh) else 0
     bits = np.zeros(size, np.uint8)
@@ -220,7 +209,7 @@ def build_filter(counts: DataFrame, buckets: int, *, base: float, bits_a_key: in
         raise ValueError("the filter passes most_bytes: score such tables by scored_by_bucket")
     size = np.array([8 * len(got.get(k, b"")) for k in range(buckets)], np.int64)
     bits = np.frombuffer(b"".join(bytes(got.get(k, b"")) for k in range(buckets)) or b"\0", np.uint8)
-    return LogBloom(bits, np.cumsum(size) - size, size, first_levels(base), base)
+    return LogBloom(bits, np.cumsum(size) - size, size, base)
 
 
 def ratings(code, at, unigrams, pairs, *, whole: float, share: float, base: float) -> np.ndarray:
@@ -327,7 +316,7 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
                 whole.append((o, kinds, count))
                 places.append(np.split(place, np.cumsum([len(x[k]) for x, k in zip(h, pick)])[:-1]))
             bits = segment_of(whole, base=base, bits_a_key=bits_a_key)
-            own = LogBloom(bits, np.zeros(1, np.int64), np.array([8 * len(bits)], np.int64), first_levels(base), base)
+            own = LogBloom(bits, np.zeros(1, np.int64), np.array([8 * len(bits)], np.int64), base)
             levels = [own.level(kinds, o).astype("<u2") for o, kinds, _ in whole]
             _, kinds, count = whole[0]
             word = kinds != START
@@ -383,7 +372,7 @@ def score(
     counts = materialise(count_grams(docs, fold != held_remainder, buckets), "grams")
     total, kinds = (x or 0 for x in counts.where("order = 1").agg(F.sum("total"), F.sum("kinds")).first())
     bloom = build_filter(counts, buckets, base=base, bits_a_key=bits_a_key, most_bytes=most_bytes)
-    shared = spark.sparkContext.broadcast((bloom.bits, bloom.start, bloom.size, bloom.first))
+    shared = spark.sparkContext.broadcast((bloom.bits, bloom.start, bloom.size))
     exact = None
     if kinds * 12 <= most_base_bytes:
         table = counts.where("order = 1").select("h", "c").toArrow()

@@ -74,6 +74,17 @@ def test_scores_do_not_depend_on_the_broadcast_bound(spark, n):
     assert lm_scoring.score(rows.where("false"), most_bytes=0).count() == 0
 
 
+@pytest.mark.parametrize("bound", [96 << 20, 0])
+def test_a_passage_seen_once_in_training_scores_higher(spark, bound):
+    is_held = lambda i: zlib.crc32(str(i).encode()) % 7 == 2
+    held, trains = [i for i in range(100) if is_held(i)], [i for i in range(100) if not is_held(i)]
+    rows = [(trains[0], "the old mill by a river turns", "a"), (held[0], "the old mill by a river turns", "a"), (held[1], "turns a by mill the river old", "a")]
+    got = {r.doc_id: r for r in lm_scoring.score(frame(spark, rows), most_bytes=bound).collect()}
+    assert math.isclose(got[held[0]].base_score, got[held[1]].base_score)
+    # each of the eight pairs has come once, as has its context: share * 1 / 1 at least
+    assert got[held[0]].score > 8 * math.log10(0.2) > got[held[1]].score
+
+
 def test_topk_brute_force(spark):
     rng = np.random.default_rng(3)
     rows = [(i, [float(x) for x in v]) for i, v in enumerate(rng.normal(size=(300, 16)))]
