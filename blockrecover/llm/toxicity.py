@@ -76,9 +76,11 @@ class Model:
         return -np.expm1(-np.bincount(document, weights=harm, minlength=len(offsets) - 1))
 
 
-def train(texts: pa.Array, labels: np.ndarray, *, rounds: int = 25, batch: int = 128, rate: float = 0.5, least_docs: int = 16, least_odds: float = 4.0, seed: int = 11) -> Model:
-    """Stochastic ascent of the noisy-or likelihood with per-weight rates. Features of fewer than ``least_docs``
-    documents, or not ``least_odds`` times as frequent in toxic documents, get no weight."""
+def train(texts: pa.Array, labels: np.ndarray, *, rounds: int = 25, batch: int = 128, rate: float = 0.5, least_odds: float = 4.0, seed: int = 11) -> Model:
+    """Stochastic ascent of the noisy-or likelihood with per-weight rates. Features not ``least_odds`` times as
+    frequent in toxic documents get no weight, nor those that tell so little of the labels that chance among all features
+    would do it: a feature's gain in log-likelihood over the share of toxic rows must reach half the log of the number of
+    features. So the documents it needs follow from the labels and not from a fixed count."""
     weights, bias = np.zeros(1 << BITS), -7.0
     if len(set(labels.tolist())) < 2:
         return Model(weights, -np.inf)
@@ -98,7 +100,10 @@ def train(texts: pa.Array, labels: np.ndarray, *, rounds: int = 25, batch: int =
         for side in (0, 1):
             spread[side] += np.bincount(feature[y[doc] == side], minlength=1 << BITS)
     odds = (spread[1] / labels.sum()) / ((spread[0] + 0.5) / (labels == 0).sum())
-    fit_ = (spread.sum(axis=0) >= least_docs) & (odds >= least_odds)
+    n, share = spread.sum(axis=0), labels.mean()
+    rate_of = np.clip(spread[1] / np.maximum(n, 1), 1e-12, 1 - 1e-12)
+    gain = n * (rate_of * np.log(rate_of / share) + (1 - rate_of) * np.log((1 - rate_of) / (1 - share)))
+    fit_ = (gain >= 0.5 * np.log(max(2, int((n > 1).sum())))) & (odds >= least_odds)
     groups = [(ids[k], owner[k], document, y) for ids, owner, document, y in groups for k in [fit_[ids]]]
     square, square_bias = np.full(1 << BITS, 1e-2), 1e-2
     for _ in range(rounds):

@@ -169,6 +169,27 @@ def test_toxicity_held_out_and_location(spark):
     assert {r.score for r in toxicity.predict(docs, none).collect()} == {0.0}
 
 
+@pytest.mark.parametrize("n", [60, 240])
+def test_toxicity_learns_from_few_labels(spark, n):
+    rng = random.Random(4)
+    word = lambda: "".join(rng.choice("abcdef") for _ in range(3))
+    rows = []
+    for i in range(n):
+        parts = [" ".join(word() for _ in range(8)) + "." for _ in range(1 + i % 6)]
+        rows.append((i, " ".join(parts + [f"{word()} vilest {word()}."] * (i % 6 == 0)), "a"))
+    docs = frame(spark, rows)
+    model = toxicity.fit(docs, spark.createDataFrame([(i, int(i % 6 == 0)) for i in range(n)], "doc_id long, toxic int"))
+    got = toxicity.predict(docs, model).collect()
+    assert sum(r.predicted == (r.doc_id % 6 == 0) for r in got) >= 0.95 * n
+
+
+def test_toxicity_smallest_tables(spark, data):
+    docs, labels = spark.read.parquet(f"{data}/documents.parquet"), spark.read.parquet(f"{data}/labels.parquet")
+    got = toxicity.predict(docs, toxicity.fit(docs, labels)).join(labels, "doc_id").collect()
+    assert sum(r.predicted for r in got if r.toxic == 1) >= 0.5 * sum(r.toxic == 1 for r in got)
+    assert not any(r.predicted for r in got if r.toxic == 0)
+
+
 def test_url_rules_and_bloom(spark):
     urls = ["http://A.Example.org/es/x?q", "https://example.org/es/", "http://example.org/en/12", "http://example.org/en/2", "http://sub.org", "http://sub.org/", "http://x.com/fr/1", "http://x.com/fr", "http://x.com/de/#a", "com/de/", None, "", "http://www.listed.net/a/", "http://listed.net/a", "http://listed.net/a/b", "http://xcom/de/", "http://u:p@x.com:80/de/"]
     pages = spark.createDataFrame([(i, u, "r", "v") for i, u in enumerate(urls)] + [(0, urls[0], "r", "v")], "page_id long, url string, rule string, verdict string")
