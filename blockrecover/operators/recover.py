@@ -3,13 +3,15 @@
 from __future__ import annotations
 
 from dataclasses import dataclass
+from itertools import count
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..formats import framed
+from ..layout import BLOCK
 from ..session import snapshot
-from .contiguous import fixpoint, resolve_claims
+from .contiguous import fixpoint, gather, resolve_claims
 from .search import FRAMED, literals
 from .solve import end_index, extend, neighbours_of, solve, solve_anchor, solve_words
 from .view import live_of
@@ -17,8 +19,8 @@ from .view import live_of
 
 @dataclass
 class Options:
-    epochs: int = 4
-    rounds: int = 3  # pieces added to a candidate within an epoch
+    epochs: int | None = None  # none: until nothing is gained
+    rounds: int | None = None  # pieces added to a candidate within an epoch; none: until no proposal improves one
     window: int = 8
     use_checksums: bool = True
     use_fallback: bool = False  # the generic left-to-right proposals besides
@@ -36,7 +38,8 @@ class Outcome:
 def reassemble(candidates: DataFrame, blocks: DataFrame, view: DataFrame, options: Options) -> DataFrame:
     """Candidates extended piece by piece; those that no proposal improves stay as they are."""
     index = snapshot(end_index(blocks), "ends") if options.use_checksums else None
-    for _ in range(options.rounds):
+    # each round takes some candidate further, so rounds end with the files' lengths
+    for _ in count() if options.rounds is None else range(options.rounds):
         open_ = candidates.where(~F.col("v.validates"))
         proposals = solve(open_, index).unionByName(solve_words(open_, blocks)).withColumn("r", F.lit(None).cast("int")).withColumn("g", F.lit(0)).unionByName(solve_anchor(open_, blocks)) if index is not None else None
         better = None if proposals is None else extend(open_, proposals, blocks)
@@ -52,31 +55,54 @@ def reassemble(candidates: DataFrame, blocks: DataFrame, view: DataFrame, option
     return candidates
 
 
+def continued(layouts: DataFrame, blocks: DataFrame, view: DataFrame) -> DataFrame:
+    """The layouts of an earlier epoch in a smaller view: blocks up to the last consistent byte, then the live blocks behind
+    them. Layouts that have lost one of their kept blocks are left out."""
+    n = framed.block_count(framed.body_length(F.col("content")), BLOCK)
+    rows = layouts.withColumn("reach", F.ceil((F.col("v.validates_to") + 1) / BLOCK).cast("int")).withColumn("blocks", n).where("reach >= 1 and reach <= size(positions)")
+    rows = rows.select("header_pos", "reach", "blocks", F.expr(f"substring(content, 1, reach * {BLOCK})").alias("c0"), F.expr("slice(positions, 1, reach)").alias("p0"))
+    lost = rows.select("header_pos", F.explode("p0").alias("pos")).join(view, "pos", "left_anti").select("header_pos").distinct()
+    rows = snapshot(rows.join(lost, "header_pos", "left_anti"), "kept")
+    wanted = rows.withColumn("pos", F.element_at("p0", -1)).join(view, "pos").select("header_pos", (F.col("live") + 1).alias("lo"), (F.col("live") + 1 + F.col("blocks") - F.col("reach")).alias("hi")).where("hi > lo")
+    got = rows.join(gather(blocks, wanted, ["header_pos"]), "header_pos", "left")
+    out = got.select("header_pos", F.concat("c0", F.coalesce("content", F.lit(""))).alias("content"), F.when(F.col("positions").isNull(), F.col("p0")).otherwise(F.concat("p0", "positions")).alias("positions"))
+    out = out.withColumn("v", framed.verdict(F.col("content")))
+    return out.where(~F.col("v.validates") | (F.size(F.array_distinct("positions")) == F.size("positions")))
+
+
 def recover(image: DataFrame, options: Options | None = None) -> Outcome:
     """Recovers all framed files of an image (pos, payload)."""
     options = options or Options()
     image = snapshot(image, "image")
     boundary = snapshot(literals(image, [FRAMED]), "boundary")
     written, queued, covered = fixpoint(image, boundary, most_passes=50 if options.coverage_feedback else 1)
-    promising, epoch = queued.select("header_pos", "content", "positions", "v"), 0
-    for epoch in range(1, options.epochs + 1):
+    promising, carried, epoch = queued.select("header_pos", "content", "positions", "v"), None, 0
+    for epoch in count(1) if options.epochs is None else range(1, options.epochs + 1):
+        view = snapshot(live_of(image, covered), "view")
+        blocks = image.join(view, "pos")
+        if carried is not None:
+            every = promising.withColumn("old", F.lit(0)).unionByName(continued(carried, blocks, view).withColumn("old", F.lit(1)))
+            promising = every.groupBy("header_pos").agg(F.max_by(F.struct("content", "positions", "v"), F.struct("v.validates", "v.validates_to", "old")).alias("b")).select("header_pos", "b.*")
         promising = snapshot(promising, "promising")
         if promising.isEmpty():
             break
-        view = snapshot(live_of(image, covered), "view")
-        blocks = image.join(view, "pos")
-        tried = reassemble(promising, blocks, view, options)
+        tried = snapshot(reassemble(promising, blocks, view, options), "tried")
         won = snapshot(resolve_claims(tried.where("v.validates").select("header_pos", "content", "positions")).withColumn("pass_no", F.lit(100 + epoch)), "won")
         if won.isEmpty():
+            reach = [x.agg(F.sum("v.validates_to")).first()[0] for x in (promising, tried)]
             promising = tried
-            break
+            if options.rounds is None or reach[0] == reach[1]:
+                break
+            carried = None
+            continue
         written = written.unionByName(won)
         covered = snapshot(covered.unionByName(won.select(F.explode("positions").alias("pos"))).distinct(), "covered")
-        # what is left starts again from contiguous recovery in the smaller view
+        # what is left starts again from contiguous recovery in the smaller view; layouts that reach further are kept
         left = boundary.join(promising.select(F.col("header_pos").alias("pos")), "pos", "left_semi").join(won.select(F.col("header_pos").alias("pos")), "pos", "left_anti")
         more, queued, covered = fixpoint(image, left, covered)
         written = written.unionByName(more.withColumn("pass_no", F.col("pass_no") + 100 + epoch))
         promising = queued.select("header_pos", "content", "positions", "v")
+        carried = tried.join(won.select("header_pos"), "header_pos", "left_anti").join(more.select("header_pos"), "header_pos", "left_anti")
     return Outcome(written, promising, covered, epoch)
 
 
