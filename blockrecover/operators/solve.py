@@ -19,7 +19,9 @@ from ..layout import BLOCK, BODY, FRAME, HEADER
 from .contiguous import gather
 from .search import hits
 
-MOST_GAP = 4  # filler blocks that may stand before an anchored tail
+#: Filler blocks that may stand before an anchored tail. A frame with a displaced run whose tail stands behind more of
+#: them has no anchored proposal, and is found only if its whole missing part lies in one run.
+MOST_GAP = 4
 RUNS = 4  # full blocks of a frame's missing part: 900 bytes in blocks of 256
 
 
