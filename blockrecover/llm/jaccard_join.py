@@ -2,23 +2,27 @@
 
 The distance is 1 - |x and y| / |x or y|, a metric. Documents with one and the same set are one point.
 
-First level: the pivots are the single shingles. A point is equally near to all of its own shingles; the tie goes to
-the first in a common order (frequent shingles of a sample last, then by hash), whose Voronoi region it joins. Points
-within the radius share one of the first n - ceil(0.8 n) + 1 shingles of that order, so the boundary windows replicate a
-point into exactly those regions. The windows reach a tenth of the set further; then points within the radius share a
-tenth of their sizes more, and a point with fewer shared windows than that has no partner and leaves before any pair is made.
-
-Further levels: a region takes one of its points as pivot. A second set of pivots, 256 classes of all shingles, gives
-each point coordinates whose L1 distance never exceeds the symmetric difference of two sets; pairs that it proves too
-far apart end there, the others get the exact distance. Points within the radius of the pivot link to it (the ball). By
-the triangle inequality they can link only to points within two radii of it (the shell). Ball and shell, and shell and
-the rest, are two new regions; they join recursively. Regions whose points have one component label are settled: no
-link there can change a component; points that no longer share enough windows of open regions leave again. In the
-regions that remain after the last level, pairs of different labels are filtered by size, position and coordinates inside
-tasks of bounded blocks, and what passes is measured. No partner or candidate is capped.
-
-Only sets of candidate points are ever gathered; distances are computed on whole sets of 64-bit shingle
-hashes. A very frequent shingle's region is dealt by points, not kept in one task.
+First level: the pivots are the single shingles. A point is equally near to all of its own shingles; the tie goes to the
+first in a common order (frequent shingles of a sample last, then by hash), whose Voronoi region it joins. Points within
+the radius share one of the first n - ceil(0.8 n) + 1 shingles of that order, so the boundary windows replicate a point into
+exactly those regions. The windows reach a tenth of the set further; then points within the radius share a tenth of their
+sizes more. Only the number of shared windows of each point leaves this level: a point with too few has no partner.
+
+Second level: the regions join recursively among the points that are left, with pivots of their own. The exact number of
+these points that hold a shingle gives a new order, rarest first; a shingle that one point alone holds is no pivot. What a
+family of near copies has in common so comes last, and passages shared by otherwise different texts open no window at all.
+Points are dropped by the same count, and the connected pieces of what overlaps are the new regions.
+
+Inside a region the join goes on with whole sets (``matched``): points near a first pivot are one class at once; for the others
+the triangle inequality over a few pivots and the windows of the region's own order leave few pairs, whose distances are
+measured where they lie. Pairs of one class are never compared. A region gives the links that join its classes, fewer than
+its points; pairs that fail never become rows.
+
+A region too large for a task first meets four pivots; the class around them is settled, and only the points outside it are
+compared with all others, block by block. No partner or candidate is capped.
+
+Distances are computed on whole sets of 64-bit shingle hashes. A very frequent shingle's region is dealt by points, not
+kept in one task.
 
 Defined results: null or empty text, or one without words: set size 0, linked with nothing; fewer words than
 ``order``: the whole sequence is one shingle; rows with a null doc_id take no part (component null); rows that share a
@@ -34,10 +38,17 @@ from pyspark.sql import functions as F
 
 from .common import arrow_map, as_long, gram_hashes, materialise, mix64, text_or_empty, words_of
 from .components import components
-from .packed import buckets_for, regroup, split_by, text_bytes
+from .packed import buckets_for, regroup, runs_of, split_by, text_bytes
 
 MOST_BROADCAST = 2_000_000
-ENTRY = np.dtype([("h", "<u8"), ("id", "<i8"), ("n", "<u4"), ("pos", "<u4")])
+#: Shingles of a region, or of a block of a larger one, that one task joins.
+CELL_SHINGLES = 2_000_000
+#: Shingles looked up at a time in ``matched``.
+SLICE = 1 << 21
+#: A point is (id, tag): rows that share a doc_id but not their text differ in the tag, 32 bits of the set's digest.
+ENTRY = np.dtype([("h", "<u8"), ("id", "<i8"), ("n", "<u4"), ("tag", "<u4")])
+SHARED = np.dtype([("id", "<i8"), ("n", "<u4"), ("tag", "<u4"), ("k", "<u4")])
+HELD = np.dtype([("h", "<u8"), ("id", "<i8"), ("n", "<u4"), ("tag", "<u4"), ("c", "<u4")])
 _SALT = np.uint64(0xA0761D6478BD642F)
 
 
@@ -55,23 +66,39 @@ def shingle_sets(column: pa.Array, order: int):
                 yield lo + i, words[:0]
 
 
-def prefix_length(n: int, percent: int) -> int:
-    """Shingles that a point's windows cover: up to the first that a partner must share, and a tenth of the set."""
-    return n - -(-percent * n // 100) + 1 + n // 10 if n else 0
+def digests(s: np.ndarray) -> tuple[int, int]:
+    """Two 64-bit digests of a set."""
+    return (int(mix64(s ^ _SALT).sum(dtype=np.uint64)), int(mix64(s + _SALT).sum(dtype=np.uint64))) if len(s) else (0, 0)
+
+
+def least_windows(n, percent: int):
+    """Shingles in a common order of which two points within the radius share one."""
+    return n + percent * n // -100 + 1
+
+
+def prefix_length(n, percent: int):
+    """Shingles that a point's windows cover: ``least_windows`` and a tenth of the set."""
+    return least_windows(n, percent) + n // 10
 
 
 def least_shared(n, percent: int):
     """Windows that a point with a partner shares at least: a partner may be smaller, and its extension shorter."""
-    return 1 + -(-percent * n // 100) // 10
+    return 1 + -(percent * n // -100) // 10
 
 
-def coordinates(s: np.ndarray) -> bytes:
-    """Counts of a set in 256 classes of hashes, each at most 255: both steps never add to a difference."""
-    return np.minimum(np.bincount((s >> np.uint64(40)).astype(np.int64) & 255, minlength=256), 255).astype(np.uint8).tobytes()
+def late_ranks(h: np.ndarray, frequent: tuple[np.ndarray, np.ndarray]) -> np.ndarray:
+    """1 + the rank of each shingle among the frequent ones, 0 for others."""
+    names, ranks = frequent
+    if not len(names):
+        return np.zeros(len(h), np.int64)
+    at = np.searchsorted(names, h)
+    at[at == len(names)] = 0
+    return np.where(names[at] == h, 1 + ranks[at], 0)
 
 
-def frequent_shingles(docs: DataFrame, order: int, *, sample: int, most: int, least: int = 4) -> np.ndarray:
-    """Hashes that recur in a bounded sample of documents; they only move regions, never results."""
+def frequent_shingles(docs: DataFrame, order: int, *, sample: int, most: int, least: int = 4) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes, sorted, that recur in a bounded sample of documents, and their ranks by rising frequency; they only move
+    regions, never results."""
     n = docs.count()
     some = docs.where(F.pmod(F.xxhash64("doc_id"), F.lit(max(1, n // sample))) == 0)
 
@@ -83,73 +110,97 @@ def frequent_shingles(docs: DataFrame, order: int, *, sample: int, most: int, le
                 yield pa.RecordBatch.from_arrays([as_long(h), pa.array(c.astype(np.int64))], names=["h", "c"])
 
     rows = arrow_map(some.select(text_or_empty().alias("text")), emit, "h long, c long").groupBy("h").agg(F.sum("c").alias("c")).where(F.col("c") >= least)
-    top = rows.orderBy(F.col("c").desc(), "h").limit(most).select("h").toArrow()
-    return np.sort(top.column("h").to_numpy().view(np.uint64))
+    top = rows.orderBy(F.col("c").desc(), "h").limit(most).select("h", "c").toArrow()
+    h, c = top.column("h").to_numpy().view(np.uint64), top.column("c").to_numpy()
+    by_count = np.empty(len(h), np.int64)
+    by_count[np.lexsort((h, c))] = np.arange(len(h))
+    by_hash = np.argsort(h)
+    return h[by_hash], by_count[by_hash]
 
 
-def points_of(docs: DataFrame, order: int, percent: int, frequent: np.ndarray) -> DataFrame:
-    """doc_id, n, k1, k2 (digest of the set) the prefix in the common order, as packed hashes, and the coordinates."""
-    spark = docs.sparkSession
-    common = spark.sparkContext.broadcast(frequent)
+def points_of(docs: DataFrame, order: int, percent: int, frequent) -> DataFrame:
+    """doc_id, n, k1, k2 (digests of the set) and the prefix in the common order as packed hashes."""
+    common = docs.sparkSession.sparkContext.broadcast(frequent)
 
     def shingle(batches):
-        late = common.value
         for b in batches:
-            size, k1, k2, prefix, place = [], [], [], [], []
+            size, k1, k2, prefix = [], [], [], []
             for _, s in shingle_sets(b.column("text"), order):
-                n = len(s)
-                size.append(n)
-                k1.append(int(mix64(s ^ _SALT).sum(dtype=np.uint64)) if n else 0)
-                k2.append(int(mix64(s + _SALT).sum(dtype=np.uint64)) if n else 0)
-                place.append(coordinates(s))
-                if len(late) and n:
-                    at = np.searchsorted(late, s)
-                    at[at == len(late)] = 0
-                    s = s[np.argsort(late[at] == s, kind="stable")]
-                prefix.append(s[: prefix_length(n, percent)].tobytes())
+                size.append(len(s))
+                for keys, k in zip((k1, k2), digests(s)):
+                    keys.append(k)
+                if len(s):
+                    s = s[np.argsort(late_ranks(s, common.value), kind="stable")]
+                prefix.append(s[: prefix_length(len(s), percent) if len(s) else 0].tobytes())
             to_long = lambda x: as_long(np.array(x, np.uint64))
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(size, pa.int64()), to_long(k1), to_long(k2), pa.array(prefix, pa.binary()), pa.array(place, pa.binary())], names=["doc_id", "n", "k1", "k2", "prefix", "place"])
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(size, pa.int64()), to_long(k1), to_long(k2), pa.array(prefix, pa.binary())], names=["doc_id", "n", "k1", "k2", "prefix"])
+
+    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")), shingle, "doc_id long, n long, k1 long, k2 long, prefix binary")
+
+
+def _entries(b: pa.RecordBatch, column: str) -> np.ndarray:
+    """The packed hashes of a batch's rows (id, tag, n, column) as entries."""
+    bodies = b.column(column).to_pylist()
+    counts = np.array([len(x) // 8 for x in bodies], np.int64)
+    out = np.zeros(int(counts.sum()), ENTRY)
+    out["h"] = np.frombuffer(b"".join(bodies), "<u8")
+    for k in ("id", "tag", "n"):
+        out[k] = np.repeat(b.column(k).to_numpy(), counts)
+    return out
 
-    return arrow_map(docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text")), shingle, "doc_id long, n long, k1 long, k2 long, prefix binary, place binary")
 
+def _buckets(entries: np.ndarray, buckets: int, frequent) -> tuple[np.ndarray, np.ndarray]:
+    """(bucket, late rank): by hash, but a frequent shingle's entries are dealt by points over buckets of their own."""
+    late = late_ranks(entries["h"], frequent)
+    return np.where(late > 0, buckets + _home(entries, buckets), ((entries["h"] >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64)), late
 
-def first_regions(points: DataFrame, frequent: np.ndarray, buckets: int) -> DataFrame:
-    """Rows (region, id, n, pos) of regions with more than one point; those of frequent shingles come unchecked."""
-    spark = points.sparkSession
-    common = spark.sparkContext.broadcast(frequent)
-    spread = 64
+
+def _home(entries: np.ndarray, buckets: int) -> np.ndarray:
+    return (mix64(entries["id"].astype(np.uint64)) % np.uint64(buckets)).astype(np.int64)
+
+
+def _groups(*columns: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """First row of each run of equal values, and the runs' lengths."""
+    change = np.zeros(len(columns[0]), bool)
+    change[:1] = True
+    for c in columns:
+        change[1:] |= c[1:] != c[:-1]
+    heads = np.flatnonzero(change)
+    return heads, np.diff(np.append(heads, len(columns[0])))
+
+
+def promising(points: DataFrame, percent: int, frequent, buckets: int) -> DataFrame:
+    """id of the points (id, tag, n, prefix) that share enough first-level windows to have a partner."""
+    common = points.sparkSession.sparkContext.broadcast(frequent)
 
     def emit(batches):
-        late = common.value
         for b in batches:
-            sizes = b.column("n").to_numpy()
-            bodies = b.column("prefix").to_pylist()
-            counts = np.array([len(x) // 8 for x in bodies], np.int64)
-            out = np.zeros(int(counts.sum()), ENTRY)
-            out["h"] = np.frombuffer(b"".join(bodies), "<u8")
-            out["id"] = np.repeat(b.column("doc_id").to_numpy(), counts)
-            out["n"] = np.repeat(sizes, counts)
-            out["pos"] = np.arange(len(out)) - np.repeat(np.cumsum(counts) - counts, counts)
-            bucket = ((out["h"] >> np.uint64(20)) % np.uint64(buckets)).astype(np.int64)
-            if len(late):
-                at = np.searchsorted(late, out["h"])
-                at[at == len(late)] = 0
-                hot = late[at] == out["h"]
-                bucket[hot] = buckets + (mix64(out["id"].view(np.uint64)) % np.uint64(spread)).astype(np.int64)[hot]
-            yield split_by(bucket, out)
-
-    def handle(bucket, got):
-        if bucket < buckets:
-            got = got[np.lexsort((got["id"], got["h"]))]
-            got = got[np.r_[True, (got["h"][1:] != got["h"][:-1]) | (got["id"][1:] != got["id"][:-1])]]
-            heads = np.flatnonzero(np.r_[True, got["h"][1:] != got["h"][:-1]])
-            size = np.diff(np.append(heads, len(got)))
+            out = _entries(b, "prefix")
+            yield split_by(_buckets(out, buckets, common.value)[0], out)
+
+    def count(bucket, got):
+        if bucket < buckets:  # windows of one point alone are not shared
+            got = got[np.lexsort((got["tag"], got["id"], got["h"]))]
+            got = got[_groups(got["h"], got["id"], got["tag"])[0]]
+            _, size = _groups(got["h"])
             got = got[np.repeat(size, size) > 1]
-        for at in range(0, len(got), 1 << 17):
-            part = got[at : at + (1 << 17)]
-            yield pa.RecordBatch.from_arrays([as_long(part["h"]), pa.array(part["id"]), pa.array(part["n"].astype(np.int64)), pa.array(part["pos"].astype(np.int64))], names=["region", "id", "n", "pos"])
+        if len(got):
+            got = got[np.lexsort((got["tag"], got["id"]))]
+            heads, size = _groups(got["id"], got["tag"])
+            out = np.zeros(len(heads), SHARED)
+            for k in ("id", "n", "tag"):
+                out[k] = got[k][heads]
+            out["k"] = size
+            yield split_by(_home(out, buckets), out)
+
+    def total(bucket, got):
+        got = got[np.lexsort((got["tag"], got["id"]))]
+        heads, _ = _groups(got["id"], got["tag"])
+        enough = np.add.reduceat(got["k"].astype(np.int64), heads) >= least_shared(got["n"][heads].astype(np.int64), percent)
+        yield pa.RecordBatch.from_arrays([pa.array(np.unique(got["id"][heads[enough]]))], names=["id"])
 
-    return regroup(arrow_map(points, emit, "bucket int, body binary"), buckets, ENTRY, handle, "region long, id long, n long, pos long")
+    windows = regroup(arrow_map(points, emit, "bucket int, body binary"), buckets, ENTRY, count, "bucket int, body binary")
+    return regroup(windows, buckets, SHARED, total, "id long")
 
 
 def small(ids: DataFrame) -> DataFrame:
@@ -157,146 +208,215 @@ def small(ids: DataFrame) -> DataFrame:
     return F.broadcast(ids) if ids.count() <= MOST_BROADCAST else ids
 
 
-def promising(regions: DataFrame, percent: int) -> DataFrame:
-    """Rows of points that share enough windows (first-level regions still open) to have a further partner. Two points
-    that link and have not been compared meet in all windows they share, so each of them passes this count."""
-    windows = regions.groupBy("id", "origin").agg(F.max("n").alias("n")).groupBy("id").agg(F.count(F.lit(1)).alias("k"), F.max("n").alias("n"))
-    enough = F.col("k") >= F.expr(f"1 + ceil({percent} * n / 100) div 10")
-    ids = materialise(windows.where(enough).select("id"), "promising")
-    return regions.join(small(ids), "id", "left_semi")
-
-
-def several(regions: DataFrame, what: str) -> DataFrame:
-    """Rows of the regions that hold more than one value of ``what``."""
-    open_ = regions.groupBy("region").agg(F.min(what).alias("lo"), F.max(what).alias("hi")).where("lo <> hi").select("region")
-    return regions.join(open_, "region", "left_semi")
-
-
 def gather_sets(docs: DataFrame, ids: DataFrame, order: int) -> DataFrame:
-    """id, body: the whole shingle sets of candidate points only."""
-    wanted = small(materialise(ids.select(F.col("id").alias("want")), "wanted"))
+    """id, tag, n, body: the whole shingle sets of the documents in ``ids`` only."""
+    wanted = small(ids.select(F.col("id").alias("want")))
 
     def shingle(batches):
         for b in batches:
-            bodies = [s.tobytes() for _, s in shingle_sets(b.column("text"), order)]
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), pa.array(bodies, pa.binary())], names=["id", "body"])
+            sets = [s for _, s in shingle_sets(b.column("text"), order)]
+            tags = pa.array([digests(s)[0] & 0xFFFFFFFF for s in sets], pa.int64())
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), tags, pa.array([len(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["id", "tag", "n", "body"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
     found = rows.join(wanted, rows["doc_id"] == F.col("want"), "left_semi")
-    return materialise(arrow_map(found, shingle, "id long, body binary"), "sets")
+    return materialise(arrow_map(found, shingle, "id long, tag long, n long, body binary").where("n > 0"), "sets")
 
 
-def near_pairs(pairs: DataFrame, places: DataFrame, percent: int) -> DataFrame:
-    """a, b, floor: distinct pairs with the least distance that coordinates allow; places: id, n, place."""
+def overlaps(sets: DataFrame, percent: int, frequent, buckets: int) -> DataFrame:
+    """a, b: edges from points to the second-level windows that they share, for points that share enough of them."""
+    common = sets.sparkSession.sparkContext.broadcast(frequent)
 
-    def compare(batches):
+    def emit(batches):
         for b in batches:
-            if not b.num_rows:
-                continue
-            x, y = (np.frombuffer(b"".join(b.column(c).to_pylist()), np.uint8).reshape(-1, 256).astype(np.int16) for c in ("x", "y"))
-            n = b.column("n1").to_numpy() + b.column("n2").to_numpy()
-            apart = np.maximum(np.abs(x - y).sum(axis=1, dtype=np.int64), np.abs(b.column("n1").to_numpy() - b.column("n2").to_numpy()))
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(2 * apart / (n + apart))], names=["a", "b", "floor"])
-
-    left = places.select(F.col("id").alias("b"), F.col("n").alias("n2"), F.col("place").alias("y"))
-    right = places.select(F.col("id").alias("a"), F.col("n").alias("n1"), F.col("place").alias("x"))
-    rows = pairs.select("a", "b").distinct().join(left, "b").join(right, "a")
-    return materialise(arrow_map(rows.select("a", "b", "n1", "n2", "x", "y"), compare, "a long, b long, floor double"), "near")
-
-
-#: Points of a region that one task compares with each other; larger regions are cut into blocks of this size, and each
-#: pair of blocks is a task's.
-BLOCK_POINTS = 4096
-
-
-def open_pairs(regions: DataFrame, places: DataFrame, percent: int) -> DataFrame:
-    """a, b: pairs of different labels in a common region that sizes, positions and coordinates leave possible."""
-    counts = regions.groupBy("region").agg(F.count(F.lit(1)).alias("c"))
-    rows = regions.join(counts, "region").withColumn("blocks", F.expr(f"1 + (c - 1) div {BLOCK_POINTS}"))
-    rows = rows.withColumn("block", F.pmod(F.xxhash64("id"), F.col("blocks"))).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("blocks") - 1)))
-    rows = rows.withColumn("cell", F.xxhash64("region", F.least("block", "other"), F.greatest("block", "other"))).withColumn("same", F.col("block") == F.col("other"))
-    rows = rows.select("cell", "id", "n", "pos", "label", "block", "same").join(places.select("id", F.col("n").alias("p_n"), "place"), "id").where("n = p_n").drop("p_n")
-
-    def compare(cell):
-        if len(cell["id"]) < 2:
-            return None
-        order = np.argsort(cell["n"], kind="stable")
-        ids, n, pos, label, block, same = (cell[k][order] for k in ("id", "n", "pos", "label", "block", "same"))
-        place = cell["place"][order]
-        found = []
-        for i in range(len(ids) - 1):
-            end = int(np.searchsorted(n, n[i] * 100 // percent, "right"))  # sizes within the ratio
-            j = np.arange(i + 1, end)
-            j = j[(label[j] != label[i]) & (ids[j] != ids[i]) & (same[i] | (block[j] != block[i]))]
-            need = -(-percent * (n[i] + n[j]) // (100 + percent))
-            j = j[np.minimum(n[i] - pos[i], n[j] - pos[j]) >= need]
-            if len(j):
-                apart = np.abs(place[j] - place[i]).sum(axis=1, dtype=np.int64)
-                j = j[2 * apart * 100 <= (100 - percent) * (n[i] + n[j] + apart)]
-                found.append(np.stack([np.minimum(ids[i], ids[j]), np.maximum(ids[i], ids[j])]))
-        return np.unique(np.concatenate(found, axis=1), axis=1) if found else None
-
-    def run(batches):
-        held, parts = None, []
+            out = _entries(b, "body")
+            yield split_by(_buckets(out, buckets, common.value)[0], out)
 
-        def finish():
-            cell = {k: np.concatenate([p[k] for p in parts]) for k in parts[0]}
-            pairs = compare(cell)
-            if pairs is not None:
-                yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["a", "b"])
+    def count(bucket, got):
+        out = np.zeros(len(got), HELD)
+        for k in ENTRY.names:
+            out[k] = got[k]
+        if bucket < buckets:
+            out = out[np.lexsort((out["tag"], out["id"], out["h"]))]
+            out = out[_groups(out["h"], out["id"], out["tag"])[0]]
+            _, size = _groups(out["h"])
+            out["c"] = np.repeat(np.minimum(size, 1 << 31), size)
+            out = out[out["c"] > 1]
+        else:
+            out["c"] = (1 << 31) + late_ranks(out["h"], common.value)
+        if len(out):
+            yield split_by(_home(out, buckets), out)
+
+    def window(bucket, got):
+        got = got[np.lexsort((got["h"], got["c"], got["tag"], got["id"]))]
+        got = got[_groups(got["id"], got["tag"], got["h"])[0]]
+        heads, size = _groups(got["id"], got["tag"])
+        n = got["n"][heads].astype(np.int64)
+        # the shingles that no other point holds come first in the order
+        place = np.arange(len(got)) - np.repeat(heads, size) + np.repeat(n - size, size)
+        shared = np.add.reduceat((place < np.repeat(prefix_length(n, percent), size)).astype(np.int64), heads)
+        edge = (place < np.repeat(least_windows(n, percent), size)) & np.repeat(shared >= least_shared(n, percent), size)
+        a, b = spanning(got["id"][edge], got["h"][edge].view(np.int64))
+        yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], names=["a", "b"])
+
+    held = regroup(arrow_map(sets, emit, "bucket int, body binary"), buckets, ENTRY, count, "bucket int, body binary")
+    return regroup(held, buckets, HELD, window, "a long, b long")
+
+
+def spanning(a: np.ndarray, b: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Edges that connect what the edges (a, b) connect, at most one for each node."""
+    names, code = np.unique(np.concatenate([a, b]), return_inverse=True)
+    x, y = code[: len(a)], code[len(a) :]
+    label = np.arange(len(names))
+    while True:
+        least = np.minimum(label[x], label[y])
+        new = label.copy()
+        np.minimum.at(new, label[x], least)
+        np.minimum.at(new, label[y], least)
+        while (new[new] != new).any():
+            new = new[new]
+        new = new[label]
+        if (new == label).all():
+            break
+        label = new
+    rest = label != np.arange(len(names))
+    return names[rest], names[label[rest]]
+
+
+def ranges(starts: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """All places of the ranges (starts, counts), one after the other."""
+    ends = np.cumsum(counts)
+    return np.arange(int(ends[-1]) if len(ends) else 0) + np.repeat(starts - (ends - counts), counts)
+
+
+def matched(bodies: list[np.ndarray], label: np.ndarray, seeks: np.ndarray, percent: int, pivots: int = 4) -> list[tuple[int, int]]:
+    """Links that join the classes of the given sets: every pair within the radius, one of which seeks, has one class
+    in the end. label: classes known before."""
+    m, size = len(bodies), np.array([len(x) for x in bodies], np.int64)
+    names, flat = np.unique(np.concatenate(bodies), return_inverse=True)
+    count = np.bincount(flat)
+    rank = np.empty(len(names), np.int64)
+    rank[np.argsort(count, kind="stable")] = np.arange(len(names))
+    owner = np.repeat(np.arange(m), size)
+    flat = np.sort(rank[flat] + owner * len(names)) - owner * len(names)  # each set in the region's own order
+    heads = np.cumsum(size) - size
+    # windows: for each shingle held twice, the points that have it in their prefix
+    prefix = np.arange(len(flat)) - np.repeat(heads, size) < np.repeat(least_windows(size, percent), size)
+    prefix &= np.sort(count)[flat] > 1
+    by_shingle = np.flatnonzero(prefix)[np.argsort(flat[prefix], kind="stable")]
+    posted, at = owner[by_shingle], np.searchsorted(flat[by_shingle], np.arange(len(names) + 1))
+    mark, label, links = np.zeros(len(names), bool), label.copy(), []
+
+    def shared(i: int, others: np.ndarray) -> np.ndarray:
+        mark[flat[heads[i] : heads[i] + size[i]]] = True
+        out = np.empty(len(others), np.int64)
+        ends = np.cumsum(size[others])
+        lo = 0
+        while lo < len(others):
+            hi = max(lo + 1, int(np.searchsorted(ends, (ends[lo - 1] if lo else 0) + SLICE, "right")))
+            some = others[lo:hi]
+            out[lo:hi] = np.add.reduceat(mark[flat[ranges(heads[some], size[some])]].astype(np.int64), np.cumsum(size[some]) - size[some])
+            lo = hi
+        mark[flat[heads[i] : heads[i] + size[i]]] = False
+        return out
+
+    def link(i: int, others: np.ndarray, both: np.ndarray) -> None:
+        near = others[100 * both >= percent * (size[i] + size[others] - both)]
+        classes = label[near]
+        for x in np.unique(classes[classes != label[i]]):
+            links.append((i, int(near[np.flatnonzero(classes == x)[0]])))
+        label[np.isin(label, classes)] = label[i]
+
+    far, width = [], (100 - percent) / 100 + 1e-9
+    for i in np.flatnonzero(seeks):
+        if len(far) < pivots and m > 32:  # a pivot: all distances, and a class around it
+            others = np.flatnonzero(np.arange(m) != i)
+            both = shared(i, others)
+            d = np.zeros(m)
+            d[others] = 1 - both / (size[i] + size[others] - both)
+            far.append(d)
+            link(i, others, both)
+            continue
+        own = flat[heads[i] : heads[i] + size[i]][: least_windows(int(size[i]), percent)]
+        others = posted[ranges(at[own], at[own + 1] - at[own])]
+        others = others[(label[others] != label[i]) & (~seeks[others] | (others > i))]
+        others = others[(100 * size[others] >= percent * size[i]) & (100 * size[i] >= percent * size[others])]
+        for d in far:
+            others = others[np.abs(d[others] - d[i]) <= width]
+        if len(others):
+            others = np.unique(others)
+            link(i, others, shared(i, others))
+    return links
+
+
+def regions_joined(rows: DataFrame, percent: int) -> DataFrame:
+    """a, b: the links of every cell (cell, id, tag, label, seeks, body)."""
 
-        for b in batches:
-            if not b.num_rows:
+    def run(batches):
+        for _, part in runs_of(batches, "cell"):
+            ids, tags = part.column("id").to_numpy(), part.column("tag").to_numpy()
+            _, first = np.unique(np.stack([ids, tags]), axis=1, return_index=True)
+            if len(first) < 2:
                 continue
-            key = b.column("cell").to_numpy()
-            part = {k: b.column(k).to_numpy(zero_copy_only=False) for k in ("id", "n", "pos", "label", "block", "same")}
-            part["place"] = np.frombuffer(b"".join(b.column("place").to_pylist()), np.uint8).reshape(-1, 256).astype(np.int16)
-            cuts = [0, *(np.flatnonzero(key[1:] != key[:-1]) + 1).tolist(), len(key)]
-            for lo, hi in zip(cuts[:-1], cuts[1:]):
-                if key[lo] != held and parts:
-                    yield from finish()
-                    parts = []
-                held = key[lo]
-                parts.append({k: v[lo:hi] for k, v in part.items()})
-        if parts:
-            yield from finish()
+            part, ids = part.take(pa.array(first)), ids[first]
+            bodies = [np.frombuffer(x.as_buffer(), "<u8") for x in part.column("body")]
+            seeks = np.array(part.column("seeks").to_pylist(), bool)
+            got = np.array(matched(bodies, part.column("label").to_numpy(), seeks, percent), np.int64).reshape(-1, 2)
+            yield pa.RecordBatch.from_arrays([pa.array(ids[got[:, 0]]), pa.array(ids[got[:, 1]])], names=["a", "b"])
 
     return arrow_map(rows.repartition("cell").sortWithinPartitions("cell"), run, "a long, b long")
 
 
-def distances(pairs: DataFrame, docs: DataFrame, order: int) -> DataFrame:
-    """a, b, d: exact distances of pairs, on whole sets gathered for them alone."""
-    ids = pairs.select(F.col("a").alias("id")).union(pairs.select("b")).distinct()
-    sets = gather_sets(docs, ids, order)
+def pivot_links(rows: DataFrame, percent: int, pivots: int) -> DataFrame:
+    """a, b: the points of each large region (region, id, tag, n, body) within the radius of one of its pivots, which are
+    the points with the least hashes. Four links a point at most."""
+    least = [F.min(F.struct(F.xxhash64("id", "tag", F.lit(k)).alias("o"), "id", "tag", "body")).alias(f"p{k}") for k in range(pivots)]
+    chosen = rows.groupBy("region").agg(*least).select("region", F.explode(F.array(*[f"p{k}" for k in range(pivots)])).alias("p")).select("region", F.col("p.id").alias("p_id"), F.col("p.body").alias("p_body"))
+    chosen = materialise(chosen.dropDuplicates(["region", "p_id"]), "pivots")
 
-    def overlap(batches):
+    def compare(batches):
         for b in batches:
-            d = []
-            for x, y in zip(b.column("x"), b.column("y")):
+            near = []
+            for x, y in zip(b.column("body"), b.column("p_body")):
                 x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
-                both = len(np.intersect1d(x, y, assume_unique=True))
-                whole = len(x) + len(y) - both
-                d.append((whole - both, whole))
-            d = np.array(d, np.int64).reshape(-1, 2)
-            yield pa.RecordBatch.from_arrays([b.column("a"), b.column("b"), pa.array(d[:, 0]), pa.array(d[:, 1])], names=["a", "b", "apart", "whole"])
-
-    left = sets.select(F.col("id").alias("b"), F.col("body").alias("y"))
-    right = sets.select(F.col("id").alias("a"), F.col("body").alias("x"))
-    rows = pairs.join(left, "b").join(right, "a")
-    return materialise(arrow_map(rows.select("a", "b", "x", "y"), overlap, "a long, b long, apart long, whole long"), "distances")
-
-
-def settle(regions: DataFrame, labels: DataFrame, percent: int) -> DataFrame:
-    """What is open: points of regions with more than one component label that still share enough such windows."""
-    marked = regions.join(labels.withColumnRenamed("node", "id"), "id", "left").withColumn("label", F.coalesce("label", "id"))
-    left = materialise(several(marked, "label"), "open")
-    return materialise(several(promising(left, percent), "label"), "regions")
-
-
-def links(docs: DataFrame, *, order: int = 5, percent: int = 80, levels: int = 2, sample: int = 8192, most_frequent: int = 100_000) -> tuple[DataFrame, DataFrame, DataFrame]:
+                both = len(np.intersect1d(x, y, assume_unique=True)) if 100 * len(x) >= percent * len(y) and 100 * len(y) >= percent * len(x) else 0
+                near.append(100 * both >= percent * (len(x) + len(y) - both))
+            yield pa.RecordBatch.from_arrays([b.column("id"), b.column("p_id")], names=["a", "b"]).filter(pa.array(near, pa.bool_()))
+
+    pairs = rows.join(F.broadcast(chosen) if chosen.count() <= 64 else chosen, "region").where("id <> p_id").select("id", "p_id", "body", "p_body")
+    return arrow_map(pairs, compare, "a long, b long")
+
+
+def region_links(sets: DataFrame, regions: DataFrame, percent: int, *, limit: int, pivots: int = 4) -> DataFrame:
+    """a, b: links that join the classes inside the regions (node, label)."""
+    held = sets.join(small(regions), sets["id"] == regions["node"]).select(F.col("label").alias("region"), "id", "tag", "n", "body")
+    weight = materialise(held.groupBy("region").agg(F.sum("n").alias("weight"), F.count(F.lit(1)).alias("points")).where("points > 1").drop("points"), "weights")
+    large = weight.where(F.col("weight") > limit)
+    alone = held.join(weight.where(F.col("weight") <= limit), "region", "left_semi")
+    cells = alone.select(F.col("region").alias("cell"), "id", "tag", F.col("id").alias("label"), F.lit(True).alias("seeks"), "body")
+    if large.isEmpty():
+        return materialise(regions_joined(cells, percent), "links")
+    wide = materialise(held.join(F.broadcast(large), "region"), "large")  # at most the corpus over the limit
+    near = materialise(pivot_links(wide, percent, pivots), "links")
+    known = components(near)
+    classed = wide.join(small(known), wide["id"] == known["node"], "left").select("region", "id", "tag", "n", "weight", F.coalesce("label", "id").alias("label"), "body")
+    main = classed.groupBy("region", "label").agg(F.sum("n").alias("w")).groupBy("region").agg(F.max_by("label", F.struct("w", "label")).alias("main"))
+    classed = materialise(classed.join(F.broadcast(main), "region").withColumn("seeks", F.col("label") != F.col("main")).drop("main"), "classed")
+    # blocks of those outside the main class meet blocks of all
+    some = classed.where("seeks").groupBy("region").agg(F.sum("n").alias("open"))
+    spread = classed.join(F.broadcast(some), "region").withColumn("rows", F.expr(f"1 + open div {limit}")).withColumn("columns", F.expr(f"1 + weight div {limit}"))
+    block = lambda k, of: F.pmod(F.xxhash64("id", F.lit(k)), F.col(of))
+    own = F.transform(F.sequence(F.lit(0).cast("long"), F.col("columns") - 1), lambda j: F.struct(block(1, "rows").alias("i"), j.alias("j"), F.lit(True).alias("seeks")))
+    met = F.transform(F.sequence(F.lit(0).cast("long"), F.col("rows") - 1), lambda i: F.struct(i.alias("i"), block(2, "columns").alias("j"), F.lit(False).alias("seeks")))
+    dealt = spread.select("region", "id", "tag", "label", "body", F.explode(F.when(F.col("seeks"), F.concat(own, met)).otherwise(met)).alias("c"))
+    # a seeking point also stands among all in its own cell: once is enough there
+    dealt = dealt.groupBy(F.xxhash64("region", "c.i", "c.j").alias("cell"), "id", "tag").agg(F.first("label").alias("label"), F.max("c.seeks").alias("seeks"), F.first("body").alias("body"))
+    return materialise(regions_joined(cells.unionByName(dealt), percent).unionByName(near), "links")
+
+
+def links(docs: DataFrame, *, order: int = 5, percent: int = 80, sample: int = 8192, most_frequent: int = 100_000, limit: int | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(points, links, labels). points: doc_id, n, rep (the smallest doc_id of its set); links: verified pairs a, b of
     different sets, enough to connect every component; labels: node, label."""
-    spark = docs.sparkSession
     frequent = frequent_shingles(docs, order, sample=sample, most=most_frequent)
     table = materialise(points_of(docs, order, percent, frequent), "points")
     known = table.where("doc_id is not null")
@@ -306,43 +426,13 @@ def links(docs: DataFrame, *, order: int = 5, percent: int = 80, levels: int = 2
     points = known.select("doc_id", "n", "k1", "k2").join(many, ["k1", "k2", "n"], "left").select("doc_id", "n", "k1", F.coalesce("rep", "doc_id").alias("rep"))
     points = materialise(points, "reps")
     others = points.where("rep <> doc_id").select("doc_id", "k1")
-    single = known.where("n > 0").join(small(others), ["doc_id", "k1"], "left_anti").select("doc_id", "n", "prefix")
-    first = materialise(first_regions(single, frequent, buckets_for(text_bytes(docs))), "windows").withColumn("origin", F.col("region"))
-    regions = materialise(several(promising(first, percent), "id"), "regions")
-    seen = materialise(regions.select(F.col("id").alias("doc_id")).distinct(), "seen")
-    places = known.join(small(seen), "doc_id", "left_semi").select(F.col("doc_id").alias("id"), "n", "place")
-    places = materialise(places.dropDuplicates(["id", "n", "place"]), "places")
-    gap, all_links = 100 - percent, None
-    labels = spark.createDataFrame([], "node long, label long")
-    for level in range(levels + 1):
-        if level < levels:
-            # the pivot of a region: one order of all points, so that regions of the same points agree
-            pivots = regions.groupBy("region").agg(F.min(F.struct(F.xxhash64("id", F.lit(level)).alias("o"), "id")).alias("p"), F.count(F.lit(1)).alias("c")).where("c > 1").select("region", F.col("p.id").alias("pivot"))
-            held = regions.select("region", "origin", "id", "n", "pos").join(pivots, "region").where("id <> pivot")
-            pairs = held.select(F.col("id").alias("a"), F.col("pivot").alias("b"))
-        else:
-            held = None
-            pairs = open_pairs(regions, places, percent)
-        rough = near_pairs(pairs, places, percent)
-        exact = distances(rough.where(F.col("floor") * 100 <= gap + 1e-6).select("a", "b").distinct(), docs, order)
-        fresh = exact.where(F.col("apart") * 100 <= gap * F.col("whole")).select("a", "b").distinct()
-        fresh = materialise(fresh, "links")
-        if not fresh.isEmpty():  # earlier labels stand for earlier links
-            labels = materialise(components(fresh.unionByName(labels.select(F.col("node").alias("a"), F.col("label").alias("b")))), "labels")
-        all_links = fresh if all_links is None else all_links.unionByName(fresh)
-        if held is None:
-            break
-        d = rough.groupBy("a", "b").agg(F.min("floor").alias("floor")).join(exact.groupBy("a", "b").agg(F.min(F.col("apart") / F.col("whole")).alias("d")), ["a", "b"], "left")
-        d = d.select(F.col("a").alias("id"), F.col("b").alias("pivot"), F.coalesce("d", "floor").alias("d"), F.col("d").isNotNull().alias("known"))
-        placed = held.join(d, ["id", "pivot"])
-        ball = F.col("known") & (F.col("d") * 100 <= gap)
-        shell = ~ball & (F.col("d") * 100 <= 2 * gap + 1e-6)
-        parts = F.when(ball, F.array(F.lit(0))).when(shell, F.array(F.lit(0), F.lit(1))).otherwise(F.array(F.lit(1)))
-        split = placed.withColumn("part", F.explode(parts))
-        regions = settle(split.select(F.xxhash64("region", "part").alias("region"), "origin", "id", "n", "pos"), labels, percent)
-        if regions.isEmpty():
-            break
-    return points, all_links, labels
+    single = known.where("n > 0").join(small(others), ["doc_id", "k1"], "left_anti").select(F.col("doc_id").alias("id"), F.col("k1").bitwiseAND(F.lit(0xFFFFFFFF)).alias("tag"), "n", "prefix")
+    left = materialise(promising(single, percent, frequent, buckets_for(text_bytes(docs))), "promising")
+    sets = gather_sets(docs, left, order)
+    total = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    regions = components(overlaps(sets, percent, frequent, buckets_for(16 * total)))
+    found = region_links(sets, regions, percent, limit=limit or CELL_SHINGLES)
+    return points, found, components(found)
 
 
 def classes(docs: DataFrame, **options) -> DataFrame:

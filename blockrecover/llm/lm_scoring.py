@@ -28,7 +28,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import arrow_map, as_long, buffers, materialise, mix64, slabs, text_or_empty, words_of
-from .packed import buckets_for, regroup, split_by
+from .packed import buckets_for, regroup, runs_of, split_by
 
 #: Hashes of the end token and of the start mark: no words.
 END, START = np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3)
@@ -233,22 +233,6 @@ def base_ratings(code, at, count, whole: float) -> tuple[np.ndarray, np.ndarray]
 # ---------------------------------------------------------------- probes by bucket
 
 
-def runs_of(batches, key: str):
-    """Yields (value, table) of each run of rows with equal ``key``, across batches."""
-    held, parts = None, []
-    for b in batches:
-        values = b.column(key).to_numpy()
-        heads = np.flatnonzero(np.r_[True, values[1:] != values[:-1]]) if len(values) else []
-        for lo, hi in zip(heads, np.append(heads[1:], len(values)) if len(values) else []):
-            if parts and values[lo] != held:
-                yield held, pa.Table.from_batches(parts)
-                parts = []
-            held = values[lo]
-            parts.append(b.slice(lo, hi - lo))
-    if parts:
-        yield held, pa.Table.from_batches(parts)
-
-
 class Slab:
     """The distinct n-grams of a slab of text in the order in which buckets are asked for them."""
 

@@ -35,6 +35,22 @@ def split_by(bucket: np.ndarray, records: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(sorted_[heads].astype(np.int32)), bodies], names=["bucket", "body"])
 
 
+def runs_of(batches, key: str):
+    """Yields (value, table) of each run of rows with equal ``key``, across batches."""
+    held, parts = None, []
+    for b in batches:
+        values = b.column(key).to_numpy()
+        heads = np.flatnonzero(np.r_[True, values[1:] != values[:-1]]) if len(values) else []
+        for lo, hi in zip(heads, np.append(heads[1:], len(values)) if len(values) else []):
+            if parts and values[lo] != held:
+                yield held, pa.Table.from_batches(parts)
+                parts = []
+            held = values[lo]
+            parts.append(b.slice(lo, hi - lo))
+    if parts:
+        yield held, pa.Table.from_batches(parts)
+
+
 def regroup(rows: DataFrame, buckets: int, kind: np.dtype, handle, schema: str) -> DataFrame:
     """rows: (bucket, body). ``handle(bucket, records)`` gets all records of a bucket and yields record batches."""
 

@@ -110,7 +110,7 @@ def corpus(seed, n=220):
 def test_jaccard_components_equal_brute_force(spark, seed):
     rows = corpus(seed)
     want = brute(rows)
-    got = jaccard_join.classes(frame(spark, rows), sample=50, levels=2).collect()
+    got = jaccard_join.classes(frame(spark, rows), sample=50).collect()
     assert len(got) == len(rows)
     assert {r.doc_id: r.component_id for r in got} == want
     size = defaultdict(set)
@@ -119,14 +119,43 @@ def test_jaccard_components_equal_brute_force(spark, seed):
     assert all(r.n_shingles in size[r.doc_id] for r in got)
 
 
-def test_jaccard_without_further_levels(spark, monkeypatch):
-    """one level, then small blocks."""
-    monkeypatch.setattr(jaccard_join, "BLOCK_POINTS", 6)
-    rows = corpus(3, 80)
-    got = jaccard_join.classes(frame(spark, rows), sample=10, levels=1).collect()
+@pytest.mark.parametrize("seed,limit", [(3, 150), (5, 600)])
+def test_jaccard_of_regions_beyond_a_task(spark, seed, limit):
+    """Regions of more than ``limit`` shingles meet pivots and are joined block by block."""
+    rows = corpus(seed, 120)
+    got = jaccard_join.classes(frame(spark, rows), sample=10, limit=limit).collect()
     assert {r.doc_id: r.component_id for r in got} == brute(rows)
 
 
+@pytest.mark.parametrize("seed", range(6))
+def test_matched_joins_what_brute_force_joins(seed):
+    """A family around the radius in one region, all seeking or a part of it."""
+    import numpy as np
+
+    rng = np.random.default_rng(seed)
+    base = rng.choice(10**6, 60, replace=False)
+    bodies = []
+    for _ in range(90):
+        s = base.copy()
+        k = int(rng.integers(0, 16))
+        s[rng.choice(60, k, replace=False)] = rng.choice(40 if seed % 2 else 10**6, k) + 10**6
+        bodies.append(np.unique(s).astype(np.uint64))
+    seeks = rng.random(90) < (1.0 if seed < 3 else 0.3)
+    got = jaccard_join.matched(bodies, np.arange(90), seeks, 80)
+
+    def classes(pairs):
+        label = list(range(90))
+        for i, j in pairs:
+            a, b = label[i], label[j]
+            label = [min(a, b) if x in (a, b) else x for x in label]
+        return label
+
+    sets = [set(b.tolist()) for b in bodies]
+    near = lambda i, j: 100 * len(sets[i] & sets[j]) >= 80 * len(sets[i] | sets[j])
+    assert all(near(i, j) for i, j in got) and len(got) < 90
+    assert classes(got) == classes((i, j) for i, j in itertools.combinations(range(90), 2) if (seeks[i] or seeks[j]) and near(i, j))
+
+
 def test_representatives(spark):
     rows = corpus(4, 60)
     want = {c for i, c in brute(rows).items()}
