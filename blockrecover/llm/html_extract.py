@@ -6,13 +6,16 @@ child to its parent, one table per kind of child. Messages go up from the leaves
 which on a tree gives exact marginals. Weights maximise the likelihood of labelled pages; these are generated by
 ``labelled_pages``, which writes pages of many layouts together with the label of every element.
 
-A text run whose marginal is at least one half is kept. Character references are decoded once; white space inside a
+A text run whose marginal is at least one half is kept. On a page where none reaches that, the likeliest run, if its marginal
+is at least ``LEAST``, is taken as content and the messages pass again: what then reaches one half is kept. Character references are decoded once; white space inside a
 block becomes one space; block texts are trimmed, empty ones dropped, and joined in page order by two newlines. A line
 break (br) is white space inside its block.
 
+Markup is read in one pass whose cost is linear in the page, whatever is left open in it: a quote that is never closed ends
+with its tag, a tag that is never closed ends the page. White space between inline elements separates their texts.
+
 Defined results: null or empty html gives an empty text; broken markup is read leniently (unclosed or stray tags never
-fail); elements nested deeper than ``DEEPEST`` are attached at that depth; repeated rows each give a row; other
-columns are ignored.
+fail); elements may nest to any depth; repeated rows each give a row; other columns are ignored.
 """
 
 from __future__ import annotations
@@ -29,15 +32,23 @@ from pyspark.sql import functions as F
 from .common import arrow_map
 
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
-RAW = frozenset("script style noscript template textarea title iframe svg math xmp noembed noframes".split())
+RAW = frozenset("script style noscript template title iframe xmp noembed noframes".split())
+#: Elements whose content is text without markup; the model judges it.
+PLAIN = frozenset({"textarea"})
 BLOCK = frozenset(
     "html body address article aside blockquote center dd details dialog dir div dl dt fieldset figcaption figure footer form frameset h1 h2 h3 h4 h5 h6 header hgroup hr li main menu nav ol p pre search section summary table tbody td tfoot th thead tr ul caption option select button legend".split()
 )
 CLOSES_P = BLOCK - {"html", "body", "td", "th", "tr", "tbody", "thead", "tfoot", "caption", "option", "button", "legend", "summary"}
 SAME = {"li": {"li"}, "dd": {"dd", "dt"}, "dt": {"dd", "dt"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}, "p": {"p"}}
 STOPS_AT = frozenset("ul ol dl table tbody thead tfoot body html article section main div nav aside header footer form select".split())
-DEEPEST = 400
-TOKEN = re.compile(r"<!--.*?(?:-->|\Z)|<!\[CDATA\[.*?(?:\]\]>|\Z)|<[!?][^>]*>?|<(/?)([a-zA-Z][^\s/>]*)((?:[^>\"']|\"[^\"]*\"|'[^']*')*)>", re.S)
+NEXT = re.compile(r"<(?=[a-zA-Z/!?])")
+NAME = re.compile(r"(/?)([a-zA-Z][^\s/>]*)")
+#: What matters inside a tag: its end, or a quoted value.
+INSIDE = re.compile(r">|=\s*([\"'])")
+#: A block of the first kind is ended by the start of another of its group, unless one of ``STOPS_AT`` lies between.
+TRACKED = frozenset(SAME)
+#: An inline end tag does not close these.
+BARRIERS = ("td", "th", "table", "body")
 ATTRIBUTE = re.compile(r"""\b(class|id|role|itemprop|hidden|style|aria-hidden)(?:\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+)))?""", re.I)
 WORDS = re.compile(r"[a-z]{2,}")
 LABEL_WORDS = frozenset(
@@ -45,15 +56,28 @@ LABEL_WORDS = frozenset(
 )
 
 
+SIDE = frozenset("nav aside footer header form select button figure noscript svg".split())
+NAMING = frozenset("article content main post entry story articlebody".split())
+
+
 class Node:
-    __slots__ = ("tag", "parent", "first", "names", "text", "depth", "chars", "link_chars", "stops", "children")
+    __slots__ = ("tag", "parent", "names", "text", "chars", "link_chars", "stops", "block", "scope", "space", "named", "marked")
 
-    def __init__(self, tag, parent, names=()):
+    def __init__(self, tag, parent, names=(), space=False):
         self.tag, self.parent, self.names = tag, parent, names
-        self.depth = parent.depth + 1 if parent is not None else 0
         self.text = None
         self.chars = self.link_chars = self.stops = 0
-        self.children = []
+        self.block = self if parent is None or tag in BLOCK else parent.block
+        #: the open elements that a start tag may end, with their depths
+        self.scope = {} if parent is None or tag in STOPS_AT else parent.scope
+        self.space = space  # white space came before
+        #: it, or an element around it, says what it is for
+        self.marked = bool(names) or tag in SIDE or parent is not None and parent.marked
+
+
+@lru_cache(maxsize=None)
+def closing(tag: str) -> re.Pattern:
+    return re.compile(rf"</{re.escape(tag)}\s*>", re.I)
 
 
 def names_of(attributes: str) -> tuple[str, ...]:
@@ -69,66 +93,99 @@ def names_of(attributes: str) -> tuple[str, ...]:
     return tuple(sorted(set(out)))
 
 
+def tag_end(html: str, at: int) -> tuple[int, int]:
+    """(end of the attributes, place behind the tag); a tag that never ends takes the rest."""
+    start = at
+    while True:
+        m = INSIDE.search(html, at)
+        if m is None:
+            return len(html), len(html)
+        if m[1] is None:
+            return m.start(), m.end()
+        close = html.find(m[1], m.end())
+        if close < 0:  # no such quote follows, so this is met once for each kind of quote
+            end = html.find(">", start)
+            return (end, end + 1) if end >= 0 else (len(html), len(html))
+        at = close + 1
+
+
 def parse(html: str) -> list[Node]:
     """All nodes in document order, the root first; text runs are nodes named ``#``."""
     root = Node("#root", None)
-    nodes, here, at = [root], root, 0
+    nodes, path, where = [root], [root], {}  # path: open elements; where: their depths by name
+    size, at, space = len(html), 0, False
 
     def put(text):
-        if text and not text.isspace():
-            n = Node("#", here)
-            n.text = text
-            here.children.append(n)
+        nonlocal space
+        if text.isspace():
+            space = True
+        elif text:
+            n = Node("#", path[-1], space=space)
+            n.text, space = text, False
             nodes.append(n)
 
-    size = len(html)
+    def close(depth):
+        while len(path) > depth:
+            where[path.pop().tag].pop()
+
     while at < size:
-        m = TOKEN.search(html, at)
+        m = NEXT.search(html, at)
         if m is None:
             put(html[at:])
             break
         if m.start() > at:
             put(html[at : m.start()])
         at = m.end()
-        if m[2] is None:
+        if html[at] in "!?":
+            opened = next((x for x in ("!--", "![CDATA[") if html.startswith(x, at)), None)
+            ending = {"!--": "-->", "![CDATA[": "]]>", None: ">"}[opened]
+            end = html.find(ending, at + len(opened or ""))
+            at = end + len(ending) if end >= 0 else size
+            continue
+        m = NAME.match(html, at)
+        if m is None:  # a slash that no name follows
+            end = html.find(">", at)
+            at = end + 1 if end >= 0 else size
             continue
         tag = m[2].lower()
+        end, at = tag_end(html, m.end())
         if m[1]:
-            x = here
-            while x is not root and x.tag != tag:
-                if x.tag in ("td", "th", "table", "body") and tag not in BLOCK:
-                    x = root  # an inline end tag does not close a block around it
-                    break
-                x = x.parent
-            if x is not root:
-                here = x.parent
+            depth = where.get(tag) or [0]
+            if depth[-1] and (tag in BLOCK or all((where.get(x) or [0])[-1] <= depth[-1] for x in BARRIERS)):
+                close(depth[-1])
             continue
-        if tag in CLOSES_P:
-            x = here
-            while x is not root and x.tag != "p" and x.tag not in STOPS_AT:
-                x = x.parent
-            if x.tag == "p":
-                here = x.parent
+        ends = path[-1].scope
+        if tag in CLOSES_P and "p" in ends:
+            close(ends["p"])
         if tag in SAME:
-            x = here
-            while x is not root and x.tag not in SAME[tag] and x.tag not in STOPS_AT:
-                x = x.parent
-            if x.tag in SAME[tag]:
-                here = x.parent
-                if tag == "tr" and x.tag in ("td", "th") and here.tag == "tr":
-                    here = here.parent
-        n = Node(tag, here, names_of(m[3]))
-        here.children.append(n)
+            near = max((path[-1].scope.get(x, 0) for x in SAME[tag]), default=0)
+            if near:
+                cell = path[near].tag
+                close(near)
+                if tag == "tr" and cell in ("td", "th") and path[-1].tag == "tr":
+                    close(len(path) - 1)
+        attributes = html[m.end() : end]
+        n = Node(tag, path[-1], names_of(attributes), space)
+        space = False
         nodes.append(n)
-        if tag in VOID or (m[3] or "").endswith("/"):
+        if tag in VOID or attributes.endswith("/"):
             continue
-        if tag in RAW:
-            end = re.compile(rf"</{re.escape(tag)}\s*>", re.I).search(html, at)
-            at = end.end() if end else size
+        if tag in RAW or tag in PLAIN:
+            m = closing(tag).search(html, at)
+            if tag in PLAIN and m is not None and m.start() > at:
+                inner = Node("#", n)
+                inner.text = html[at : m.start()]
+                nodes.append(inner)
+            at = m.end() if m else size
             continue
-        if n.depth < DEEPEST:
-            here = n
+        if tag in TRACKED:
+            n.scope = {**n.scope, tag: len(path)}
+        where.setdefault(tag, []).append(len(path))
+        path.append(n)
+    # whether anything on the page says where its article is
+    named = any(n.tag in ("article", "main") or not NAMING.isdisjoint(n.names) for n in nodes)
     for n in reversed(nodes):
+        n.named = named
         if n.text is not None:
             n.chars = len(n.text)
             n.stops = sum(map(n.text.count, ".,;!?"))
@@ -141,9 +198,12 @@ def parse(html: str) -> list[Node]:
 
 
 def features(n: Node) -> list[str]:
+    where = "m:" + "01"[n.marked] + "-+"[n.named]
     if n.text is not None:
-        return ["#text"]
-    out = ["t:" + n.tag if n.tag in KNOWN else "t:?", "bias"]
+        long_ = min(3, len(str(n.chars)) - 1)
+        return ["#text", "#" + where, "#chars:%d" % long_, "#stops:%d" % min(2, n.stops)]
+    name = "t:" + n.tag if n.tag in KNOWN else "t:?"
+    out = [name, "bias", where, name + "-+"[n.named]]
     out += ["c:" + w for w in n.names]
     if n.chars:
         share = n.link_chars / n.chars
@@ -153,7 +213,7 @@ def features(n: Node) -> list[str]:
     return out
 
 
-KNOWN = BLOCK | VOID | RAW | frozenset("a b i em strong span code cite q small sub sup u s mark time abbr label head font".split())
+KNOWN = BLOCK | VOID | RAW | PLAIN | frozenset("math svg a b i em strong span code cite q small sub sup u s mark time abbr label head font".split())
 
 
 def kind_of(n: Node) -> str:
@@ -166,8 +226,9 @@ class Model:
     def __init__(self, node: dict[str, float], edge: dict[str, np.ndarray]):
         self.node, self.edge = node, edge
 
-    def marginals(self, nodes: list[Node]) -> tuple[list[float], list]:
-        """P(content) of every node; with the pairwise marginals (parent, child) that training needs."""
+    def marginals(self, nodes: list[Node], known: int | None = None) -> tuple[list[float], list]:
+        """P(content) of every node; with the pairwise marginals (parent, child) that training needs. known: a node
+        that is content for sure."""
         from math import exp, log
 
         place = {id(n): i for i, n in enumerate(nodes)}
@@ -176,6 +237,8 @@ class Model:
         node = self.node
         # log potentials of content against not
         up0, up1 = [0.0] * len(nodes), [sum(node.get(f, 0.0) for f in features(n)) for n in nodes]
+        if known is not None:
+            up0[known] = -500.0
         message = [None] * len(nodes)
         for i in range(len(nodes) - 1, 0, -1):  # children follow their parents
             e = self.edge.get(kinds[i], ZERO)
@@ -210,6 +273,7 @@ class Model:
 
 
 ZERO = ((0.0, 0.0), (0.0, 0.0))
+LEAST = 0.05
 
 
 def fit(pages: list[tuple[str, list[str]]], *, rounds: int = 12, rate: float = 0.3, decay: float = 1e-3) -> Model:
@@ -257,7 +321,7 @@ def fit(pages: list[tuple[str, list[str]]], *, rounds: int = 12, rate: float = 0
     return Model(node, edge)
 
 
-def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
+def labelled_pages(n: int = 320, seed: int = 5, *, bare: bool | None = None) -> list[tuple[str, list[str]]]:
     """Generated training pages: (html, texts of the content runs). Layouts, names and the order of parts vary."""
     rng = np.random.default_rng(seed)
     pick = lambda x: x[int(rng.integers(len(x)))]
@@ -271,7 +335,7 @@ def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
     def junk():
         links = lambda k: "".join(f'<li><a href="/{i}">{words(1, 3, False)}</a></li>' for i in range(k))
         label = lambda *w: f' {pick(["class", "id"])}="{pick(w)}"'
-        k = int(rng.integers(13))
+        k = int(rng.integers(14))
         body = [
             lambda: f"<nav><ul>{links(5)}</ul></nav>",
             lambda: f"<div{label('menu', 'navbar', 'nav main-nav', 'breadcrumb', 'toolbar')}><ul>{links(4)}</ul></div>",
@@ -285,6 +349,7 @@ def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
             lambda: f"<div{label('share', 'social', 'tags', 'meta', 'author bio', 'pagination', 'newsletter', 'subscribe')}>{words(2, 12, False)} <a href=\"/\">{words(1, 2, False)}</a></div>",
             lambda: f"<div hidden>{words(4, 20)}</div>" if chance(0.5) else f'<div style="display:none"><p>{words(4, 20)}</p></div>',
             lambda: f"<figure{label('promo', 'ad')}><figcaption>{words(2, 8)}</figcaption></figure>",
+            lambda: f"<form><textarea>{words(3, 9)}</textarea></form><svg><text>{words(1, 3, False)}</text></svg>",
             lambda: f"<noscript>{words(3, 6)}</noscript><select><option>{words(1, 2, False)}</option></select>",
         ][k]
         return body()
@@ -301,7 +366,9 @@ def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
             return kept[-1]
 
         def inner():
-            k = int(rng.integers(11))
+            k = int(rng.integers(12))
+            if k == 11:
+                return f"<p>{keep(2, 9, False)} <math><mi>{keep(1, 2, False)}</mi> <mo>{keep(1, 2, False)}</mo></math> {keep(2, 12)}</p>"
             if k < 5:
                 return f"<p>{keep(1, 80, chance(0.8))}" + pick(["</p>", "</p>", ""])
             if k == 5:
@@ -317,7 +384,8 @@ def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
             return f"<p><b>{keep(2, 30, chance(0.8))}<br><p>{keep(2, 60, chance(0.8))} <a href='/x'>{keep(1, 3, False)}</a> {keep(1, 20)}</p>"
 
         parts = [f"<h1>{keep(2, 9, False)}</h1>"] if chance(0.8) else []
-        for _ in range(int(rng.integers(1, 9))):
+        plain = chance(0.4) if bare is None else bare  # nothing names the content: plain boxes, table cells, the body itself, a fragment
+        for _ in range(1 if chance(0.15) else int(rng.integers(1, 9))):
             parts.append(inner())
             if chance(0.08):
                 parts.append(junk())
@@ -327,6 +395,8 @@ def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
         if chance(0.15):
             body = f"<div>{body}</div>"
         head, tail = pick([("<article>", "</article>")] * 4 + [("<main>", "</main>"), ("<main><article>", "</article></main>"), ('<div class="content">', "</div>"), ('<div id="main-content">', "</div>"), ('<div class="post entry-content">', "</div>"), ('<div class="story-body">', "</div>"), ('<article class="post">', "</article>"), ('<div itemprop="articleBody">', "</div>"), ('<div role="main">', "</div>")])
+        if plain:
+            head, tail = pick([("", ""), ("<div>", "</div>"), ('<div class="col">', "</div>"), ('<div id="wrapper"><div class="col">', "</div></div>"), ('<div class="page"><div>', "</div></div>"), ("<section>", "</section>"), ("<table><tr><td>", "</td></tr></table>")])
         if chance(0.2) and "article" in head:
             head += f"<header>{pick(['', '<p class=\"meta\">' + words(2, 5, False) + '</p>'])}</header>"
         before = [junk() for _ in range(int(rng.integers(0, 4)))]
@@ -336,6 +406,8 @@ def labelled_pages(n: int = 200, seed: int = 5) -> list[tuple[str, list[str]]]:
         page = f"<!DOCTYPE html><html><head><meta charset=\"utf-8\"><title>{words(2, 8)}</title><style>p{{}}</style><script>1</script></head><body>{top}{''.join(before)}<!-- x -->{head}{body}{tail}{''.join(after)}{foot}" + pick(["</body></html>", ""])
         if chance(0.2):
             page = page.replace("<body>", '<body><div id="wrapper">')
+        if chance(0.2):  # all there is
+            page = pick(["{}", "<body>{}</body>", "<article>{}</article>", "<div>{}</div>", "<body><div>{}</div></body>", "<html><body><div><div>{}</div></div></body></html>"]).format(body)
         out.append((page, kept))
     return out
 
@@ -350,14 +422,12 @@ def main_text(html: str | None, model: Model) -> str:
         return ""
     nodes = parse(html)
     keep, _ = model.marginals(nodes)
+    runs = [i for i, n in enumerate(nodes) if n.text is not None]
+    best = max(runs, key=lambda i: keep[i], default=None)
+    if best is not None and LEAST <= keep[best] < 0.5:
+        keep, _ = model.marginals(nodes, known=best)
     blocks, run, owner = [], [], None
 
-    def block_of(n):
-        x = n.parent
-        while x.tag not in BLOCK and x.parent is not None:
-            x = x.parent
-        return x
-
     def flush():
         text = " ".join("".join(run).split())
         if text:
@@ -366,6 +436,8 @@ def main_text(html: str | None, model: Model) -> str:
 
     # text runs of one block that no other block's start or text separates are one block of the result
     for n, p in zip(nodes, keep):
+        if n.space:
+            run.append(" ")
         if n.text is None:
             if n.tag in BLOCK:
                 flush()
@@ -373,7 +445,7 @@ def main_text(html: str | None, model: Model) -> str:
             elif n.tag == "br":
                 run.append(" ")
             continue
-        own = block_of(n)
+        own = n.block
         if own is not owner:
             flush()
             owner = own

@@ -61,3 +61,34 @@ def test_table_with_nulls_and_clashing_columns(spark):
     got = H.extract(pages).collect()
     assert len(got) == 3 and sum(r.n_chars == 0 for r in got) >= 2
     assert H.extract(pages.where("false")).count() == 0
+
+
+def test_held_out_pages_that_do_not_name_their_article():
+    pages = H.labelled_pages(120, seed=79, bare=True)
+    assert sum(" ".join(text(h).split()) == " ".join(kept) for h, kept in pages) >= 0.95 * len(pages)
+
+
+def test_white_space_between_inline_elements():
+    assert text("<article><p><b>Hello</b> <i>world</i> is here, now.</p></article>") == "Hello world is here, now."
+    assert text("<article><p><a>one</a>\n<a>two</a> <a>three</a> are words, yes.</p></article>") == "one two three are words, yes."
+    assert text("<article><p>E = <math><mi>m</mi><msup><mi>c</mi><mn>2</mn></msup></math> and so on, as known.</p></article>") == "E = mc2 and so on, as known."
+
+
+def test_articles_in_plain_boxes():
+    assert text("<body><div><p>A first sentence stands here, yes.</p><p>Another sentence is here.</p></div></body>") == "A first sentence stands here, yes.\n\nAnother sentence is here."
+    boxed = '<body><div id="wrapper"><div class="col"><h1>News</h1><p>One two three four.</p><p>Five six, seven.</p><p>Eight nine.</p></div></div></body>'
+    assert text(boxed) == "News\n\nOne two three four.\n\nFive six, seven.\n\nEight nine."
+    assert text("<article><p>One sentence only, for all of you.</p></article>") == text("<p>One sentence only, for all of you.</p>") == "One sentence only, for all of you."
+    assert text("<body><nav><ul><li><a href=1>Home</a></li><li><a>More</a></li></ul></nav><footer>c 2020</footer></body>") == ""
+
+
+def test_long_broken_markup_is_read_in_one_pass():
+    import time
+
+    for unit in ('<a x="', "<p class='a\"", "<div><p>x", "</b><i>", "<td><tr>", "<a x=\"'>t", "<", "</", "<!", "<b>x</i>"):
+        began = time.time()
+        H.parse(unit * (1_000_000 // len(unit)))
+        assert time.time() - began < 30, unit
+    began = time.time()
+    text('<a x="' * 900_000)
+    assert time.time() - began < 30
