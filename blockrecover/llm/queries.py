@@ -42,11 +42,7 @@ def op7_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    placed, pieces = mixing.mix(table(spark, sf_dir, "documents"))
-    # what the mix takes is counted from the pieces that the shards draw
-    drawn = pieces.groupBy(F.col("source").alias("p_source"), F.col("before").alias("p_before"), F.col("doc_id").alias("p_doc")).agg(F.sum("n_words").alias("drawn"))
-    same = placed["source"].eqNullSafe(drawn["p_source"]) & (placed["before"] == drawn["p_before"]) & placed["doc_id"].eqNullSafe(drawn["p_doc"]) & (placed["size"] > 0)
-    return placed.join(drawn, same, "left").select("doc_id", "size", "source_size", "target", F.coalesce("drawn", F.lit(0)).cast("long").alias("taken"))
+    return mixing.taken_words(table(spark, sf_dir, "documents"))
 
 
 def op9_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -93,21 +89,6 @@ ORACLE_SQL = {
               FROM v a JOIN v b ON a.vec_id % 50 = 0 AND a.vec_id <> b.vec_id)
         SELECT query_id, CAST(row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) AS INTEGER) AS rank, vec_id, score
         FROM s QUALIFY row_number() OVER (PARTITION BY query_id ORDER BY score DESC, vec_id) <= 5""",
-    "op8_mixing": rf"""
-        WITH d AS (SELECT doc_id, source, CAST(len({_WORDS.format("coalesce(text, '')")}) AS BIGINT) AS size,
-                          substr(sha256('17|' || coalesce(CAST(doc_id AS VARCHAR), '') || '|' || md5(coalesce(text, ''))), 1, 32) AS turn FROM documents),
-        s AS (SELECT source, CAST(sum(size) AS BIGINT) AS source_size, [5, 2, 1][1 + (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3] AS w FROM d GROUP BY source),
-        o AS (SELECT *, 2 * source_size / w AS ratio, sum(2 * source_size) OVER f AS full_to, sum(w) OVER () - sum(w) OVER f AS open_w, 1.5 * sum(source_size) OVER () AS want
-              FROM s WINDOW f AS (ORDER BY 2 * source_size / w, source NULLS LAST ROWS UNBOUNDED PRECEDING)),
-        u AS (SELECT arg_min(unit, full_to) AS unit FROM (
-                SELECT (want - full_to) / open_w AS unit, lead(ratio) OVER (ORDER BY ratio, source NULLS LAST) AS next, full_to FROM o WHERE true
-                UNION ALL SELECT max(want) / sum(w), min(ratio), 0 FROM o) WHERE next > unit AND unit IS NOT NULL),
-        t AS (SELECT source, source_size, CAST(least(2.0 * source_size, coalesce(u.unit * w, 2.0 * source_size)) AS DOUBLE) AS target FROM o, u),
-        q AS (SELECT *, least(CAST(floor(target + 0.5) AS BIGINT), 2 * source_size) AS quota FROM t),
-        b AS (SELECT d.*, CAST(coalesce(sum(size) OVER (PARTITION BY source ORDER BY turn, doc_id, size ROWS UNBOUNDED PRECEDING), 0) AS BIGINT) - size AS before FROM d)
-        SELECT doc_id, size, source_size, target,
-               CAST(greatest(0, least(size, quota - before)) + greatest(0, least(size, quota - source_size - before)) AS BIGINT) AS taken
-        FROM b JOIN q ON b.source IS NOT DISTINCT FROM q.source""",
     "op10_url_filter": r"""
         WITH a AS (SELECT page_id, CASE WHEN strpos(url, '://') > 0 THEN substr(url, strpos(url, '://') + 3) ELSE '' END AS rest FROM pages),
         h AS (SELECT page_id, rest, regexp_extract(rest, '^[^/?#]*') AS host FROM a),
