@@ -1,11 +1,12 @@
 """Exact top-k inner-product search over an impact-ordered index, score at a time.
 
 Components become integers floor(256 x). The index splits every component into a signed impact level (quantum
-``step``) and a remainder of 0 to step - 1; the posting segments of a shard are the (dimension, level) lists. Segments
-are processed by descending |level|, all queries of a block at once: a segment pass adds level * step * weight of the
-query to the accumulators. What is unprocessed bounds what a score can still change; a query stops when at most a few
-candidates can reach its k-th proven score, and only these are rescored exactly in integers. A query whose proof never
-comes goes through all segments, then rescores those that the remainders leave possible. No result is approximate.
+``step``) and a remainder of 0 to step - 1; a posting segment of a shard is the list of rows that have one level in one
+dimension, none for level 0. Segments are processed by descending |level|, for all queries of a block at once: a segment
+adds level * step * weight of the query to the accumulators of its rows. What is unprocessed bounds what a score can still
+change; a query stops when at most a few candidates can reach its k-th proven score, and only these are rescored exactly in
+integers. A query whose proof never comes goes through all segments, then rescores those that the remainders leave
+possible. No result is approximate.
 
 Shards are batches of candidates; each gives its k best for each query, then the best k are taken over shards. Queries
 come in blocks of at most ``block`` rows, each a broadcast of a checked size.
@@ -51,59 +52,58 @@ def as_matrix(column: pa.Array, width: int) -> np.ndarray:
 
 
 class Index:
-    """The impact-ordered index of one shard."""
+    """The impact-ordered index of one shard: for each (level, dimension) that occurs, level 0 apart, the list of its rows."""
 
     def __init__(self, rows: np.ndarray, step: int = 16):
-        self.rows, self.step = rows, step
-        level = np.floor_divide(rows, step)
-        self.rest = step - 1  # remainders lie in 0..rest
-        self.segments = []
-        # |level| in powers of two, largest first: the lists of one pass
-        size = np.abs(level)
-        top = int(size.max(initial=0))
-        cut = 1 << top.bit_length()
-        while cut:
-            low = cut >> 1
-            part = np.where((size < cut) & (size >= low), level, 0) if low else np.zeros_like(level)
-            if low == 0:
-                break
-            if part.any():
-                self.segments.append((low, np.ascontiguousarray((part * step).T.astype(np.float64))))
-            cut = low
-        self.after = [s[0] for s in self.segments[1:]] + [0]
+        self.rows, self.step, self.rest = rows, step, step - 1  # remainders lie in 0..rest
+        n, width = rows.shape
+        level = np.floor_divide(rows, step).T.reshape(-1)  # one dimension after the other
+        at = np.flatnonzero(level)
+        dimension, row = np.divmod(at, max(n, 1))
+        level = level[at]
+        order = np.lexsort((row, dimension, level, -np.abs(level)))
+        self.postings, dimension, level = row[order], dimension[order], level[order]
+        heads = np.flatnonzero(np.r_[True, (level[1:] != level[:-1]) | (dimension[1:] != dimension[:-1])]) if len(level) else np.zeros(0, np.int64)
+        self.heads, self.ends = heads, np.append(heads[1:], len(level))
+        self.level, self.dimension = level[heads], dimension[heads]
+
+    def segments(self):
+        """Yields (bound, lists) by descending impact: the lists of sizes in one octave, and the largest |level| that is left
+        after them."""
+        size = np.abs(self.level)
+        lo = 0
+        while lo < len(size):
+            low = 1 << (int(size[lo]).bit_length() - 1)
+            hi = int(np.searchsorted(-size, -low, "right"))
+            yield int(size[hi]) if hi < len(size) else 0, range(lo, hi)
+            lo = hi
 
     def search(self, queries: np.ndarray, k: int, own: np.ndarray, spare: int = 64) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         """(query number, row number, score) of the k best rows for each query; own[q] lists rows to leave out as a
         mask. Ties are kept: all rows that score as the k-th does come back."""
-        n = len(self.rows)
-        q = queries.astype(np.float64)
-        positive, negative = np.maximum(q, 0).sum(axis=1), np.minimum(q, 0).sum(axis=1)
-        acc = np.zeros((len(q), n))
-        active = np.arange(len(q))
-        found: dict[int, np.ndarray] = {}
-        slack = 1e-6 * (1 + np.abs(q).sum(axis=1) * max(1, np.abs(self.rows).max(initial=0)) * 2.0**-20)
-        for (low, lists), _ in zip(self.segments, self.after):
-            acc[active] += q[active] @ lists
-            # unprocessed levels are below ``low`` in size, so change a component by less than low * step
-            reach = (low - 1) * self.step
-            up = positive[active] * (reach + self.rest) - negative[active] * reach + slack[active]
-            down = -positive[active] * reach + negative[active] * (reach + self.rest) - slack[active]
-            open_ = []
-            scores = np.where(own[active], -np.inf, acc[active])
-            kth = np.partition(scores, n - k, axis=1)[:, n - k] if n > k else np.full(len(active), -np.inf)
-            may = scores + up[:, None] >= (kth + down)[:, None]
-            count = may.sum(axis=1)
-            for i, a in enumerate(active):
-                if count[i] <= max(spare, 4 * k) or low == 1:
-                    found[a] = np.flatnonzero(may[i] & ~own[a])
-                else:
-                    open_.append(a)
-            active = np.array(open_, np.int64)
+        n, none = len(self.rows), np.iinfo(np.int64).min // 2
+        active, found = np.arange(len(queries)), {}
+        acc = np.zeros((n, len(queries)), np.int64)
+        q = np.ascontiguousarray(queries.T)  # dimension by query
+        for left, lists in self.segments():
+            for i in lists:
+                acc[self.postings[self.heads[i] : self.ends[i]]] += self.level[i] * self.step * q[self.dimension[i]]
+            # a component whose list is still to come, and any remainder, bound what a score can gain or lose
+            reach = left * self.step
+            positive, negative = np.maximum(q, 0).sum(axis=0), np.minimum(q, 0).sum(axis=0)
+            up, down = positive * (reach + self.rest) - negative * reach, negative * (reach + self.rest) - positive * reach
+            scores = np.where(own[active].T, none, acc)
+            kth = np.partition(scores, n - k, axis=0)[n - k] if n > k else np.full(len(active), none)
+            may = scores + up >= kth + down
+            proved = (may.sum(axis=0) <= max(spare, 4 * k)) | (left == 0)
+            for i in np.flatnonzero(proved):
+                found[active[i]] = np.flatnonzero(may[:, i] & ~own[active[i]])
+            if proved.any():
+                active, acc, q = active[~proved], np.ascontiguousarray(acc[:, ~proved]), np.ascontiguousarray(q[:, ~proved])
             if not len(active):
                 break
-        for a in active if not self.segments or len(active) else []:
-            if a not in found:
-                found[a] = np.flatnonzero(~own[a])
+        for a in active:  # no list at all: every row is possible
+            found.setdefault(a, np.flatnonzero(~own[a]))
         out_q, out_r, out_s = [], [], []
         for a, members in found.items():
             exact = self.rows[members] @ queries[a]
@@ -120,7 +120,7 @@ class Index:
 def top_k(vectors: DataFrame, *, every: int = 50, k: int = 5, block: int = 16_384, step: int = 16, shard: int = 4096) -> DataFrame:
     """query_id, rank, vec_id, score for queries whose vec_id is divisible by ``every``, against all rows."""
     spark = vectors.sparkSession
-    fine = vectors.where(usable(F.col("embedding"))).select("vec_id", quantised(F.col("embedding")).alias("v"))
+    fine = vectors.where(usable(F.col("embedding"))).select(F.col("vec_id").cast("long").alias("vec_id"), quantised(F.col("embedding")).alias("v"))
     width = fine.agg(F.max(F.size("v"))).first()[0] or 1
     chosen = fine.where(F.col("vec_id").isNotNull() & (F.pmod("vec_id", F.lit(every)) == 0))
     total = chosen.count()
@@ -139,9 +139,9 @@ def top_k(vectors: DataFrame, *, every: int = 50, k: int = 5, block: int = 16_38
                     part = b.slice(lo, shard)
                     column = part.column("v")
                     index = Index(as_matrix(column, width), step)
-                    ids = part.column("vec_id").to_pandas().to_numpy()
+                    ids, named = part.column("vec_id").fill_null(0).to_numpy(), part.column("vec_id").is_valid().to_numpy(zero_copy_only=False)
                     for at in range(0, len(names), 256):
-                        q, r, s = index.search(queries[at : at + 256], k, names[at : at + 256, None] == ids[None, :])
+                        q, r, s = index.search(queries[at : at + 256], k, (names[at : at + 256, None] == ids[None, :]) & named[None, :])
                         yield pa.RecordBatch.from_pydict({"query_id": pa.array(names[at + q]), "vec_id": part.column("vec_id").take(pa.array(r)), "score": pa.array(s)})
 
         found = arrow_map(fine, search, "query_id long, vec_id long, score long")
