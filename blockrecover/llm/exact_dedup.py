@@ -26,12 +26,14 @@ def default_digest(text: Column) -> Column:
 
 
 def groups(docs: DataFrame, *, salts: int = 16, digest=default_digest) -> DataFrame:
-    """One row per distinct normalised text: digest, check (second hash), keep_id, group_size."""
+    """One row per distinct normalised text: digest, check (second hash), bytes, keep_id, group_size, and the salts under
+    which it occurs as a bit mask."""
     norm = lower_ascii(text_or_empty())
     rows = docs.select(F.col("doc_id"), norm.alias("body")).select("doc_id", "body", digest(F.col("body")).alias("digest"), F.pmod(F.xxhash64("doc_id"), F.lit(salts)).alias("salt"))
     salted = rows.groupBy("digest", "salt", "body").agg(F.max("doc_id").alias("top"), F.count(F.lit(1)).alias("n"))
+    bit = F.expr("shiftleft(1L, cast(salt as int))")
     brief = salted.select("digest", F.xxhash64("body").alias("check"), F.octet_length("body").alias("bytes"), "top", "n", "salt")
-    by_digest = brief.groupBy("digest").agg(F.count(F.lit(1)).alias("rows"), F.max("top").alias("keep_id"), F.sum("n").alias("group_size"), F.max("check").alias("check"), F.max("bytes").alias("bytes"))
+    by_digest = brief.groupBy("digest").agg(F.count(F.lit(1)).alias("rows"), F.max("top").alias("keep_id"), F.sum("n").alias("group_size"), F.max("check").alias("check"), F.max("bytes").alias("bytes"), F.bit_or(bit).alias("salt_mask"))
     single = by_digest.where("rows = 1").drop("rows")
     # asking for all columns, though rows alone decide, keeps this reader's exchange the same as the others'
     whole = (F.col("group_size") > 1) & (F.coalesce("keep_id", F.lit(0)) >= F.lit(-(2**63)))
@@ -39,28 +41,32 @@ def groups(docs: DataFrame, *, salts: int = 16, digest=default_digest) -> DataFr
     merged = (
         salted.join(shared, salted["digest"] == shared["many"], "left_semi")
         .groupBy("digest", "body")
-        .agg(F.max("top").alias("keep_id"), F.sum("n").alias("group_size"))
-        .select("digest", "keep_id", "group_size", F.xxhash64("body").alias("check"), F.octet_length("body").alias("bytes"))
+        .agg(F.max("top").alias("keep_id"), F.sum("n").alias("group_size"), F.bit_or(bit).alias("salt_mask"))
+        .select("digest", "keep_id", "group_size", F.xxhash64("body").alias("check"), F.octet_length("body").alias("bytes"), "salt_mask")
     )
-    return single.select("digest", "check", "bytes", "keep_id", "group_size").unionByName(merged)
+    return single.select("digest", "check", "bytes", "keep_id", "group_size", "salt_mask").unionByName(merged)
 
 
 def deduplicate(docs: DataFrame, *, salts: int = 16, digest=default_digest) -> DataFrame:
     """One row per input row: doc_id, keep_id, group_size, kept, text_sha256.
 
-    Rows find their group by digest, second hash and length; ``groups`` has compared whole texts. Should two different
+    Rows find their group by digest, second hash, length and salt: a group stands once under each salt that its rows
+    have, so that the rows of one text are spread over ``salts`` tasks here too. ``groups`` has compared whole texts. Should two different
     texts ever agree in all three, the query stops with an error rather than merge them.
     """
     found = groups(docs, salts=salts, digest=digest)
     found = (
         found.groupBy("digest", "check", "bytes")
-        .agg(F.max("keep_id").alias("keep_id"), F.max("group_size").alias("group_size"), F.count(F.lit(1)).alias("texts"))
+        .agg(F.max("keep_id").alias("keep_id"), F.max("group_size").alias("group_size"), F.bit_or("salt_mask").alias("salt_mask"), F.count(F.lit(1)).alias("texts"))
         .withColumn("group_size", F.when(F.col("texts") == 1, F.col("group_size")).otherwise(F.raise_error(F.lit("two texts share all digests")).cast("long")))
         .drop("texts")
+        .withColumn("salt", F.explode(F.filter(F.sequence(F.lit(0), F.lit(salts - 1)), lambda k: F.expr("salt_mask").bitwiseAND(F.call_function("shiftleft", F.lit(1).cast("long"), k)) != 0)))
+        .withColumn("salt", F.col("salt").cast("long"))
+        .drop("salt_mask")
     )
     body = lower_ascii(text_or_empty())
-    rows = docs.select("doc_id", body.alias("body")).select("doc_id", digest(F.col("body")).alias("digest"), F.xxhash64("body").alias("check"), F.octet_length("body").alias("bytes"), F.sha2("body", 256).alias("text_sha256"))
-    return rows.join(found, ["digest", "check", "bytes"], "left").select(
+    rows = docs.select("doc_id", body.alias("body")).select("doc_id", digest(F.col("body")).alias("digest"), F.xxhash64("body").alias("check"), F.octet_length("body").alias("bytes"), F.sha2("body", 256).alias("text_sha256"), F.pmod(F.xxhash64("doc_id"), F.lit(salts)).cast("long").alias("salt"))
+    return rows.join(found, ["digest", "check", "bytes", "salt"], "left").select(
         "doc_id", "keep_id", F.col("group_size").cast("long").alias("group_size"), F.col("doc_id").eqNullSafe(F.col("keep_id")).alias("kept"), "text_sha256"
     )
 
