@@ -58,11 +58,12 @@ class Filter:
         """keys: one column ``key`` (64-bit hashes). Bits are joined by aggregation, block by block."""
         bit = [F.pmod(F.shiftrightunsigned(F.xxhash64("key", F.lit(1)), 7 * i), F.lit(BLOCK_BITS)) for i in range(PROBES)]
         set_ = keys.select(F.pmod("key", F.lit(blocks)).alias("block"), F.explode(F.array(*bit)).alias("bit"))
-        rows = set_.groupBy("block", F.floor(F.col("bit") / 64).alias("word")).agg(F.bit_or(F.expr("shiftleft(1L, cast(bit % 64 as int))")).alias("bits")).collect()
-        words = np.zeros(blocks * 8, np.int64)
-        for r in rows:
-            words[r["block"] * 8 + r["word"]] = r["bits"]
-        return cls(words.view(np.uint64))
+        words = [F.coalesce(F.bit_or(F.when(F.floor(F.col("bit") / 64) == w, F.expr("shiftleft(1L, cast(bit % 64 as int))"))), F.lit(0)).alias(f"w{w}") for w in range(8)]
+        rows = set_.groupBy("block").agg(*words).toArrow()  # a row of nine numbers for each block that has a key
+        out = np.zeros((blocks, 8), np.int64)
+        for w in range(8):
+            out[rows.column("block").to_numpy(), w] = rows.column(f"w{w}").to_numpy()
+        return cls(out.reshape(-1).view(np.uint64))
 
     def passes(self, keys: np.ndarray, second: np.ndarray) -> np.ndarray:
         """keys and second: the two hashes of each probed key, signed 64-bit."""
