@@ -181,10 +181,10 @@ def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return mix64((run[ends] - run[starts]) * down[starts] + (ends - starts).astype(np.uint64) * _LEN)
 
 
-def words_of(column: pa.Array):
+def words_of(column: pa.Array, limit: int = SLAB):
     """Yields (first row, word hashes, first word per row) for slabs of a text column, A-Z lower-cased."""
     data, offsets = buffers(column)
-    for lo, hi in slabs(offsets):
+    for lo, hi in slabs(offsets, limit):
         part = _LOWER[data[offsets[lo] : offsets[hi]]]
         inner = offsets[lo : hi + 1] - offsets[lo]
         starts, ends, heads = word_bounds(part, inner)

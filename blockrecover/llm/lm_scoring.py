@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import arrow_map, as_long, buffers, materialise, mix64, slabs, text_or_empty, words_of
+from .common import SLAB, arrow_map, as_long, buffers, materialise, mix64, slabs, text_or_empty, words_of
 from .packed import buckets_for, regroup, runs_of, split_by
 
 #: Hashes of the end token and of the start mark: no words.
@@ -35,12 +35,23 @@ END, START = np.uint64(0xE7037ED1A0B428DB), np.uint64(0x8EBC6AF09C88C6E3)
 _PAIR, _LEVEL = np.uint64(0x589965CC75374CC3), np.uint64(0x1D8E4E27C47D124F)
 ENTRY = np.dtype([("h", "<u8"), ("c", "<u4"), ("order", "<u4")])
 PROBES = 6
+#: Bytes of text whose n-grams are asked for together where buckets answer: longer runs repeat fewer n-grams.
+WIDE = 4 * SLAB
 
 
-def token_stream(column: pa.Array):
+def narrow(x: np.ndarray) -> bytes:
+    """Counts as bytes of the least width that holds them all; ``widened`` reads them back."""
+    return x.astype(np.min_scalar_type(int(x.max(initial=0)))).tobytes()
+
+
+def widened(body, n: int) -> np.ndarray:
+    return np.frombuffer(body, f"<u{len(body) // n}").astype(np.int64) if n else np.zeros(0, np.int64)
+
+
+def token_stream(column: pa.Array, limit: int = SLAB):
     """Yields (first row, tokens, contexts, first token per row): words and an end per text; the context is the word
     before, or the start mark."""
-    for lo, words, heads in words_of(column):
+    for lo, words, heads in words_of(column, limit):
         n = len(heads) - 1
         tokens = np.full(len(words) + n, END, np.uint64)
         at = heads + np.arange(n + 1)
@@ -237,7 +248,7 @@ class Slab:
     """The distinct n-grams of a slab of text in the order in which buckets are asked for them."""
 
     def __init__(self, texts, buckets: int):
-        ((_, tokens, contexts, self.at),) = token_stream(texts)
+        ((_, tokens, contexts, self.at),) = token_stream(texts, WIDE)
         self.kinds, self.code = np.unique(tokens, return_inverse=True)
         self.pairs, self.pair_code = np.unique(pair_hash(contexts, tokens), return_inverse=True)
         self.h = np.concatenate([self.kinds, [START], self.pairs])
@@ -260,7 +271,7 @@ def in_slabs(rows: DataFrame) -> DataFrame:
 
         at = TaskContext.get().partitionId() << 32
         for b in batches:
-            ranges = list(slabs(buffers(b.column("text"))[1]))
+            ranges = list(slabs(buffers(b.column("text"))[1], WIDE))
             offsets = pa.array([0, *(hi for _, hi in ranges)], pa.int32())
             body = pa.StructArray.from_arrays([b.column(k) for k in ("doc_id", "held_out", "text")], ["doc_id", "held_out", "text"])
             yield pa.RecordBatch.from_arrays([pa.array(at + np.arange(len(ranges))), pa.ListArray.from_arrays(offsets, body)], names=["slab", "rows"])
@@ -283,7 +294,7 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
             ends = np.append(heads[1:], len(h))
             single = np.add.reduceat((own.order < own.unigrams).astype(np.int32), heads)
             yield pa.RecordBatch.from_arrays(
-                [pa.array(np.full(len(heads), slab)), pa.array(own.bucket[heads].astype(np.int32)), pa.array(single.astype(np.int32)), pa.array([h[a:b].tobytes() for a, b in zip(heads, ends)], pa.binary()), pa.array([c[a:b].tobytes() for a, b in zip(heads, ends)], pa.binary())],
+                [pa.array(np.full(len(heads), slab)), pa.array(own.bucket[heads].astype(np.int32)), pa.array(single.astype(np.int32)), pa.array([h[a:b].tobytes() for a, b in zip(heads, ends)], pa.binary()), pa.array([narrow(c[a:b]) for a, b in zip(heads, ends)], pa.binary())],
                 names=["slab", "bucket", "single", "h", "c"],
             )
 
@@ -291,7 +302,7 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
         for bucket, part in runs_of(batches, "bucket"):
             single = part.column("single").to_numpy()
             h = [np.frombuffer(x.as_buffer(), "<u8") for x in part.column("h")]
-            c = [np.frombuffer(x.as_buffer(), "<u4") for x in part.column("c")]
+            c = [widened(x.as_buffer(), len(k)) for x, k in zip(part.column("c"), h)]
             whole, places = [], []
             for o in (1, 2):
                 pick = [slice(0, n) if o == 1 else slice(n, None) for n in single]
@@ -301,19 +312,19 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
                 places.append(np.split(place, np.cumsum([len(x[k]) for x, k in zip(h, pick)])[:-1]))
             bits = segment_of(whole, base=base, bits_a_key=bits_a_key)
             own = LogBloom(bits, np.zeros(1, np.int64), np.array([8 * len(bits)], np.int64), base)
-            levels = [own.level(kinds, o).astype("<u2") for o, kinds, _ in whole]
+            levels = [own.level(kinds, o) for o, kinds, _ in whole]
             _, kinds, count = whole[0]
             word = kinds != START
             total, known = int(count[word].sum()), int((count[word] > 0).sum())
             for i, slab in enumerate(part.column("slab").to_pylist()):
                 read = np.concatenate([levels[0][places[0][i]], levels[1][places[1][i]]])
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array([slab]), pa.array([bucket], pa.int32()), pa.array([total if i == 0 else 0]), pa.array([known if i == 0 else 0]), pa.array([read.tobytes()], pa.binary()), pa.array([count[places[0][i]].astype("<u4").tobytes()], pa.binary())],
-                    names=["slab", "pos", "total", "kinds", "levels", "counts"],
+                    [pa.array([slab]), pa.array([bucket], pa.int32()), pa.array([total if i == 0 else 0]), pa.array([known if i == 0 else 0]), pa.array([len(read)], pa.int32()), pa.array([int(single[i])], pa.int32()), pa.array([narrow(read)], pa.binary()), pa.array([narrow(count[places[0][i]])], pa.binary())],
+                    names=["slab", "pos", "total", "kinds", "n_levels", "n_counts", "levels", "counts"],
                 )
 
     asked = arrow_map(texts, ask, "slab long, bucket int, single int, h binary, c binary").repartition(buckets, "bucket").sortWithinPartitions("bucket", "slab")
-    answers = materialise(arrow_map(asked, answer, "slab long, pos int, total long, kinds long, levels binary, counts binary"), "answers")
+    answers = materialise(arrow_map(asked, answer, "slab long, pos int, total long, kinds long, n_levels int, n_counts int, levels binary, counts binary"), "answers")
     total, kinds = (x or 0 for x in answers.agg(F.sum("total"), F.sum("kinds")).first())
     smooth = float(total) + float(kinds) + 1.0
 
@@ -323,9 +334,10 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
             part = part.filter(part.column("levels").is_null())
             own = Slab(part.column("text"), buckets)
             levels, single = np.empty(len(own.h), np.int64), np.empty(len(own.h), np.int64)
-            levels[own.order] = np.frombuffer(b"".join(answers.column("levels").to_pylist()), "<u2")
+            read = lambda k: np.concatenate([widened(x.as_buffer(), n) for x, n in zip(answers.column(k), answers.column(f"n_{k}").to_pylist())])
+            levels[own.order] = read("levels")
             # unigrams keep their order among the asked
-            single[own.order[own.order < own.unigrams]] = np.frombuffer(b"".join(answers.column("counts").to_pylist()), "<u4")
+            single[own.order[own.order < own.unigrams]] = read("counts")
             known, base_score = base_ratings(own.code, own.at, single[: own.unigrams - 1], smooth)
             rated = ratings(own.code, own.at, levels[: own.unigrams], levels[own.unigrams :][own.pair_code], whole=smooth, share=share, base=base)
             yield pa.RecordBatch.from_arrays(
@@ -333,7 +345,7 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
                 names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"],
             )
 
-    both = texts.withColumn("after", F.lit(1)).unionByName(answers.select("slab", "pos", "levels", "counts", F.lit(0).alias("after")), allowMissingColumns=True)
+    both = texts.withColumn("after", F.lit(1)).unionByName(answers.select("slab", "pos", "n_levels", "n_counts", "levels", "counts", F.lit(0).alias("after")), allowMissingColumns=True)
     return arrow_map(both.repartition("slab").sortWithinPartitions("slab", "after", "pos"), read, "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double")
 
 
