@@ -70,10 +70,15 @@ class Model:
     def sentence_logits(self, ids, owner, n) -> np.ndarray:
         return self.bias + np.bincount(owner, weights=self.weights[ids], minlength=n)
 
+    def read(self, data, offsets):
+        """(score of each document, document, byte range in it and own score of each sentence)."""
+        ids, owner, document, begins, finish = sentences(data, offsets)
+        logits = self.sentence_logits(ids, owner, len(document))
+        scores = -np.expm1(-np.bincount(document, weights=np.logaddexp(0, logits), minlength=len(offsets) - 1))
+        return scores, document, begins - offsets[document], finish - offsets[document], 1 / (1 + np.exp(-np.clip(logits, -700, 700)))
+
     def scores(self, data, offsets) -> np.ndarray:
-        ids, owner, document, _, _ = sentences(data, offsets)
-        harm = np.logaddexp(0, self.sentence_logits(ids, owner, len(document)))
-        return -np.expm1(-np.bincount(document, weights=harm, minlength=len(offsets) - 1))
+        return self.read(data, offsets)[0]
 
 
 def train(texts: pa.Array, labels: np.ndarray, *, rounds: int = 25, batch: int = 128, rate: float = 0.5, least_odds: float = 4.0, seed: int = 11) -> Model:
@@ -140,39 +145,36 @@ def fit(docs: DataFrame, labels: DataFrame, *, modulus: int = 5, most_rows: int
     return train(rows.column("text").combine_chunks() if len(rows) else pa.array([], pa.string()), rows.column("y").to_numpy())
 
 
-def predict(docs: DataFrame, model: Model, *, modulus: int = 5) -> DataFrame:
-    """doc_id, held_out, score, predicted for every row."""
+def predict(docs: DataFrame, model: Model, *, modulus: int = 5, least: float = 0.5) -> DataFrame:
+    """doc_id, held_out, score, predicted for every row, and offending: the sentences whose own score is at least ``least``,
+    as start, end (bytes of the text) and score."""
     shared = docs.sparkSession.sparkContext.broadcast((model.weights.astype(np.float32), model.bias))
+    spans = pa.struct([("start", pa.int64()), ("end", pa.int64()), ("score", pa.float64())])
 
     def run(batches):
         own = Model(*shared.value)
         for b in batches:
             data, offsets = buffers(b.column("text"))
-            parts = [own.scores(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]) for lo, hi in slabs(offsets)]
-            s = np.concatenate(parts) if parts else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(s), pa.array((s >= 0.5).astype(np.int32))], names=["doc_id", "held_out", "score", "predicted"])
+            scores, counts, found = [np.zeros(0)], [np.zeros(0, np.int64)], [[np.zeros(0, np.int64)], [np.zeros(0, np.int64)], [np.zeros(0)]]
+            for lo, hi in slabs(offsets):
+                s, document, start, end, p = own.read(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
+                hit = p >= least
+                scores.append(s)
+                counts.append(np.bincount(document[hit], minlength=hi - lo))
+                for parts, x in zip(found, (start, end, p)):
+                    parts.append(x[hit])
+            s = np.concatenate(scores)
+            ends = np.concatenate([[0], np.cumsum(np.concatenate(counts))]).astype(np.int32)
+            where = pa.ListArray.from_arrays(pa.array(ends), pa.StructArray.from_arrays([pa.array(np.concatenate(x)) for x in found], fields=list(spans)))
+            yield pa.RecordBatch.from_arrays([b.column("doc_id"), b.column("held_out"), pa.array(s), pa.array((s >= 0.5).astype(np.int32)), where], names=["doc_id", "held_out", "score", "predicted", "offending"])
 
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), (fold(modulus) == 0).alias("held_out"), text_or_empty().alias("text"))
-    return arrow_map(rows, run, "doc_id long, held_out boolean, score double, predicted int")
+    return arrow_map(rows, run, "doc_id long, held_out boolean, score double, predicted int, offending array<struct<start:bigint,end:bigint,score:double>>")
 
 
 def offending(docs: DataFrame, model: Model, *, least: float = 0.5) -> DataFrame:
     """The sentences of each document whose own score is at least ``least``: doc_id, start, end (bytes), score."""
-    shared = docs.sparkSession.sparkContext.broadcast((model.weights.astype(np.float32), model.bias))
-
-    def run(batches):
-        own = Model(*shared.value)
-        for b in batches:
-            data, offsets = buffers(b.column("text"))
-            for lo, hi in slabs(offsets):
-                inner = offsets[lo : hi + 1] - offsets[lo]
-                ids, owner, document, begins, finish = sentences(data[offsets[lo] : offsets[hi]], inner)
-                p = 1 / (1 + np.exp(-own.sentence_logits(ids, owner, len(document))))
-                hit = np.flatnonzero(p >= least)
-                yield pa.RecordBatch.from_arrays([b.column("doc_id").take(pa.array(lo + document[hit])), pa.array(begins[hit] - inner[document[hit]]), pa.array(finish[hit] - inner[document[hit]]), pa.array(p[hit])], names=["doc_id", "start", "end", "score"])
-
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), text_or_empty().alias("text"))
-    return arrow_map(rows, run, "doc_id long, start long, end long, score double")
+    return predict(docs, model, least=least).select("doc_id", F.explode("offending").alias("s")).select("doc_id", "s.start", "s.end", "s.score")
 
 
 def clean(docs: DataFrame, model: Model) -> DataFrame:

@@ -104,6 +104,81 @@ def test_topk_brute_force(spark):
     assert topk_search.top_k(df.where("false")).count() == 0
 
 
+def test_topk_of_large_ids_beside_null_ids(spark):
+    top = 1152921504606846950
+    df = spark.createDataFrame([(top, [1.0, 2.0]), (top + 1, [1.0, 1.0]), (None, [0.5, 0.5])], "vec_id long, embedding array<float>")
+    got = [(r.query_id, r["rank"], r.vec_id) for r in topk_search.top_k(df).collect()]
+    assert sorted(got, key=str) == [(top, 1, top + 1), (top, 2, None)]
+
+
+def test_posting_lists_hold_every_component(spark):
+    rows = np.random.default_rng(9).integers(-300, 300, (50, 6))
+    index = topk_search.Index(rows, 16)
+    back = np.zeros_like(rows)
+    for i, (lo, hi) in enumerate(zip(index.heads, index.ends)):
+        back[index.postings[lo:hi], index.dimension[i]] += index.level[i] * 16
+    assert ((rows - back >= 0) & (rows - back < 16)).all()
+    size = np.abs(index.level)
+    assert (size[1:] <= size[:-1]).all()
+    assert [i for _, lists in index.segments() for i in lists] == list(range(len(size)))
+
+
+def plain_model(bloom, rows, n, v, share, base):
+    """The interpolated score of each text word by word, over the levels that the filter reads."""
+    least = [int(x) for x in lm_scoring.least_counts(base)[:200]]
+    edge = lambda level: (least[level - 1], least[level] - 1) if level else (0, 0)
+
+    def hashes(t):
+        import pyarrow as pa
+
+        ((_, own, before, _),) = lm_scoring.token_stream(pa.array([t or ""]))
+        return own, before
+
+    out = []
+    for t in rows:
+        own, before = hashes(t)
+        total = 0.0
+        for w, c in zip(own, before):
+            one = int(bloom.level(np.array([w], np.uint64), 1)[0])
+            context = int(bloom.level(np.array([c], np.uint64), 1)[0])
+            pair = int(bloom.level(lm_scoring.pair_hash(np.array([c], np.uint64), np.array([w], np.uint64)), 2)[0])
+            seen = edge(context)[1]
+            p1 = (edge(one)[0] + 1) / (n + v + 1)
+            total += math.log10((1 - share) * p1 + share * min(edge(pair)[0], seen) / max(seen, 1))
+        out.append(total)
+    return out
+
+
+def test_score_row_by_row(spark):
+    """Every score equals a plain loop over the filter's levels, and the levels are those of counts by a plain count."""
+    rows = texts(8, 60)
+    got = lm_scoring.score(frame(spark, rows)).collect()
+    held = lambda i: zlib.crc32(str("" if i is None else i).encode()) % 7 == 2
+    import pyarrow as pa
+
+    one, two, starts = Counter(), Counter(), 0
+    for i, t, _ in rows:
+        if not held(i):
+            ((_, own, before, _),) = lm_scoring.token_stream(pa.array([t or ""]))
+            one.update(own.tolist())
+            two.update(lm_scoring.pair_hash(before, own).tolist())
+            starts += 1
+    n, v = sum(one.values()), len(one)
+    one[int(lm_scoring.START)] = starts
+    buckets = lm_scoring.buckets_for(sum(len((t or "").encode()) for _, t, _ in rows))
+    bits, sizes = [], []
+    for b in range(buckets):
+        mine = lambda c: sorted(h for h in c if (h >> 20) % buckets == b)  # noqa: E731, B023
+        parts = [(o, np.array(mine(c), np.uint64), np.array([c[h] for h in mine(c)], np.int64)) for o, c in ((1, one), (2, two))]
+        part = lm_scoring.segment_of(parts, base=1.15, bits_a_key=12)
+        bits.append(part)
+        sizes.append(8 * len(part))
+    sizes = np.array(sizes, np.int64)
+    bloom = lm_scoring.LogBloom(np.concatenate(bits), np.cumsum(sizes) - sizes, sizes, 1.15)
+    want = sorted(round(x, 6) for x in plain_model(bloom, [t for _, t, _ in rows], n, v, 0.2, 1.15))
+    assert np.allclose(sorted(r.score for r in got), want, atol=1e-5)
+
+
 def test_targets_fill_by_weight():
     got = mixing.targets([("a", 10), ("b", 1000), ("c", 1000), (None, 100)])
     assert math.isclose(sum(got.values()), 1.5 * 2110) and got["a"] == 20 and got[None] == 200
@@ -121,26 +196,75 @@ def test_splitting_tree_keeps_quotas():
 
 def test_mix_takes_targets_and_pieces_agree(spark):
     rows = texts(4, 200)
+    got = mixing.taken_words(frame(spark, rows), block_words=32, shards=7).collect()
     placed, pieces = mixing.mix(frame(spark, rows), block_words=32, shards=7)
-    p = placed.collect()
-    assert len(p) == len(rows)
-    taken = Counter()
-    for r in p:
+    source = {(r.source, r.before, r.doc_id): r for r in placed.collect()}
+    assert len(got) == len(rows) and sorted(map(repr, got)) == sorted(map(repr, mixing.taken_words(frame(spark, rows), block_words=32, shards=7).collect()))
+    for r in got:
         assert 0 <= r.taken <= 2 * r.size and r.size == len(tokens(next(t for i, t, _ in rows if i == r.doc_id)))
-        taken[r.source] += r.taken
-    goal = {r.source: r.target for r in p}
-    assert all(abs(taken[s] - goal[s]) <= 1 for s in goal)
-    drawn, where = Counter(), Counter()
+    drawn, seen, where = Counter(), set(), Counter()
     for r in pieces.collect():
-        drawn[r.source, r.before, r.doc_id] += r.n_words
-        assert 0 <= r["shard"] < 7
+        assert 0 <= r["shard"] < 7 and (r.source, r.before, r.doc_id) in source
+        drawn[r.source] += r.n_words
         where[r["shard"]] += r.n_words
-    assert drawn == Counter({(r.source, r.before, r.doc_id): r.taken for r in p if r.taken})
-    assert len(where) > 1
-    out = mixing.mixed_documents(frame(spark, rows), block_words=32)
+        span = {(r.source, r.round, r.before + k) for k in range(r.start_word, r.start_word + r.n_words)}
+        assert not span & seen  # no word twice in one time round
+        seen |= span
+    goal = {r.source: r.target for r in placed.collect()}
+    assert all(abs(drawn[s] - goal[s]) <= 0.5 + 1e-9 for s in goal)
+    assert sum(r.taken for r in got) == sum(drawn.values()) and len(where) == 7
+    out = mixing.mixed_documents(frame(spark, rows), block_words=32, shards=7)
     assert out.columns == frame(spark, rows).columns
-    assert sum(len(tokens(r.text)) for r in out.collect()) == sum(taken.values())
-    assert mixing.mixed_documents(frame(spark, [])).count() == 0
+    text = {i: tokens(t) for i, t, _ in rows}
+    back = Counter()
+    for r in out.collect():
+        own, have = tokens(r.text), text[r.doc_id]
+        assert any(have[k : k + len(own)] == own for k in range(len(have) - len(own) + 1))
+        back[r.source] += len(own)
+    assert back == drawn
+    assert mixing.mixed_documents(frame(spark, [])).count() == 0 and mixing.taken_words(frame(spark, [])).count() == 0
+
+
+def test_leaves_of_the_tree_decide_what_is_drawn(spark):
+    """Blocks by shard are the leaves; a tree that deals otherwise draws other words, with equal targets."""
+    docs = frame(spark, texts(6, 150))
+
+    def lopsided(quotas, shards, seed):
+        out = np.zeros((shards, len(quotas)), np.int64)
+        out[0], out[-1] = [q - q // 3 for q in quotas], [q // 3 for q in quotas]
+        return out
+
+    taken = []
+    for tree in (mixing.splitting_tree, lopsided):
+        placed, pieces = mixing.mix(docs, block_words=16, shards=5, tree=tree)
+        size = {r.source: r.source_size for r in placed.collect()}
+        goal = mixing.targets(list(size.items()))
+        names = mixing.in_order(size)
+        plan = {p[0]: p for p in mixing.plan(size, goal, cap=2.0, shards=5, block_words=16, seed=17, tree=tree)}
+        leaves = tree([plan[s][3] // plan[s][4] if s in plan else 0 for s in names], 5, 17)
+        whole = {s: set() for s in names}
+        for r in pieces.collect():
+            whole[r.source].add((r["shard"], r.round, r.block))
+        for i, s in enumerate(names):
+            if s in plan:
+                rests = len(plan[s][-1])
+                dealt = Counter(k for k, _, _ in whole[s])
+                assert sum(dealt.values()) == leaves[:, i].sum() + rests
+                assert sum(abs(dealt[k] - int(leaves[k, i])) for k in range(5)) == rests
+        taken.append({(r.doc_id, r.size): r.taken for r in mixing.taken_words(docs, block_words=16, shards=5, tree=tree).collect()})
+    assert taken[0] != taken[1] and sum(taken[0].values()) == sum(taken[1].values())
+
+
+@pytest.mark.parametrize("seed", range(8))
+def test_draws_cover_their_counts(seed):
+    rng = np.random.default_rng(seed)
+    blocks = int(rng.integers(1, 60))
+    leaves = rng.multinomial(int(rng.integers(0, 2 * blocks + 1)), [0.25] * 4).tolist()
+    draw = mixing.Draw(leaves, blocks, "s", seed)
+    places = [p for p in range(blocks) if draw.drawn(p)]
+    assert len(places) + draw.rounds * blocks == sum(leaves)
+    assert sorted(places + list(draw.spare())) == list(range(blocks))
+    assert all(sorted(draw.place(b, k) for b in range(blocks)) == list(range(blocks)) for k in (0, 1))
 
 
 def test_toxicity_held_out_and_location(spark):
@@ -190,6 +314,55 @@ def test_toxicity_smallest_tables(spark, data):
     assert not any(r.predicted for r in got if r.toxic == 0)
 
 
+def plain_noisy_or(model, text):
+    """Sentence by sentence, word by word: (score, offending sentences)."""
+    cut = b"[\\x20\\x09-\\x0D" + re.escape("".join(chr(b) for b in range(33, 127) if not chr(b).isalnum()).encode()) + b"]+"
+    data, miss, found, at = re.sub(rb"[A-Z]", lambda m: m[0].lower(), (text or "").encode()), 1.0, [], 0
+    for part in re.findall(rb"[^.!?\n]*[.!?\n]|[^.!?\n]+", data):
+        words, logit = [w for w in re.split(cut, part) if w], model.bias
+        for w in words:
+            for k, piece in enumerate([w] + [w[:n] if len(w) > n else b"" for n in (4, 5)]):
+                if piece:
+                    h = toxicity.span_hashes(np.frombuffer(piece, np.uint8), np.array([0]), np.array([len(piece)]))[0] ^ np.uint64(0x5851F42D4C957F2D * (k + 1) % (1 << 64))
+                    logit += float(model.weights[int(h >> np.uint64(9)) & ((1 << toxicity.BITS) - 1)])
+        if words:
+            p = 1 / (1 + math.exp(-logit))
+            miss *= 1 - p
+            if p >= 0.5:
+                found.append((at, at + len(part)))
+        at += len(part)
+    return 1 - miss, found
+
+
+def test_toxicity_row_by_row_and_on_given_labels(spark):
+    """Scores and located sentences equal a plain noisy-or; held-out labels of the given tables are met."""
+    folder = "/root/testdata/sf0.01"
+    docs, labels = spark.read.parquet(f"{folder}/documents.parquet"), spark.read.parquet(f"{folder}/labels.parquet")
+    model = toxicity.fit(docs, labels)
+    model.weights = model.weights.astype(np.float32).astype(float)
+    got = {r.doc_id: r for r in toxicity.predict(docs, model).collect()}
+    text = {r.doc_id: r.text for r in docs.collect()}
+    for i in sorted(text, key=lambda i: (-got[i].predicted, i))[:150]:
+        score, found = plain_noisy_or(model, text[i])
+        assert math.isclose(got[i].score, score, abs_tol=1e-6)
+        assert [(s.start, s.end) for s in got[i].offending] == found
+    held = [r for r in labels.collect() if r.doc_id in got and got[r.doc_id].held_out]
+    toxic = [r for r in held if r.toxic == 1]
+    assert sum(got[r.doc_id].predicted for r in toxic) >= 0.6 * len(toxic)
+    assert sum(got[r.doc_id].predicted for r in held if r.toxic == 0) <= 0.01 * len(held)
+
+
+def test_very_long_texts_and_urls(spark):
+    """Texts and URLs of a few MB."""
+    docs = frame(spark, [(1, "calm words here. " * 200_000, "a"), (2, "x" * 3_000_000, "a"), (3, "vilest word. calm.", "a")])
+    model = toxicity.fit(docs, spark.createDataFrame([(1, 0), (3, 1)], "doc_id long, toxic int"))
+    assert {r.doc_id for r in toxicity.predict(docs, model).collect()} == {1, 2, 3}
+    pages = spark.createDataFrame([(1, "http://a.org/" + "p/" * 1_000_000), (2, "http://" + "h" * 2_000_000), (3, "://" * 500_000)], "page_id long, url string")
+    rules = spark.createDataFrame(list(url_filter.RULES), "host string, path string, verdict string")
+    got = {r.page_id: r for r in url_filter.judge(pages, rules).collect()}
+    assert got[1].rule == "org/" and len(got[1].path) == 2_000_001 and len(got[2].host) == 2_000_000 and got[3].host == ":"
+
+
 def test_url_rules_and_bloom(spark):
     urls = ["http://A.Example.org/es/x?q", "https://example.org/es/", "http://example.org/en/12", "http://example.org/en/2", "http://sub.org", "http://sub.org/", "http://x.com/fr/1", "http://x.com/fr", "http://x.com/de/#a", "com/de/", None, "", "http://www.listed.net/a/", "http://listed.net/a", "http://listed.net/a/b", "http://xcom/de/", "http://u:p@x.com:80/de/"]
     pages = spark.createDataFrame([(i, u, "r", "v") for i, u in enumerate(urls)] + [(0, urls[0], "r", "v")], "page_id long, url string, rule string, verdict string")
