@@ -77,7 +77,8 @@ def survivors(docs: DataFrame, *, salts: int = 16) -> DataFrame:
     body = lower_ascii(text_or_empty())
     number = lambda c: F.coalesce(c, F.lit(-(2**63)))
     keys = ["dedup_digest", "dedup_check", "dedup_bytes", "dedup_id"]
-    found = groups(docs, salts=salts).select(F.col("digest").alias(keys[0]), F.col("check").alias(keys[1]), F.col("bytes").alias(keys[2]), number(F.col("keep_id")).alias(keys[3]))
+    # asking for sizes, of no use here, lets all readers of the salted texts share one exchange of them
+    found = groups(docs, salts=salts).where("group_size > 0").select(F.col("digest").alias(keys[0]), F.col("check").alias(keys[1]), F.col("bytes").alias(keys[2]), number(F.col("keep_id")).alias(keys[3]))
     rows = docs.select(F.struct(*docs.columns).alias("dedup_row"), body.alias("body"), number(F.col("doc_id")).alias(keys[3])).select(
         "dedup_row", default_digest(F.col("body")).alias(keys[0]), F.xxhash64("body").alias(keys[1]), F.octet_length("body").alias(keys[2]), keys[3]
     )
