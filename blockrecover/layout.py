@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from .functions.crc import crc_hex
 from .plans import ranked
+from .session import snapshot
 
 BLOCK, BODY, FRAME, HEADER, FOOTER = 256, 900, 917, 24, 37
 SEED = 42
@@ -50,22 +51,37 @@ def encoded(text: Column) -> Column:
     return F.translate(F.base64(F.encode(text, "UTF-8")), "\r\n", "")
 
 
+def slices(content: Column, size: int) -> Column:
+    """The pieces of ``size`` characters of an ASCII text; cut from its bytes, so that a piece costs its own length only."""
+    data = content.cast("binary")
+    return F.transform(F.sequence(F.lit(0), F.floor((F.octet_length(content) - 1) / size).cast("int")), lambda i: F.substring(data, i * size + 1, F.lit(size)).cast("string"))
+
+
+def digits(number: Column, width: int) -> Column:
+    """A number with leading zeros; one of more digits is an error, as it would not fit its field."""
+    text = number.cast("string")
+    return F.when(F.length(text) <= width, F.lpad(text, width, "0")).otherwise(F.raise_error(F.concat(F.lit("number beyond its field: "), text)))
+
+
 def framed_files(docs: DataFrame) -> DataFrame:
-    """file_id, content, file_len of the framed file of every document."""
+    """file_id, content, file_len of the framed file of every document. Rows without a doc_id make no file; null
+    texts count as empty; a doc_id that comes again gives a file for each row, which ``tag`` (a hash of the text) keeps apart."""
     body = encoded(F.coalesce("text", F.lit("")))
     rows = docs.where("doc_id is not null").select(F.col("doc_id").alias("file_id"), F.coalesce("text", F.lit("")).alias("text"), body.alias("body"))
-    piece = lambda i: F.substring(F.col("body"), i * BODY + 1, F.lit(BODY))
-    frames = F.transform(F.sequence(F.lit(0), F.expr(f"(length(body) - 1) div {BODY}")), lambda i: F.concat(F.lit("~D"), F.lpad(F.length(piece(i)).cast("string"), 6, "0"), F.lit(":"), piece(i), crc_hex(piece(i))))
-    frames = F.when(F.length("body") > 0, F.array_join(frames, "")).otherwise("")
-    head = F.concat(F.lit("~H1:"), F.lpad(F.col("file_id").cast("string"), 10, "0"), F.lit(":"), F.lpad(F.length("body").cast("string"), 8, "0"), F.lit("~"))
+    frames = F.transform(slices(F.col("body"), BODY), lambda p: F.concat(F.lit("~D"), F.lpad(F.octet_length(p).cast("string"), 6, "0"), F.lit(":"), p, crc_hex(p)))
+    frames = F.when(F.octet_length("body") > 0, F.array_join(frames, "")).otherwise("")
+    head = F.concat(F.lit("~H1:"), digits(F.col("file_id"), 10), F.lit(":"), digits(F.octet_length("body"), 8), F.lit("~"))
     content = F.concat(head, frames, F.lit("~E1:"), F.md5(F.encode("text", "UTF-8")), F.lit("~"))
-    return rows.select("file_id", content.alias("content")).withColumn("file_len", F.length("content").cast("long"))
+    return rows.select("file_id", F.xxhash64("text").alias("tag"), content.alias("content")).withColumn("file_len", F.octet_length("content").cast("long"))
 
 
 def split(files: DataFrame, size: int = BLOCK, pad: str | None = ".") -> DataFrame:
-    """file_id, logical_block, payload: fixed blocks, the last one padded (or left short)."""
-    pieces = F.transform(F.sequence(F.lit(0), F.expr(f"(length(content) - 1) div {size}")), lambda i: F.substring(F.col("content"), i * size + 1, F.lit(size)))
-    rows = files.where(F.length("content") > 0).select("file_id", F.posexplode(pieces).alias("logical_block", "payload"))
+    """file_id, logical_block, payload and the other columns of files: fixed blocks, the last one padded (or left short).
+    Contents of characters beyond ASCII are cut by characters."""
+    ascii_ = F.octet_length("content") == F.length("content")
+    pieces = F.when(ascii_, slices(F.col("content"), size)).otherwise(F.transform(F.expr(f"sequence(0, (length(content) - 1) div {size})"), lambda i: F.substring(F.col("content"), i * size + 1, F.lit(size))))
+    others = [c for c in files.columns if c not in ("file_id", "content")]
+    rows = files.where(F.length("content") > 0).select("file_id", *others, F.posexplode(pieces).alias("logical_block", "payload"))
     return rows.withColumn("payload", F.rpad("payload", size, pad)) if pad else rows
 
 
@@ -84,47 +100,68 @@ def noise(*parts: Column) -> Column:
     return F.concat(*[F.sha2(F.concat(name, F.lit(f":{k}")), 256) for k in range(BLOCK // 64)])
 
 
-def build_image(docs: DataFrame, scenario: Scenario) -> tuple[DataFrame, DataFrame]:
-    """(image, truth). image: pos, payload. truth: file_id, logical_block, pos, file_len, fragmented."""
-    files = framed_files(docs)
-    blocks = split(files)
-    plan = files.select("file_id", "file_len", F.expr(f"(file_len + {BLOCK - 1}) div {BLOCK}").alias("m"), choice(F.col("file_id")).alias("h"), order_key(F.col("file_id")).alias("key"))
+def placed_files(files: DataFrame, scenario: Scenario) -> DataFrame:
+    """files (file_id, file_len) with what the scenario does to each."""
+    plan = files.withColumn("m", F.expr(f"(file_len + {BLOCK - 1}) div {BLOCK}")).withColumn("h", choice(F.col("file_id"))).withColumn("key", order_key(F.col("file_id")))
     hit = lambda x: (F.col("h") % x[0] == x[1]) & (F.col("m") >= 4) if x else F.lit(False)
     plan = plan.withColumn("has_gap", hit(scenario.gap)).withColumn("has_run", hit(scenario.displaced)).withColumn("has_hole", hit(scenario.omitted))
     plan = plan.withColumn("gap_at", F.when(F.col("has_gap"), 1 + F.col("h") % (F.col("m") - 1))).withColumn("gap_n", F.when(F.col("has_gap"), 1 + F.expr("h div 7") % scenario.most_gap))
     length = 1 + F.col("h") % F.greatest(F.lit(1), F.expr("m div 2 - 1"))
     plan = plan.withColumn("run_n", F.when(F.col("has_run"), length)).withColumn("run_at", F.when(F.col("has_run"), 1 + F.expr("h div 10") % (F.col("m") - F.col("run_n"))))
-    plan = plan.withColumn("hole_at", F.when(F.col("has_hole"), 1 + F.expr("h div 10") % (F.col("m") - 1)))
+    return plan.withColumn("hole_at", F.when(F.col("has_hole"), 1 + F.expr("h div 10") % (F.col("m") - 1)))
+
+
+def key_digits(rows: int, *, a_chunk: int = 1_000_000) -> int:
+    """Leading hex digits of keys that part so many rows into chunks of about ``a_chunk``."""
+    n = 2
+    while rows > a_chunk * 16**n:
+        n += 1
+    return n
+
+
+def lengths(docs: DataFrame) -> DataFrame:
+    """file_id, file_len of the framed files, by arithmetic alone."""
+    body = F.expr("4 * ((octet_length(coalesce(text, '')) + 2) div 3)")
+    size = body + F.expr(f"({{}} + {BODY - 1}) div {BODY}".format("4 * ((octet_length(coalesce(text, '')) + 2) div 3)")) * (FRAME - BODY) + HEADER + FOOTER
+    return docs.where("doc_id is not null").select(F.col("doc_id").alias("file_id"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("tag"), size.cast("long").alias("file_len"))
+
+
+def build_image(docs: DataFrame, scenario: Scenario) -> tuple[DataFrame, DataFrame]:
+    """(image, truth). image: pos, payload. truth: file_id, logical_block, pos, file_len, fragmented. Files are encoded and
+    cut in one pass; what becomes of a block follows from its own file, but for the hosts of displaced runs."""
+    plan = placed_files(lengths(docs), scenario)
+    rows = split(placed_files(framed_files(docs), scenario))
     if scenario.displaced:
         # a displaced run goes behind the fourth fragmented file after its own; few rows: one per fragmented file
-        moved = ranked(plan.where("has_run").select(F.col("file_id").alias("f"), F.col("key").alias("k")), F.substring("k", 1, 2), ["k"], "place")
+        moved = snapshot(plan.where("has_run").select(F.col("file_id").alias("f"), F.col("key").alias("k")).distinct(), "moved")
+        moved = ranked(moved, F.substring("k", 1, key_digits(moved.count())), ["k"], "place")
         later = moved.select(F.col("place").alias("p"), F.col("k").alias("host"))
         hosts = moved.join(later, moved["place"] + 4 == later["p"], "left").select("f", F.coalesce("host", F.lit("~")).alias("host"))
-        plan = plan.join(hosts, plan["file_id"] == hosts["f"], "left").drop("f")
+        rows = rows.join(hosts, rows["file_id"] == hosts["f"], "left").drop("f")
     else:
-        plan = plan.withColumn("host", F.lit(None).cast("string"))
-    rows = blocks.join(plan, "file_id")
+        rows = rows.withColumn("host", F.lit(None).cast("string"))
     moved = F.coalesce((F.col("logical_block") >= F.col("run_at")) & (F.col("logical_block") < F.col("run_at") + F.col("run_n")), F.lit(False))
     kept = rows.where(~F.coalesce(F.col("logical_block") == F.col("hole_at"), F.lit(False)))
     own = kept.select(
-        F.when(moved, F.col("host")).otherwise(F.col("key")).alias("k1"), F.when(moved, 1).otherwise(0).alias("k2"), F.when(moved, F.col("key")).otherwise("").alias("k3"), (F.col("logical_block") * 2 + 1).alias("k4"), F.lit(0).alias("k5"),
+        F.when(moved, F.col("host")).otherwise(F.col("key")).alias("k1"), F.when(moved, 1).otherwise(0).alias("k2"), F.when(moved, F.col("key")).otherwise("").alias("k3"), "tag", (F.col("logical_block") * 2 + 1).alias("k4"), F.lit(0).alias("k5"),
         "payload", "file_id", "logical_block", "file_len", (F.col("has_gap") | F.col("has_run") | F.col("has_hole")).alias("fragmented"),
     )
     none = [F.lit(None).cast("long").alias("file_id"), F.lit(None).cast("int").alias("logical_block"), F.lit(None).cast("long").alias("file_len"), F.lit(None).cast("boolean").alias("fragmented")]
     parts = [own]
     if scenario.gap:
         filler = plan.where("has_gap").withColumn("j", F.explode(F.sequence(F.lit(1), F.col("gap_n").cast("int"))))
-        parts.append(filler.select(F.col("key").alias("k1"), F.lit(0).alias("k2"), F.lit("").alias("k3"), (F.col("gap_at") * 2).cast("int").alias("k4"), F.col("j").alias("k5"), noise(F.lit("gap"), F.col("file_id"), F.col("j")).alias("payload"), *none))
+        parts.append(filler.select(F.col("key").alias("k1"), F.lit(0).alias("k2"), F.lit("").alias("k3"), "tag", (F.col("gap_at") * 2).cast("int").alias("k4"), F.col("j").alias("k5"), noise(F.lit("gap"), F.col("file_id"), F.col("j")).alias("payload"), *none))
     if scenario.padding:
         # as many as the share asks for, each behind the block that its own hash picks
         pads = kept.select("key", "file_id", "logical_block", F.explode(F.sequence(F.lit(1), F.lit(3))).alias("j")).withColumn("u", F.conv(F.substring(F.md5(F.concat_ws(":", F.lit("pad"), "file_id", "logical_block", "j")), 1, 8), 16, 10).cast("long") % 300).where(F.col("u") < PADDING_PERCENT)
         body = F.lit("0" * BLOCK) if scenario.padding == "zero" else noise(F.lit("rand"), F.col("file_id"), F.col("logical_block"), F.col("j"))
         spot = F.md5(F.concat_ws(":", F.lit("spot"), "file_id", "logical_block", "j"))
-        parts.append(pads.select(spot.alias("k1"), F.lit(0).alias("k2"), F.lit("").alias("k3"), F.lit(-1).alias("k4"), F.col("j").alias("k5"), body.alias("payload"), *none))
+        parts.append(pads.select(spot.alias("k1"), F.lit(0).alias("k2"), F.lit("").alias("k3"), F.lit(0).cast("long").alias("tag"), F.lit(-1).alias("k4"), F.col("j").alias("k5"), body.alias("payload"), *none))
     every = parts[0]
     for p in parts[1:]:
         every = every.unionByName(p)
-    placed = ranked(every, F.substring("k1", 1, 2), ["k1", "k2", "k3", "k4", "k5"], "pos")
+    every = snapshot(every, "blocks")
+    placed = ranked(every, F.substring("k1", 1, key_digits(every.count())), ["k1", "k2", "k3", "tag", "k4", "k5"], "pos")
     image = placed.select("pos", "payload")
     truth = placed.where("file_id is not null").select("file_id", "logical_block", "pos", "file_len", "fragmented")
     return image, truth

@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from ..formats import framed
 from ..layout import BLOCK
-from ..plans import range_join
+from ..plans import next_on_axis, range_join
 from ..session import snapshot
 from .view import live_of
 
@@ -29,13 +29,10 @@ def spans(image: DataFrame, boundary: DataFrame, view: DataFrame) -> DataFrame:
 
 def footer_spans(boundary: DataFrame, view: DataFrame) -> DataFrame:
     """header_pos, lo, hi (live): extent by the nearest footer at or after the header."""
-    from ..plans import asof_join
-
-    at = boundary.join(view, "pos").select("kind", "pos", "live", F.lit(0).alias("k"))
-    heads = at.where("kind = 'header'").select("k", "live", F.col("pos").alias("header_pos"))
-    feet = at.where("kind = 'footer'").select("k", "live")
-    near = asof_join(heads, feet, ["k"], "live", [], forward=True)
-    return near.where("r_live is not null").select("header_pos", F.col("live").alias("lo"), (F.col("r_live") + 1).alias("hi"))
+    at = boundary.join(view, "pos").select("kind", "pos", "live")
+    heads = at.where("kind = 'header'").select("live", F.col("pos").alias("header_pos"))
+    near = next_on_axis(heads, at.where("kind = 'footer'").select("live"), "live", "foot")
+    return near.where("foot is not null").select("header_pos", F.col("live").alias("lo"), (F.col("foot") + 1).alias("hi"))
 
 
 def gather(blocks: DataFrame, wanted: DataFrame, keys: list[str], *, width: int = BIN) -> DataFrame:

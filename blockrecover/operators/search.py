@@ -8,6 +8,8 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..plans import next_on_axis
+
 
 @dataclass(frozen=True)
 class FormatSpec:
@@ -87,8 +89,5 @@ def span_limits(boundary: DataFrame, spec: FormatSpec, block: int) -> DataFrame:
     """header_pos, lo, hi by the configured largest size, ended early by the next header of the type."""
     heads = boundary.where((F.col("type") == spec.name) & (F.col("kind") == "header")).select("pos").distinct()
     most = -(-spec.max_len // block)
-    nxt = heads.select((F.col("pos")).alias("n_pos"), F.lit(0).alias("k"))
-    from ..plans import asof_join
-
-    later = asof_join(heads.select((F.col("pos") + 1).alias("at"), "pos", F.lit(0).alias("k")), nxt.select("k", F.col("n_pos").alias("at")), ["k"], "at", [], forward=True)
-    return later.select(F.col("pos").alias("header_pos"), F.col("pos").alias("lo"), F.least(F.coalesce("r_at", F.lit(1 << 62)), F.col("pos") + most).alias("hi"))
+    later = next_on_axis(heads.select((F.col("pos") + 1).alias("at"), "pos"), heads.select(F.col("pos").alias("at")), "at", "next_at")
+    return later.select(F.col("pos").alias("header_pos"), F.col("pos").alias("lo"), F.least(F.coalesce("next_at", F.lit(1 << 62)), F.col("pos") + most).alias("hi"))

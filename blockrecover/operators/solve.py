@@ -92,12 +92,13 @@ def expected_words(candidates: DataFrame) -> DataFrame:
 
 
 def solve_words(candidates: DataFrame, blocks: DataFrame) -> DataFrame:
-    """header_pos, j, start of live blocks that begin as a candidate expects: an equi-join on up to four characters."""
-    want = expected_words(candidates).withColumn("t", F.least(F.lit(4), F.length("expect"))).withColumn("key", F.substring("expect", F.lit(1), F.col("t")))
-    starts = F.transform(F.sequence(F.lit(1), F.lit(4)), lambda t: F.substring(F.col("payload"), F.lit(1), t))
+    """header_pos, j, start of live blocks that begin as a candidate expects: an equi-join on up to eight characters,
+    for which blocks send no more than the characters that are compared."""
+    want = expected_words(candidates).withColumn("t", F.least(F.lit(8), F.length("expect"))).withColumn("key", F.substring("expect", F.lit(1), F.col("t")))
+    starts = F.transform(F.sequence(F.lit(1), F.lit(8)), lambda t: F.substring(F.col("start_of"), F.lit(1), t))
     # blocks of plain body text start no frame, checksum or footer that can be told from others
-    keyed = blocks.select("live", "payload", F.explode(starts).alias("key"))
-    return want.join(keyed, "key").where(F.col("payload").startswith(F.col("expect"))).select("header_pos", "j", F.col("live").alias("start")).distinct()
+    keyed = blocks.select("live", F.substring("payload", 1, 64).alias("start_of")).select("live", "start_of", F.explode(starts).alias("key"))
+    return want.join(keyed, "key").where(F.col("start_of").startswith(F.col("expect"))).select("header_pos", "j", F.col("live").alias("start")).distinct()
 
 
 def neighbours_of(candidates: DataFrame, view: DataFrame, *, window: int) -> DataFrame:

@@ -2,14 +2,12 @@
 
 from __future__ import annotations
 
-from functools import reduce
-
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 #: Rows of per-chunk counters that may be summed on the driver.
-MOST_CHUNKS = 1_000_000
+MOST_CHUNKS = 1 << 21
 
 
 def ranked(df: DataFrame, chunk: Column, order: list, out: str) -> DataFrame:
@@ -55,5 +53,24 @@ def asof_join(left: DataFrame, right: DataFrame, by: list[str], at: str, value:
     return carried.select(*left.columns, *[F.col(f"aj_last.{n}").alias(n) for n in names])
 
 
-def all_of(conditions: list[Column]) -> Column:
-    return reduce(lambda a, b: a & b, conditions)
+def next_on_axis(left: DataFrame, right: DataFrame, at: str, out: str, *, chunk: int = 32_768) -> DataFrame:
+    """left with ``out``: the least ``at`` of right at or after a row's own, null without one; for one axis that has no key
+    to part it by. Windows run inside chunks of the axis; what a chunk has none of comes from the chunk after it that has
+    one: the chunks' first values meet on the driver (a number for each chunk, checked) and go back by broadcast."""
+    spark = left.sparkSession
+    names = left.columns
+    a = left.withColumn("na_side", F.lit(0)).withColumn("na_chunk", F.expr(f"{at} div {chunk}"))
+    b = right.select(F.col(at)).distinct().withColumn("na_side", F.lit(1)).withColumn("na_chunk", F.expr(f"{at} div {chunk}"))
+    firsts = b.groupBy("na_chunk").agg(F.min(at).alias("f")).limit(MOST_CHUNKS + 1).collect()
+    if len(firsts) > MOST_CHUNKS:
+        raise ValueError("more chunks than the driver may hold: use larger chunks")
+    firsts = sorted((r["na_chunk"], r["f"]) for r in firsts)
+    # a chunk without a later one's value reads the next listed chunk
+    spans = [(lo + 1 if k else -(1 << 62), hi, f) for k, ((lo, _), (hi, f)) in enumerate(zip([(0, 0), *firsts], firsts))]
+    chunks = a.select("na_chunk").distinct().select(F.col("na_chunk").alias("c"), (F.col("na_chunk") + 1).alias("n"))
+    table = spark.createDataFrame(spans, "s_lo long, s_hi long, s_first long")
+    later = chunks.join(F.broadcast(table), (F.col("n") >= F.col("s_lo")) & (F.col("n") <= F.col("s_hi"))).select("c", "s_first")
+    w = W.partitionBy("na_chunk").orderBy(F.col(at).desc(), F.col("na_side").desc()).rowsBetween(W.unboundedPreceding, W.currentRow)
+    both = a.unionByName(b, allowMissingColumns=True)
+    near = both.withColumn("na_own", F.last(F.when(F.col("na_side") == 1, F.col(at)), ignorenulls=True).over(w)).where("na_side = 0")
+    return near.join(later, near["na_chunk"] == later["c"], "left").select(*names, F.coalesce("na_own", "s_first").alias(out))

@@ -5,8 +5,9 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..layout import SCENARIOS, build_image, order_key
+from ..layout import SCENARIOS, build_image, key_digits, order_key, split
 from ..plans import ranked
+from ..session import snapshot
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -19,14 +20,14 @@ def lane(spark: SparkSession, sf_dir: str, name: str) -> tuple[DataFrame, DataFr
 
 def raw_blocks(docs: DataFrame, size: int = 256) -> DataFrame:
     """doc_id, i, payload: unframed blocks of texts, the last one short."""
-    pieces = F.transform(F.expr(f"sequence(0, (length(text) - 1) div {size})"), lambda i: F.substring("text", i * size + 1, F.lit(size)))
-    return docs.where("length(text) > 0").select("doc_id", F.posexplode(pieces).alias("i", "payload"))
+    rows = split(docs.select(F.col("doc_id").alias("file_id"), F.coalesce("text", F.lit("")).alias("content")), size, None)
+    return rows.select(F.col("file_id").alias("doc_id"), F.col("logical_block").alias("i"), "payload")
 
 
 def raw_image(spark: SparkSession, sf_dir: str) -> DataFrame:
     """pos, payload over all documents, files in the order of their keys."""
-    rows = raw_blocks(table(spark, sf_dir, "documents")).withColumn("key", order_key(F.col("doc_id")))
-    return ranked(rows, F.substring("key", 1, 2), ["key", "i"], "pos").select("pos", "payload", "doc_id", "i")
+    rows = snapshot(raw_blocks(table(spark, sf_dir, "documents")).withColumn("key", order_key(F.col("doc_id"))), "blocks")
+    return ranked(rows, F.substring("key", 1, key_digits(rows.count())), ["key", "i"], "pos").select("pos", "payload", "doc_id", "i")
 
 
 def covers(image: DataFrame) -> DataFrame:

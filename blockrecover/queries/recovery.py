@@ -94,11 +94,11 @@ def ctg_affected_headers(spark, sf_dir):
     return contiguous.affected(ext, table(spark, sf_dir, "supplier").select((F.col("s_suppkey") * 31).alias("pos")), width=64)
 
 
-@query("""WITH c AS (SELECT o_orderkey AS header_pos, o_custkey % 50 + o_orderkey % 7 + k AS pos FROM orders, unnest(range(3)) AS u(k) WHERE o_orderkey % 20 = 1),
+@query("""WITH c AS (SELECT o_orderkey AS header_pos, o_custkey * 40 + o_orderkey % 37 + k AS pos FROM orders, unnest(range(3)) AS u(k)),
     f AS (SELECT pos, min(header_pos) AS owner FROM c GROUP BY pos) SELECT DISTINCT header_pos FROM c WHERE header_pos NOT IN (SELECT header_pos FROM c JOIN f USING (pos) WHERE owner <> header_pos)""")
 def claims_resolve(spark, sf_dir):
-    at = F.col("o_custkey") % 50 + F.col("o_orderkey") % 7
-    claims = table(spark, sf_dir, "orders").where("o_orderkey % 20 = 1").select(F.col("o_orderkey").alias("header_pos"), F.array(at, at + 1, at + 2).alias("positions"))
+    at = F.col("o_custkey") * 40 + F.col("o_orderkey") % 37
+    claims = table(spark, sf_dir, "orders").select(F.col("o_orderkey").alias("header_pos"), F.array(at, at + 1, at + 2).alias("positions"))
     return contiguous.resolve_claims(claims).select("header_pos")
 
 
@@ -148,7 +148,7 @@ def frg_both(spark, sf_dir):
 
 @query(f"WITH {sql_lane('omit')} SELECT file_id, CASE WHEN has_hole THEN 'promising' ELSE 'written' END AS status FROM plan")
 def frg_omit(spark, sf_dir):
-    out = recover(lane(spark, sf_dir, "omit")[0], Options(epochs=1, rounds=1))
+    out = recover(lane(spark, sf_dir, "omit")[0], Options())
     name = framed.file_number(F.col("content")).alias("file_id")
     return out.written.select(name, F.lit("written").alias("status")).unionByName(out.promising.select(name, F.lit("promising").alias("status")))
 
