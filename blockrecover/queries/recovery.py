@@ -136,7 +136,7 @@ def frg_gap(spark, sf_dir):
     return _fragments("gap")(spark, sf_dir)
 
 
-@query()
+@query(TEXTS)
 def frg_ooo(spark, sf_dir):
     return _fragments("ooo")(spark, sf_dir)
 
