@@ -8,6 +8,8 @@ again: a verdict is a function of the blocks it has read.
 
 from __future__ import annotations
 
+from itertools import count
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -69,14 +71,15 @@ def affected(extents: DataFrame, delta: DataFrame, *, width: int = 4096) -> Data
     return range_join(delta.select("pos"), spans_, "pos", "lo", "hi", width=width).select("header_pos").distinct()
 
 
-def fixpoint(image: DataFrame, boundary: DataFrame, covered: DataFrame | None = None, *, most_passes: int = 50) -> tuple[DataFrame, DataFrame, DataFrame]:
+def fixpoint(image: DataFrame, boundary: DataFrame, covered: DataFrame | None = None, *, most_passes: int | None = None) -> tuple[DataFrame, DataFrame, DataFrame]:
     """(written, queued, covered). written: header_pos, content, positions, pass_no; queued: the last verdicts of
     promising starts; covered: pos."""
     spark = image.sparkSession
     covered = covered if covered is not None else spark.createDataFrame([], "pos long")
     heads = boundary.where("kind = 'header'").select("pos").distinct()
     pending, written, queued = heads, None, None
-    for number in range(1, most_passes + 1):
+    # each pass but the last writes a file, so passes end of themselves
+    for number in count(1) if most_passes is None else range(1, most_passes + 1):
         view = snapshot(live_of(image, covered), "view")
         blocks = image.join(view, "pos")
         todo = spans(image, boundary.join(pending, "pos", "left_semi"), view)

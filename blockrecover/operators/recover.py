@@ -75,7 +75,7 @@ def recover(image: DataFrame, options: Options | None = None) -> Outcome:
     options = options or Options()
     image = snapshot(image, "image")
     boundary = snapshot(literals(image, [FRAMED]), "boundary")
-    written, queued, covered = fixpoint(image, boundary, most_passes=50 if options.coverage_feedback else 1)
+    written, queued, covered = fixpoint(image, boundary, most_passes=None if options.coverage_feedback else 1)
     promising, carried, epoch = queued.select("header_pos", "content", "positions", "v"), None, 0
     for epoch in count(1) if options.epochs is None else range(1, options.epochs + 1):
         view = snapshot(live_of(image, covered), "view")

@@ -50,6 +50,16 @@ def hits(payload: Column, literal: str) -> Column:
     return F.when(payload.contains(literal), ends).otherwise(F.array().cast("array<int>"))
 
 
+def regex_hits(payload: Column, pattern: str) -> Column:
+    """Offsets (from 0) of a pattern's matches: the pieces between matches and the matches themselves give them. The pattern
+    must not match the empty text."""
+    pieces, found = F.split(payload, pattern, -1), F.regexp_extract_all(payload, F.lit(f"({pattern})"), 1)
+    steps = F.zip_with(F.slice(pieces, F.lit(1), F.size(found)), found, lambda p, m: F.struct(F.length(p).alias("p"), F.length(m).alias("m")))
+    start = F.struct(F.lit(0).alias("at"), F.array().cast("array<int>").alias("out"))
+    walked = F.aggregate(steps, start, lambda acc, x: F.struct((acc.at + x.p + x.m).alias("at"), F.concat(acc.out, F.array(acc.at + x.p)).alias("out")))
+    return F.when(payload.rlike(pattern), walked.out).otherwise(F.array().cast("array<int>"))
+
+
 def _quote(literal: str) -> str:
     return "\\Q" + literal + "\\E"
 
@@ -69,6 +79,8 @@ def literals(image: DataFrame, specs: list[FormatSpec], *, skip: DataFrame | Non
                     found.append(F.when(F.col("payload").startswith(text), F.array(F.struct(F.lit(s.name).alias("type"), F.lit(kind).alias("kind"), F.lit(0).alias("off")))))
                 else:
                     found.append(_marked(hits(F.col("payload"), text), s.name, kind))
+        if s.regex:  # what literals cannot say
+            found.append(_marked(regex_hits(F.col("payload"), s.regex), s.name, "header"))
     every = F.flatten(F.filter(F.array(*found), lambda x: x.isNotNull()))
     return rows.select("pos", F.explode(every).alias("b")).select("b.type", "b.kind", "pos", "b.off")
 
