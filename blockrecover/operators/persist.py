@@ -5,26 +5,43 @@ from __future__ import annotations
 import json
 import uuid
 
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+POINTER = "number long, version string, facts string, names array<string>"
+
+
+def versions(spark: SparkSession, folder: str) -> DataFrame:
+    """The complete versions of a folder: number, version, facts, names; none where nothing has been saved."""
+    try:
+        return spark.read.schema(POINTER).parquet(f"{folder}/pointers")
+    except AnalysisException as error:
+        if error.getCondition() != "PATH_NOT_FOUND":
+            raise
+        return spark.createDataFrame([], POINTER)
+
+
 def save(spark: SparkSession, folder: str, tables: dict[str, DataFrame], facts: dict) -> str:
-    """Writes a version of the state; the pointer is written last, so a reader never sees half a version."""
+    """Writes a version of the state. Its tables come first, then one appended row that names them: until that row is
+    committed, and whatever a lost driver leaves behind, readers see the version before. Nothing is overwritten. One
+    writer at a time."""
     version = uuid.uuid4().hex
+    number = (versions(spark, folder).agg(F.max("number")).first()[0] or 0) + 1
     for name, df in tables.items():
         df.write.parquet(f"{folder}/{version}/{name}")
-    pointer = spark.createDataFrame([(version, json.dumps(facts), sorted(tables))], "version string, facts string, names array<string>")
+    pointer = spark.createDataFrame([(number, version, json.dumps(facts), sorted(tables))], POINTER)
     pointer.coalesce(1).write.mode("append").parquet(f"{folder}/pointers")
-    spark.createDataFrame([(version,)], "version string").coalesce(1).write.mode("overwrite").parquet(f"{folder}/current")
     return version
 
 
 def load(spark: SparkSession, folder: str) -> tuple[dict[str, DataFrame], dict]:
-    """The tables and facts of the current version."""
-    version = spark.read.parquet(f"{folder}/current").first()["version"]
-    row = spark.read.parquet(f"{folder}/pointers").where(F.col("version") == version).first()
-    return {n: spark.read.parquet(f"{folder}/{version}/{n}") for n in row["names"]}, json.loads(row["facts"])
+    """The tables and facts of the newest complete version."""
+    row = versions(spark, folder).orderBy(F.col("number").desc()).first()
+    if row is None:
+        raise FileNotFoundError(f"no complete version in {folder}")
+    return {n: spark.read.parquet(f"{folder}/{row['version']}/{n}") for n in row["names"]}, json.loads(row["facts"])
 
 
 def poll(pool: DataFrame, control: DataFrame) -> tuple[DataFrame, DataFrame]:
