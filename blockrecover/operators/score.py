@@ -6,6 +6,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from ..formats.framed import file_number
+from ..layout import BLOCK, slices
+
 
 def classify(outputs: DataFrame, truth: DataFrame) -> DataFrame:
     """outputs: file_id, blocks (hashes of all but the last one's padding), sha256. truth: file_id, blocks, sha256,
@@ -62,3 +65,26 @@ def speedup(times: DataFrame) -> DataFrame:
     mean = times.groupBy("workers").agg(F.avg("seconds").alias("seconds"))
     one = mean.where("workers = 1").select(F.col("seconds").alias("one"))
     return mean.join(F.broadcast(one), F.lit(True)).select("workers", "seconds", F.round(F.col("one") / F.col("seconds"), 2).alias("speedup"))
+
+
+def key_of(image: DataFrame, truth: DataFrame) -> DataFrame:
+    """The key as ``classify`` reads it: file_id, type, layout, blocks (hashes in order), first_break, sha256."""
+    t = truth.join(image, "pos").groupBy("file_id").agg(F.array_sort(F.collect_list(F.struct("logical_block", "pos", F.md5("payload").alias("h")))).alias("b"), F.max("fragmented").alias("fragmented"))
+    pos = F.transform("b", lambda x: x.pos)
+    breaks = F.filter(F.sequence(F.lit(1), F.size("b") - 1), lambda i: F.get(pos, i) != F.get(pos, i - 1) + 1)
+    t = t.withColumn("blocks", F.transform("b", lambda x: x.h)).withColumn("first_break", F.when(F.size("b") > 1, F.get(breaks, 0)))
+    return t.select("file_id", F.lit("framed").alias("type"), F.when(F.col("fragmented"), "split").otherwise("whole").alias("layout"), "blocks", "first_break", F.sha2(F.array_join("blocks", ""), 256).alias("sha256"))
+
+
+def outputs_of(files: DataFrame) -> DataFrame:
+    """Recovered framed files (header_pos, content) as ``classify`` reads outputs."""
+    blocks = F.transform(slices(F.col("content"), BLOCK), lambda x: F.md5(x))
+    rows = files.select(file_number(F.col("content")).alias("file_id"), F.col("header_pos").alias("out_id"), blocks.alias("blocks"))
+    return rows.withColumn("sha256", F.sha2(F.array_join("blocks", ""), 256))
+
+
+def differences(a: DataFrame, b: DataFrame) -> DataFrame:
+    """One row that says whether two runs gave the same rows: only_first, only_second, first (rows of the first)."""
+    count = lambda d, n: d.agg(F.count(F.lit(1)).alias(n))
+    both = count(a.exceptAll(b), "only_first").join(F.broadcast(count(b.exceptAll(a), "only_second")), F.lit(True))
+    return both.join(F.broadcast(count(a, "first")), F.lit(True))

@@ -16,6 +16,7 @@ from pyspark.sql import functions as F
 from ..formats import framed
 from ..functions.crc import crc_hex, shift, shift_by
 from ..layout import BLOCK, BODY, FRAME, HEADER
+from ..plans import range_join
 from .contiguous import gather
 from .search import hits
 
@@ -153,3 +154,21 @@ def extend(candidates: DataFrame, proposals: DataFrame, blocks: DataFrame) -> Da
     tried = tried.where(~F.col("v.validates") | (F.size(F.array_distinct("positions")) == F.size("positions")))
     best = tried.groupBy("header_pos").agg(F.max_by(F.struct("content", "positions", "v"), F.struct(F.col("v.validates"), F.col("v.validates_to"), -F.col("far"), -F.col("start"), -F.col("r"), -F.col("g"))).alias("b"))
     return best.select("header_pos", "b.*")
+
+
+def solve_pairs(needs: DataFrame, blocks: DataFrame, *, window: int = 64, most_work: int = 1 << 34) -> DataFrame:
+    """cand_id, a, b: live blocks that fill two single slots on either side of known content, so that the whole has its
+    checksum. needs: cand_id, at (live place before the first slot), target, before_crc, between (text), after (text).
+
+    Meet in the middle: each block near ``at`` as the first slot fixes the checksum of the second, so both halves are lists of
+    ``window`` blocks that meet in an equi-join. Work beyond ``most_work`` rows is an error, nothing is cut off. Candidates
+    with null parts get no row; of several pairs all are returned, to be verified by the file's own validator."""
+    if needs.count() * window > most_work:
+        raise ValueError("more work than allowed: raise most_work or narrow the window")
+    mid, rest = F.octet_length("between"), F.octet_length("after")
+    fixed = F.col("target").bitwiseXOR(shift(F.col("before_crc"), 2 * BLOCK + mid + rest, most=4096)).bitwiseXOR(shift(F.crc32("between"), rest + BLOCK, most=2048)).bitwiseXOR(F.crc32("after"))
+    want = needs.select("cand_id", (F.col("at") + 1).alias("lo"), (F.col("at") + 1 + window).alias("hi"), mid.alias("mid"), shift(fixed, rest, most=1024, inverse=True).alias("left"))
+    near = range_join(blocks.select("live", F.crc32("payload").alias("crc")), want, "live", "lo", "hi", width=max(64, window))
+    first = near.select("cand_id", F.col("live").alias("a"), F.col("left").bitwiseXOR(shift(F.col("crc"), BLOCK + F.col("mid"), most=2048)).alias("crc"))
+    second = near.select("cand_id", F.col("live").alias("b"), "crc")
+    return first.join(second, ["cand_id", "crc"]).where("a <> b").select("cand_id", "a", "b")

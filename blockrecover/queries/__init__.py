@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from . import analytics, blocks, carving, recovery, streams
+from . import analytics, blocks, carving, extended, recovery, streams
 
-QUERIES = blocks.QUERIES | carving.QUERIES | recovery.QUERIES | analytics.QUERIES | streams.QUERIES
-ORACLE_SQL = blocks.ORACLE_SQL | carving.ORACLE_SQL | recovery.ORACLE_SQL | analytics.ORACLE_SQL | streams.ORACLE_SQL
+QUERIES = blocks.QUERIES | carving.QUERIES | recovery.QUERIES | analytics.QUERIES | streams.QUERIES | extended.QUERIES
+ORACLE_SQL = blocks.ORACLE_SQL | carving.ORACLE_SQL | recovery.ORACLE_SQL | analytics.ORACLE_SQL | streams.ORACLE_SQL | extended.ORACLE_SQL

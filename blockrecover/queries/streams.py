@@ -68,3 +68,10 @@ def str_image(spark, sf_dir):
     folder = f"{shared_dir(spark)}/chunks-{uuid.uuid4().hex}"
     lane(spark, sf_dir, "gap")[0].repartitionByRange(16, "pos").write.parquet(folder)
     return streaming.drain(streaming.sightings(streaming.file_stream(spark, folder)), mode="complete")
+
+
+@query("""SELECT a.event_id AS first_id, b.event_id AS second_id FROM events a JOIN events b ON a.user_id = b.user_id AND b.ts >= a.ts AND b.ts <= a.ts + INTERVAL 1 HOUR
+    WHERE a.event_type = 'error' AND b.event_type = 'purchase'""")
+def str_interval_join(spark, sf_dir):
+    e = _events(spark, sf_dir)
+    return streaming.drain(streaming.followed(e.where("event_type = 'error'"), _events(spark, sf_dir).where("event_type = 'purchase'"), "1 hour"))

@@ -52,3 +52,12 @@ def sightings(chunks: DataFrame) -> DataFrame:
     """Headers and footers in arriving blocks (pos, payload): counts per kind, complete after every batch."""
     kind = F.when(F.col("payload").startswith("~H1:"), "header").when(F.col("payload").contains("~E1:"), "footer")
     return chunks.select(kind.alias("kind")).where("kind is not null").groupBy("kind").agg(F.count(F.lit(1)).alias("n"))
+
+
+def followed(first: DataFrame, second: DataFrame, within: str) -> DataFrame:
+    """first_id, second_id: rows of the second stream (event_id, user_id, ts) at most ``within`` after one of the first with
+    the same user. State is kept for the interval and the watermark only; rows later than that find nothing."""
+    a = first.withWatermark("ts", "2 hours").select(F.col("event_id").alias("first_id"), F.col("user_id").alias("a_user"), F.col("ts").alias("a_ts"))
+    b = second.withWatermark("ts", "2 hours").select(F.col("event_id").alias("second_id"), F.col("user_id").alias("b_user"), F.col("ts").alias("b_ts"))
+    near = (F.col("a_user") == F.col("b_user")) & (F.col("b_ts") >= F.col("a_ts")) & (F.col("b_ts") <= F.col("a_ts") + F.expr(f"interval {within}"))
+    return a.join(b, near).select("first_id", "second_id")

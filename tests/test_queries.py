@@ -6,7 +6,7 @@ from blockrecover import queries
 
 from .twins import assert_equal
 
-SLOW = {"frg_gap", "frg_ooo", "frg_omit", "frg_zero", "fmt_mixed", "fmt_mixed_zero", "fmt_mixed_random"}
+SLOW = {"frg_gap", "frg_ltr", "hyb_workflow", "frg_ooo", "frg_omit", "frg_zero", "fmt_mixed", "fmt_mixed_zero", "fmt_mixed_random"}
 
 
 @pytest.mark.parametrize("name", sorted(set(queries.ORACLE_SQL) - SLOW))
