@@ -104,7 +104,10 @@ def solve_words(candidates: DataFrame, blocks: DataFrame) -> DataFrame:
 
 def neighbours_of(candidates: DataFrame, view: DataFrame, *, window: int) -> DataFrame:
     """The fallback's proposals: every live block within ``window`` after each possible break of the open frame."""
-    rows = candidates.withColumn("fs", HEADER + F.col("v.good") * FRAME).withColumn("j0", F.expr(f"greatest(1, fs div {BLOCK})"))
+    n = framed.body_length(F.col("content"))
+    short = framed.frames(n) * BODY - n  # by which the last frame is shorter: the footer stands that much earlier
+    at = HEADER + F.col("v.good") * FRAME - F.when(F.col("v.good") == framed.frames(n), short).otherwise(0)
+    rows = candidates.withColumn("fs", at).withColumn("j0", F.expr(f"greatest(1, fs div {BLOCK})")).where("j0 <= size(positions)")
     rows = rows.withColumn("j", F.explode(F.expr("sequence(j0, least(j0 + 5, size(positions)))")))
     last = F.element_at("positions", F.col("j").cast("int"))
     at = rows.select("header_pos", "j", last.alias("pos")).join(view, "pos")

@@ -74,3 +74,15 @@ def test_differences_count_repeats(spark):
     a, b = spark.createDataFrame([(1,), (1,), (2,)], "x int"), spark.createDataFrame([(1,), (3,)], "x int")
     assert tuple(score.differences(a, b).first()) == (2, 1, 3)
     assert tuple(score.differences(a.limit(0), b.limit(0)).first()) == (0, 0, 0)
+
+
+def test_fallback_proposes_for_files_that_lack_their_footer_only(spark):
+    from blockrecover.formats import framed
+    from blockrecover.layout import framed_files
+
+    docs = spark.createDataFrame([(1, "x" * 700), (2, "y" * 1500)], "doc_id long, text string")
+    whole = framed_files(docs).select(F.col("file_id").alias("header_pos"), F.expr("left(content, length(content) - 20)").alias("content"))
+    rows = whole.withColumn("v", framed.verdict(F.col("content"))).withColumn("positions", F.expr("transform(sequence(1L, length(content) div 256), i -> 100 * header_pos + i)"))
+    view = rows.select(F.explode("positions").alias("pos")).withColumn("live", F.col("pos"))
+    got = solve.neighbours_of(rows, view, window=2).groupBy("header_pos").agg(F.max("j").alias("j")).join(rows, "header_pos").select("j", F.size("positions").alias("n")).collect()
+    assert len(got) == 2 and all(x["j"] == x["n"] for x in got)
