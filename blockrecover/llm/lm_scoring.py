@@ -248,7 +248,11 @@ class Slab:
     """The distinct n-grams of a slab of text in the order in which buckets are asked for them."""
 
     def __init__(self, texts, buckets: int):
-        ((_, tokens, contexts, self.at),) = token_stream(texts, WIDE)
+        # tokens come in narrow slabs, as hashing takes many times the bytes of a text; only they are kept together
+        parts = [x[1:] for x in token_stream(texts)]
+        tokens, contexts = (np.concatenate([x[k] for x in parts]) for k in (0, 1))
+        self.at = np.cumsum(np.concatenate([[0], *(np.diff(x[2]) for x in parts)]))
+        del parts
         self.kinds, self.code = np.unique(tokens, return_inverse=True)
         self.pairs, self.pair_code = np.unique(pair_hash(contexts, tokens), return_inverse=True)
         self.h = np.concatenate([self.kinds, [START], self.pairs])
