@@ -13,7 +13,7 @@ from ..layout import BLOCK
 from ..session import snapshot
 from .contiguous import fixpoint, gather, resolve_claims
 from .search import FRAMED, literals
-from .solve import end_index, extend, neighbours_of, solve, solve_anchor, solve_words
+from .solve import end_index, extend, neighbours_of, solve, solve_anchor, solve_two_breaks, solve_words
 from .view import live_of
 
 
@@ -49,6 +49,8 @@ def reassemble(candidates: DataFrame, blocks: DataFrame, view: DataFrame, option
             near = extend(left, neighbours_of(left, view, window=options.window), blocks)
             better = near if better is None else better.unionByName(near)
         better = snapshot(better, "better")
+        if better.isEmpty() and index is not None and not open_.isEmpty():
+            better = snapshot(solve_two_breaks(open_, blocks, index), "better")
         if better.isEmpty():
             break
         candidates = snapshot(candidates.join(better.select("header_pos"), "header_pos", "left_anti").unionByName(better), "candidates")

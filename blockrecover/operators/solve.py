@@ -9,7 +9,7 @@ file's own validator, so that chance agreements of 32 bits cannot pass.
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -17,6 +17,7 @@ from ..formats import framed
 from ..functions.crc import crc_hex, shift, shift_by
 from ..layout import BLOCK, BODY, FRAME, HEADER
 from ..plans import range_join
+from ..session import snapshot
 from .contiguous import gather
 from .search import hits
 
@@ -114,7 +115,7 @@ def neighbours_of(candidates: DataFrame, view: DataFrame, *, window: int) -> Dat
     return at.select("header_pos", "j", F.explode(F.expr(f"sequence(live + 2, live + 1 + {window})")).alias("start"))
 
 
-def solve_anchor(candidates: DataFrame, blocks: DataFrame) -> DataFrame:
+def solve_anchor(candidates: DataFrame, blocks: DataFrame, *, most_gap: int = MOST_GAP) -> DataFrame:
     """header_pos, j, start, r, g: runs of r live blocks that fit between the kept part of the open frame and its tail,
     the tail being what physically follows the kept part, or what follows g filler blocks behind it. Target, prefix
     and tail are known, so the run's checksum is too; every (split point j, run length r, gap g) is a row, and the search one
@@ -122,7 +123,7 @@ def solve_anchor(candidates: DataFrame, blocks: DataFrame) -> DataFrame:
     n = framed.body_length(F.col("content"))
     rows = candidates.withColumn("n", n).withColumn("fs", HEADER + F.col("v.good") * FRAME).withColumn("size", F.least(F.lit(BODY).cast("long"), F.col("n") - F.col("v.good") * BODY)).where("size > 0")
     first, last = F.expr(f"(fs + 9 + {BLOCK - 1}) div {BLOCK}"), F.expr(f"(fs + 9 + size) div {BLOCK}")
-    rows = rows.where(last >= first).withColumn("j", F.explode(F.sequence(first, last))).withColumn("r", F.explode(F.sequence(F.lit(1), F.lit(RUNS - 1)))).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(MOST_GAP)))).where((F.col("j") >= 1) & (F.col("j") <= F.size("positions")))
+    rows = rows.where(last >= first).withColumn("j", F.explode(F.sequence(first, last))).withColumn("r", F.explode(F.sequence(F.lit(1), F.lit(RUNS - 1)))).withColumn("g", F.explode(F.sequence(F.lit(0), F.lit(most_gap)))).where((F.col("j") >= 1) & (F.col("j") <= F.size("positions")))
     rows = rows.withColumn("known", F.substring("content", (F.col("fs") + 10).cast("int"), (F.col("j") * BLOCK - F.col("fs") - 9).cast("int")))
     rows = rows.withColumn("rest", (F.col("size") - F.length("known") - F.col("r") * BLOCK).cast("int")).where("rest >= 0")
     rows = rows.withColumn("tail", F.substring("content", ((F.col("j") + F.col("g")) * BLOCK + 1).cast("int"), F.col("rest"))).withColumn("word", F.substring("content", ((F.col("j") + F.col("g")) * BLOCK + 1).cast("int") + F.col("rest"), F.lit(8)))
@@ -137,6 +138,32 @@ def solve_anchor(candidates: DataFrame, blocks: DataFrame) -> DataFrame:
     return found.select("header_pos", "j", "start", "r", "g").distinct()
 
 
+def without_filler(candidates: DataFrame) -> DataFrame:
+    """Each candidate with 1..MOST_GAP blocks left out at each boundary inside its open frame, so that a second break of the
+    frame can be solved as if it were the only one. header_pos is a number of its own; ``header_of`` leads back."""
+    n = framed.body_length(F.col("content"))
+    rows = candidates.withColumn("n", n).withColumn("fs", HEADER + F.col("v.good") * FRAME).withColumn("size", F.least(F.lit(BODY).cast("long"), F.col("n") - F.col("v.good") * BODY)).where("size > 0")
+    rows = rows.withColumn("first", F.expr(f"(fs + 9 + {BLOCK - 1}) div {BLOCK}")).withColumn("last", F.expr(f"(fs + 9 + size) div {BLOCK}")).where("last >= first")
+    rows = rows.withColumn("d", F.explode(F.sequence("first", "last"))).withColumn("g", F.explode(F.sequence(F.lit(1), F.lit(MOST_GAP)))).where("d >= 1 and d + g < size(positions)")
+    content = F.expr(f"concat(substring(content, 1, cast(d * {BLOCK} as int)), substring(content, cast((d + g) * {BLOCK} + 1 as int)))")
+    positions = F.expr("concat(slice(positions, 1, cast(d as int)), slice(positions, cast(d + g + 1 as int), size(positions)))")
+    return rows.select((F.col("header_pos") * 64 + (F.col("d") - F.col("first")) * 8 + F.col("g")).alias("header_pos"), content.alias("content"), positions.alias("positions"), "v")
+
+
+def header_of(name: Column) -> Column:
+    return F.floor(name / 64)
+
+
+def solve_two_breaks(candidates: DataFrame, blocks: DataFrame, index: DataFrame) -> DataFrame:
+    """Candidates (header_pos, content, positions, v) whose open frame has filler at one place and a missing piece at
+    another, taken further; of several ways the one that validates furthest, ties to the first boundary and the least filler."""
+    cut = snapshot(without_filler(candidates), "cut")
+    whole = solve(cut, index).withColumn("r", F.lit(None).cast("int")).withColumn("g", F.lit(0))
+    got = extend(cut, whole.unionByName(solve_anchor(cut, blocks, most_gap=0)), blocks)
+    best = got.groupBy(header_of(F.col("header_pos")).alias("h")).agg(F.max_by(F.struct("content", "positions", "v"), F.struct("v.validates", "v.validates_to", -F.col("header_pos"))).alias("b"))
+    return best.select(F.col("h").alias("header_pos"), "b.*")
+
+
 def extend(candidates: DataFrame, proposals: DataFrame, blocks: DataFrame) -> DataFrame:
     """Each candidate with the proposal (header_pos, j, start, r, g) that validates furthest: kept blocks, then r live
     blocks from ``start`` and what followed the kept blocks before, but for its first g blocks; with r null, live blocks up to the file's length.

@@ -33,3 +33,14 @@ def test_layouts_are_carried_into_later_epochs(spark):
     out = recover(image, Options(rounds=1))
     assert out.written.select("header_pos").distinct().count() == out.written.count() == 2
     assert {r.text_sha256 for r in recovered_texts(out.written).collect()} == {hashlib.sha256(t.encode()).hexdigest() for t in texts.values()}
+
+
+def test_filler_and_a_displaced_block_in_one_frame(spark):
+    text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(90))
+    blocks = {r.logical_block: r.payload for r in layout.split(layout.framed_files(spark.createDataFrame([(5, text)], DOCS))).collect()}
+    fill = [hashlib.sha256(f"fill{k}".encode()).hexdigest() * (layout.BLOCK // 64) for k in range(3)]
+    # the second frame lies in blocks 3 to 7: filler before block 5, block 6 stored behind the file
+    own = [blocks[i] for i in sorted(blocks)]
+    image = spark.createDataFrame(list(enumerate(own[:5] + fill[:2] + own[5:6] + own[7:] + fill[2:] + own[6:7])), "pos long, payload string")
+    out = recover(image)
+    assert [r.text_sha256 for r in recovered_texts(out.written).collect()] == [hashlib.sha256(text.encode()).hexdigest()]
