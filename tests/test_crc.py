@@ -32,3 +32,26 @@ def test_native_shift_by_column(spark):
     for r in got:
         assert r.v == crc.apply_map(crc.shift_map(r.n), zlib.crc32(bytes(r.b)))
         assert r.w == zlib.crc32(bytes(r.b))
+
+
+def test_long_files_checksums(spark, tmp_path):
+    """A file beyond 131,072 bytes: the checksum of its second block and that of the whole, against zlib."""
+    from blockrecover.layout import framed_files
+    from blockrecover.queries import QUERIES
+
+    docs = spark.createDataFrame([(1, "abcdefgh" * 14_000), (2, "x" * 900)], "doc_id long, text string")
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    content = {r.file_id: r.content.encode() for r in framed_files(docs).collect()}
+    assert len(content[1]) > 1 << 17
+    assert {r.file_id: r.crc for r in QUERIES["crc_required"](spark, str(tmp_path)).collect()} == {k: zlib.crc32(x[256:512]) for k, x in content.items()}
+    assert {r.file_id: r.crc for r in QUERIES["crc_combine"](spark, str(tmp_path)).collect()} == {k: zlib.crc32(x) for k, x in content.items()}
+
+
+def test_shift_beyond_its_bound_is_an_error(spark):
+    import pytest
+    from pyspark.sql import functions as F
+
+    row = spark.range(1).select(F.lit(1).cast("long").alias("v"), F.lit(300).alias("n"))
+    assert row.select(crc.shift(F.col("v"), F.col("n"), most=512)).first()[0] == crc.apply_map(crc.shift_map(300), 1)
+    with pytest.raises(Exception, match="shift by 256"):
+        row.select(crc.shift(F.col("v"), F.col("n"), most=256)).collect()
