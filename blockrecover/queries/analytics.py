@@ -244,8 +244,11 @@ def op_date(spark, sf_dir):
 
 @query("SELECT vec_id, CAST(list_sum(list_transform(embedding, lambda x: CAST(floor(x * 1000) AS BIGINT))) AS BIGINT) AS s, CAST(len(list_filter(embedding, lambda x: x > 0)) AS BIGINT) AS positive FROM embeddings")
 def op_arr(spark, sf_dir):
-    v = F.transform("embedding", lambda x: F.floor(x * 1000).cast("long"))
-    return table(spark, sf_dir, "embeddings").select("vec_id", F.aggregate(v, F.lit(0).cast("long"), lambda a, x: a + x).alias("s"), F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"))
+    # a float times an integer is a double under ANSI rules, which floors another way where a float rounds up to a whole number
+    thousand = F.lit(1000).cast("float")
+    v = F.transform(F.filter("embedding", lambda x: x.isNotNull()), lambda x: F.floor(x * thousand).cast("long"))
+    s = F.when(F.size(v) > 0, F.aggregate(v, F.lit(0).cast("long"), lambda a, x: a + x))
+    return table(spark, sf_dir, "embeddings").select("vec_id", s.alias("s"), F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"))
 
 
 @query("SELECT conv_id, string_agg(role || ':' || length(text), ',' ORDER BY turn, role) AS turns FROM conversations WHERE text IS NOT NULL GROUP BY 1")

@@ -86,3 +86,22 @@ def test_fallback_proposes_for_files_that_lack_their_footer_only(spark):
     view = rows.select(F.explode("positions").alias("pos")).withColumn("live", F.col("pos"))
     got = solve.neighbours_of(rows, view, window=2).groupBy("header_pos").agg(F.max("j").alias("j")).join(rows, "header_pos").select("j", F.size("positions").alias("n")).collect()
     assert len(got) == 2 and all(x["j"] == x["n"] for x in got)
+
+
+def test_floats_are_scaled_as_floats(spark, tmp_path):
+    """A float that rounds up to a whole number when scaled; nulls are left out, and a vector without numbers has no sum."""
+    from blockrecover.queries import QUERIES
+
+    rows = [(1, [0.029, -0.001]), (2, [0.5, None]), (3, []), (4, None), (5, [0.057, 0.289])]
+    spark.createDataFrame(rows, "vec_id long, embedding array<float>").write.parquet(f"{tmp_path}/embeddings.parquet")
+    from .twins import rows as cells
+
+    got = QUERIES["op_arr"](spark, str(tmp_path))
+    import duckdb
+
+    from blockrecover.queries import ORACLE_SQL
+
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{tmp_path}/embeddings.parquet/*.parquet')")
+    out = con.execute(ORACLE_SQL["op_arr"])
+    assert cells(got.columns, [tuple(r) for r in got.collect()]) == cells([d[0] for d in out.description], out.fetchall())
