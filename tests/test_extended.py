@@ -105,3 +105,19 @@ def test_floats_are_scaled_as_floats(spark, tmp_path):
     con.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{tmp_path}/embeddings.parquet/*.parquet')")
     out = con.execute(ORACLE_SQL["op_arr"])
     assert cells(got.columns, [tuple(r) for r in got.collect()]) == cells([d[0] for d in out.description], out.fetchall())
+
+
+def test_shared_work_covers_no_block_of_the_next_file(spark, tmp_path):
+    """A file whose footer begins in one block and ends in the next, and a fragmented one behind it: the copy up to the next
+    footer validates, and its log must not cover blocks of the fragmented file."""
+    from blockrecover.layout import SCENARIOS, framed_files, lengths, placed_files
+    from blockrecover.queries import QUERIES
+
+    docs = spark.range(60).selectExpr("id as doc_id", "substring(repeat(sha2(cast(id as string), 256), 40), 1, cast(1192 + id * 7 as int)) as text")
+    plan = placed_files(lengths(docs), SCENARIOS["gap"]).orderBy("key").collect()
+    # the footer's first four bytes lie over a border of blocks
+    split_ = [253 <= (r.file_len - 37) % 256 for r in plan]
+    assert any(a and not p.has_gap and b.has_gap for a, p, b in zip(split_, plan, plan[1:]))
+    docs.write.parquet(f"{tmp_path}/documents.parquet")
+    got = {r.doc_id: r.text_sha256 for r in QUERIES["hyb_workflow"](spark, str(tmp_path)).collect()}
+    assert got == {r.doc_id: r.s for r in docs.selectExpr("doc_id", "sha2(text, 256) as s").collect()}
