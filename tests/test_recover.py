@@ -44,3 +44,15 @@ def test_filler_and_a_displaced_block_in_one_frame(spark):
     image = spark.createDataFrame(list(enumerate(own[:5] + fill[:2] + own[5:6] + own[7:] + fill[2:] + own[6:7])), "pos long, payload string")
     out = recover(image)
     assert [r.text_sha256 for r in recovered_texts(out.written).collect()] == [hashlib.sha256(text.encode()).hexdigest()]
+
+
+def test_filler_that_ends_a_checksum_by_chance(spark):
+    """The last digit of a frame's checksum begins a block; the filler before that block begins with the same digit."""
+    text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(150))
+    blocks = [r.payload for r in sorted(layout.split(layout.framed_files(spark.createDataFrame([(5, text)], DOCS))).collect(), key=lambda r: r.logical_block)]
+    assert blocks[18][1:3] == "~D"
+    fill = next(x for x in (hashlib.sha256(str(k).encode()).hexdigest() * (layout.BLOCK // 64) for k in range(10_000)) if x[0] == blocks[18][0])
+    image = spark.createDataFrame(list(enumerate(blocks[:18] + [fill] + blocks[18:])), "pos long, payload string")
+    out = recover(image)
+    assert [r.text_sha256 for r in recovered_texts(out.written).collect()] == [hashlib.sha256(text.encode()).hexdigest()]
+    assert sorted(out.written.first().positions) == [*range(18), *range(19, len(blocks) + 1)]
