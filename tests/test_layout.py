@@ -64,3 +64,10 @@ def test_axis_windows_are_parted(spark):
     windows = [n for n in nodes if re.match(r"(\(\d+\) )?Window", n)]
     assert windows and all("na_chunk" in w for w in windows)
     assert not any("SinglePartition" in n for n in nodes)
+
+
+def test_queries_over_directives_and_runs_read_given_tables(spark, data):
+    from blockrecover.queries import QUERIES
+
+    for name, table in (("lay_parse", "documents"), ("lay_directed", "documents"), ("prog_speedup", "events")):
+        assert any(f"/{table}.parquet" in x for x in QUERIES[name](spark, data).inputFiles())
