@@ -84,3 +84,36 @@ def test_empty_image_and_broken_file(spark):
     lost = image.where("pos <> 2")  # a hole
     written, left = carve.carve(lost)
     assert written.count() + left.count() == 2
+
+
+def test_an_archive_from_its_second_entry_on_is_closed():
+    """Taken for a header, the second entry must not have the rest of the image read; prefixes of real archives stay open."""
+    from blockrecover.formats.binary import FORMATS, ZIP, zip_check
+
+    for kind in ("zip", "docx"):
+        data = FORMATS[kind].encode(7, b"some text " * 300)
+        inner = data[data.index(ZIP, 4) :]
+        v = zip_check(inner + bytes(2000))
+        assert v.good > 4 and not v.whole and not v.more
+        assert not zip_check(data[: data.index(b"PK\x01\x02")] + bytes(100)).more
+        for n in range(4, len(data)):
+            assert zip_check(data[:n]).more and not zip_check(data[:n]).whole
+        assert zip_check(data + bytes(100)).whole
+
+
+def test_images_lie_in_the_order_of_keys_without_holes(spark):
+    import hashlib
+
+    from blockrecover.operators import carve
+
+    docs = spark.createDataFrame([(k, "text %d " % k * (k * 9)) for k in range(40)] + [(3, "the number again"), (41, None)], "doc_id long, text string")
+    files = carve.encoded_files(docs, "mixed")
+    want = sorted(((hashlib.md5(b"42:order:%d" % r.file_id).hexdigest(), bytes(r.content)) for r in files.collect()))
+    for padding in (None, "zero", "random"):
+        image = [(r.pos, bytes(r.payload)) for r in carve.binary_image(files, padding=padding).orderBy("pos").collect()]
+        assert [p for p, _ in image] == list(range(len(image))) and {len(x) for _, x in image} == {512}
+        if padding is None:
+            keys = [k for k, _ in want]
+            assert sum(-(-len(c) // 512) for _, c in want) == len(image) and len(set(keys)) == 41
+        got = carve.texts(carve.outermost(carve.carve(carve.binary_image(files, padding=padding))[0])).count()
+        assert got == 42
