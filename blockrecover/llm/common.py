@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import re
 import shutil
 import tempfile
 import uuid
@@ -59,6 +60,8 @@ def text_or_empty(col: str = "text") -> Column:
 
 #: Rows of an Arrow batch: texts may be long, and a task holds a few batches at once.
 BATCH_ROWS = 1000
+#: Bytes of an Arrow batch where rows are wide: the JVM holds a batch outside its heap, beside the workers.
+BATCH_BYTES = 4 << 20
 
 
 def lean(function):
@@ -86,6 +89,14 @@ def arrow_map(df: DataFrame, function, schema) -> DataFrame:
     return df.mapInArrow(lean(function), schema)
 
 
+def bound_batches(spark: SparkSession) -> None:
+    """Arrow batches of this session hold about BATCH_BYTES at most from now on (a smaller session setting stays)."""
+    key = "spark.sql.execution.arrow.maxBytesPerBatch"
+    now = re.fullmatch(r"(\d+)([kmgtp]?)b?", spark.conf.get(key).lower())
+    if not now or int(now[1]) << 10 * " kmgtp".index(now[2] or " ") > BATCH_BYTES:
+        spark.conf.set(key, str(BATCH_BYTES))
+
+
 # ---------------------------------------------------------------- Arrow text buffers
 
 _SPACE = np.zeros(256, dtype=bool)

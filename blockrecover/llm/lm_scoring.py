@@ -3,8 +3,8 @@
 A count c is stored as its level: levels are the intervals between powers of ``base`` that hold a whole number. The
 filter holds the n-gram together with each level up to its own, so a count is read back by probing levels until probes
 fail; counts from 1 are stored. Such a read never falls below the stored level; it may exceed it by a false positive. Counts come from all training
-text: every task counts its n-grams, counts meet by hash bucket, each bucket builds the filter segment of its hashes. No
-count is dropped at any size: where the bits surely fit ``most_bytes`` the filter is broadcast, else each bucket probes
+text: every task counts its n-grams, counts meet by hash bucket, each bucket builds the filter segments of its hashes (one
+for about SEGMENT_BYTES of text). No count is dropped at any size: where the bits surely fit ``most_bytes`` the filter is broadcast, else each bucket probes
 its own segment for the n-grams that slabs of text ask for, and the levels go back to the slabs. Both give equal results.
 
 Model: p1(w) = (c(w) + 1) / (N + V + 1); p(w | v) = share * c(v w) / c(v) + (1 - share) * p1(w), all counts as the filter gives
@@ -27,7 +27,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import SLAB, arrow_map, as_long, buffers, materialise, mix64, slabs, text_or_empty, words_of
+from .common import BATCH_ROWS, SLAB, arrow_map, as_long, bound_batches, buffers, materialise, mix64, slabs, text_or_empty, words_of
 from .packed import buckets_for, regroup, runs_of, split_by
 
 #: Hashes of the end token and of the start mark: no words.
@@ -37,6 +37,8 @@ ENTRY = np.dtype([("h", "<u8"), ("c", "<u4"), ("order", "<u4")])
 PROBES = 6
 #: Bytes of text whose n-grams are asked for together where buckets answer: longer runs repeat fewer n-grams.
 WIDE = 4 * SLAB
+#: Bytes of text whose n-grams make a segment of the filter: making and reading one takes many times their bytes.
+SEGMENT_BYTES = 2 << 20
 
 
 def narrow(x: np.ndarray) -> bytes:
@@ -284,10 +286,49 @@ def in_slabs(rows: DataFrame) -> DataFrame:
     return materialise(arrow_map(rows.select("doc_id", "held_out", "text"), cut, f"slab long, rows {kind}"), "slabs").select("slab", F.posexplode("rows").alias("pos", "row")).select("slab", "pos", "row.*")
 
 
-def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float, bits_a_key: int) -> DataFrame:
+def answers_of(bucket: int, part: pa.Table, buckets: int, slices: int, *, base: float, bits_a_key: int):
+    """What a bucket answers to its askers (slab, single, h, c). The bucket's segments are made and read one after the other,
+    so that only the asked n-grams and their answers are held for the whole bucket."""
+    slab, single = part.column("slab").to_numpy(), part.column("single").to_pylist()
+    asked = [np.frombuffer(x.as_buffer(), "<u8") for x in part.column("h")]
+    length = np.array([len(x) for x in asked])
+    starts = np.cumsum(length) - length
+    segment = np.concatenate([((x >> np.uint64(20)) % np.uint64(buckets * slices) // np.uint64(buckets)).astype("<u4") for x in asked])
+    c = np.concatenate([widened(x.as_buffer(), n).astype("<u4") for x, n in zip(part.column("c"), length)])
+    h = np.concatenate(asked)
+    pair = np.ones(len(h), bool)
+    for a, n in zip(starts, single):  # a row's unigrams come first
+        pair[a : a + n] = False
+    levels, counts = np.zeros(len(h), "<u2"), np.zeros(len(h), "<u4")
+    total = known = 0
+    for k in range(slices):
+        rows = [np.flatnonzero((segment == k) & (pair == (o == 2))) for o in (1, 2)]
+        whole, places = [], []
+        for o, own_rows in zip((1, 2), rows):
+            kinds, place = np.unique(h[own_rows], return_inverse=True)
+            whole.append((o, kinds, np.bincount(place, c[own_rows], len(kinds)).astype(np.int64)))
+            places.append(place)
+        bits = segment_of(whole, base=base, bits_a_key=bits_a_key)
+        own = LogBloom(bits, np.zeros(1, np.int64), np.array([8 * len(bits)], np.int64), base)
+        for (o, kinds, _), own_rows, place in zip(whole, rows, places):
+            levels[own_rows] = own.level(kinds, o)[place]
+        _, kinds, count = whole[0]
+        counts[rows[0]] = count[places[0]]
+        word = kinds != START
+        total, known = total + int(count[word].sum()), known + int((count[word] > 0).sum())
+    for lo in range(0, len(slab), BATCH_ROWS):
+        some = np.arange(lo, min(lo + BATCH_ROWS, len(slab)))
+        read = lambda x, n: pa.array([narrow(x[starts[i] : starts[i] + n[i]]) for i in some], pa.binary())
+        yield pa.RecordBatch.from_arrays(
+            [pa.array(slab[some]), pa.array(np.full(len(some), bucket, np.int32)), pa.array(np.where(some == 0, total, 0)), pa.array(np.where(some == 0, known, 0)), pa.array(length[some].astype(np.int32)), pa.array(np.array(single)[some].astype(np.int32)), read(levels, length), read(counts, single)],
+            names=["slab", "pos", "total", "kinds", "n_levels", "n_counts", "levels", "counts"],
+        )
+
+
+def scored_by_bucket(rows: DataFrame, buckets: int, slices: int = 1, *, share: float, base: float, bits_a_key: int) -> DataFrame:
     """As ``score``, with nothing of the input's size on the driver or in a broadcast. A slab sends each bucket its distinct
-    n-grams with their training counts; the bucket adds them up, builds its segment and answers with the level of each
-    n-gram and the exact count of each unigram, in the order asked."""
+    n-grams with their training counts; the bucket adds them up, builds its segments, one for each of ``slices`` ranges of its
+    hashes, and answers with the level of each n-gram and the exact count of each unigram, in the order asked."""
     texts = in_slabs(rows)
 
     def ask(batches):
@@ -304,28 +345,7 @@ def scored_by_bucket(rows: DataFrame, buckets: int, *, share: float, base: float
 
     def answer(batches):
         for bucket, part in runs_of(batches, "bucket"):
-            single = part.column("single").to_numpy()
-            h = [np.frombuffer(x.as_buffer(), "<u8") for x in part.column("h")]
-            c = [widened(x.as_buffer(), len(k)) for x, k in zip(part.column("c"), h)]
-            whole, places = [], []
-            for o in (1, 2):
-                pick = [slice(0, n) if o == 1 else slice(n, None) for n in single]
-                kinds, place = np.unique(np.concatenate([x[k] for x, k in zip(h, pick)]), return_inverse=True)
-                count = np.bincount(place, np.concatenate([x[k] for x, k in zip(c, pick)]), len(kinds)).astype(np.int64)
-                whole.append((o, kinds, count))
-                places.append(np.split(place, np.cumsum([len(x[k]) for x, k in zip(h, pick)])[:-1]))
-            bits = segment_of(whole, base=base, bits_a_key=bits_a_key)
-            own = LogBloom(bits, np.zeros(1, np.int64), np.array([8 * len(bits)], np.int64), base)
-            levels = [own.level(kinds, o) for o, kinds, _ in whole]
-            _, kinds, count = whole[0]
-            word = kinds != START
-            total, known = int(count[word].sum()), int((count[word] > 0).sum())
-            for i, slab in enumerate(part.column("slab").to_pylist()):
-                read = np.concatenate([levels[0][places[0][i]], levels[1][places[1][i]]])
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array([slab]), pa.array([bucket], pa.int32()), pa.array([total if i == 0 else 0]), pa.array([known if i == 0 else 0]), pa.array([len(read)], pa.int32()), pa.array([int(single[i])], pa.int32()), pa.array([narrow(read)], pa.binary()), pa.array([narrow(count[places[0][i]])], pa.binary())],
-                    names=["slab", "pos", "total", "kinds", "n_levels", "n_counts", "levels", "counts"],
-                )
+            yield from answers_of(bucket, part, buckets, slices, base=base, bits_a_key=bits_a_key)
 
     asked = arrow_map(texts, ask, "slab long, bucket int, single int, h binary, c binary").repartition(buckets, "bucket").sortWithinPartitions("bucket", "slab")
     answers = materialise(arrow_map(asked, answer, "slab long, pos int, total long, kinds long, n_levels int, n_counts int, levels binary, counts binary"), "answers")
@@ -361,17 +381,20 @@ def score(
 ) -> DataFrame:
     """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score for every row of ``docs``."""
     spark = docs.sparkSession
+    bound_batches(spark)
     fold = F.pmod(F.crc32(F.coalesce(F.col("doc_id").cast("string"), F.lit(""))), F.lit(held_modulus))
     held = (fold == held_remainder).alias("held_out")
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), held, F.xxhash64(text_or_empty()).alias("text_key"), text_or_empty().alias("text"))
     n_bytes, n_rows = docs.agg(F.coalesce(F.sum(F.octet_length("text")), F.lit(0)), F.count(F.lit(1))).first()
     buckets = buckets_for(n_bytes)
+    # segments follow the bytes of text alone, so that they are the same whoever is asked
+    slices = max(1, -(-n_bytes // (buckets * SEGMENT_BYTES)))
     # a token adds at most one key for itself and one with its context, a text one more for its start
-    if (n_bytes + 4 * n_rows) * bits_a_key // 8 + 16 * buckets > most_bytes:
-        return scored_by_bucket(rows, buckets, share=share, base=base, bits_a_key=bits_a_key)
-    counts = materialise(count_grams(docs, fold != held_remainder, buckets), "grams")
+    if (n_bytes + 4 * n_rows) * bits_a_key // 8 + 16 * buckets * slices > most_bytes:
+        return scored_by_bucket(rows, buckets, slices, share=share, base=base, bits_a_key=bits_a_key)
+    counts = materialise(count_grams(docs, fold != held_remainder, buckets * slices), "grams")
     total, kinds = (x or 0 for x in counts.where("order = 1").agg(F.sum("total"), F.sum("kinds")).first())
-    bloom = build_filter(counts, buckets, base=base, bits_a_key=bits_a_key, most_bytes=most_bytes)
+    bloom = build_filter(counts, buckets * slices, base=base, bits_a_key=bits_a_key, most_bytes=most_bytes)
     shared = spark.sparkContext.broadcast((bloom.bits, bloom.start, bloom.size))
     exact = None
     if kinds * 12 <= most_base_bytes:

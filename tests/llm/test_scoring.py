@@ -74,6 +74,32 @@ def test_scores_do_not_depend_on_the_broadcast_bound(spark, n):
     assert lm_scoring.score(rows.where("false"), most_bytes=0).count() == 0
 
 
+def test_a_large_bucket_is_answered_segment_by_segment(spark, monkeypatch):
+    import tracemalloc
+
+    import pyarrow as pa
+
+    rng = np.random.default_rng(2)
+    asked = [np.concatenate([np.unique(rng.integers(0, 1 << 40, n, np.uint64)) for n in (5_000, 45_000)]) for _ in range(10)]
+    single = [int(np.flatnonzero(np.diff(x.astype(np.int64)) < 0)[0]) + 1 for x in asked]
+    part = pa.table({"slab": range(10), "single": pa.array(single, pa.int32()), "h": [x.tobytes() for x in asked], "c": [np.ones(len(x), np.uint8).tobytes() for x in asked]}, pa.schema([("slab", pa.int64()), ("single", pa.int32()), ("h", pa.binary()), ("c", pa.binary())]))
+    peak = []
+    for slices in (1, 8):
+        tracemalloc.start()
+        got = pa.Table.from_batches(lm_scoring.answers_of(3, part, 64, slices, base=1.15, bits_a_key=12))
+        peak.append(tracemalloc.get_traced_memory()[1] / 500_000)
+        tracemalloc.stop()
+        assert got.column("n_counts").to_pylist() == single and sum(got.column("kinds").to_pylist()) == len({h for x, n in zip(asked, single) for h in x[:n].tolist()})
+        for n, levels in zip(got.column("n_levels").to_pylist(), got.column("levels").to_pylist()):
+            assert (lm_scoring.widened(levels, n) >= 1).all()
+    # bytes for each n-gram asked
+    assert peak[1] < 60 < peak[0]
+    rows = frame(spark, texts(5))
+    monkeypatch.setattr(lm_scoring, "SEGMENT_BYTES", 150)
+    whole, parted = (sorted(map(repr, lm_scoring.score(rows, most_bytes=bound).collect())) for bound in (96 << 20, 0))
+    assert whole == parted
+
+
 @pytest.mark.parametrize("bound", [96 << 20, 0])
 def test_a_passage_seen_once_in_training_scores_higher(spark, bound):
     is_held = lambda i: zlib.crc32(str(i).encode()) % 7 == 2
