@@ -283,7 +283,7 @@ def in_slabs(rows: DataFrame) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(at + np.arange(len(ranges))), pa.ListArray.from_arrays(offsets, body)], names=["slab", "rows"])
             at += len(ranges)
 
-    return materialise(arrow_map(rows.select("doc_id", "held_out", "text"), cut, f"slab long, rows {kind}"), "slabs").select("slab", F.posexplode("rows").alias("pos", "row")).select("slab", "pos", "row.*")
+    return materialise(arrow_map(rows.select("doc_id", "held_out", "text"), cut, f"slab long, rows {kind}"), "slabs", wide=True).select("slab", F.posexplode("rows").alias("pos", "row")).select("slab", "pos", "row.*")
 
 
 def answers_of(bucket: int, part: pa.Table, buckets: int, slices: int, *, base: float, bits_a_key: int):

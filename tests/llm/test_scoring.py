@@ -74,6 +74,18 @@ def test_scores_do_not_depend_on_the_broadcast_bound(spark, n):
     assert lm_scoring.score(rows.where("false"), most_bytes=0).count() == 0
 
 
+def test_slabs_are_pages_of_their_own(spark):
+    docs = spark.range(0, 4000, 1, 1).selectExpr("id AS doc_id", "false AS held_out", "repeat(sha2(cast(id AS string), 256), 80) AS text")
+    path = lm_scoring.in_slabs(docs).inputFiles()[0]
+    jvm = spark._jvm.org.apache.parquet.hadoop
+    reader = jvm.ParquetFileReader.open(jvm.util.HadoopInputFile.fromPath(spark._jvm.org.apache.hadoop.fs.Path(path), spark._jsc.hadoopConfiguration()))
+    texts_ = next(c for c in reader.getFooter().getBlocks().get(0).getColumns() if "text" in c.getPath().toDotString())
+    pages, size = reader.readOffsetIndex(texts_).getPageCount(), texts_.getTotalUncompressedSize()
+    reader.close()
+    # else one page holds all of 20 MB
+    assert size > 20_000_000 and size / pages <= lm_scoring.WIDE + 1_000_000
+
+
 def test_a_large_bucket_is_answered_segment_by_segment(spark, monkeypatch):
     import tracemalloc
 
