@@ -1,6 +1,11 @@
 import hashlib
+import zlib
+
+from pyspark.sql import functions as F
 
 from blockrecover import layout
+from blockrecover.formats import framed
+from blockrecover.operators import solve
 from blockrecover.operators.recover import Options, recover, recovered_texts
 
 DOCS = "doc_id long, text string"
@@ -56,3 +61,28 @@ def test_filler_that_ends_a_checksum_by_chance(spark):
     out = recover(image)
     assert [r.text_sha256 for r in recovered_texts(out.written).collect()] == [hashlib.sha256(text.encode()).hexdigest()]
     assert sorted(out.written.first().positions) == [*range(18), *range(19, len(blocks) + 1)]
+
+
+def test_a_content_is_made_once_and_not_for_each_of_its_pieces(spark):
+    """frg_*: the optimizer put the whole encoding of a file into each of its blocks."""
+    docs = spark.createDataFrame([(1, "a"), (2, "b")], DOCS)
+    plan = layout.split(layout.framed_files(docs))._jdf.queryExecution().optimizedPlan().toString()
+    assert plan.count("crc32(") == 1
+
+
+def test_frames_that_check_over_text_that_is_no_base64(spark):
+    body = "*" * 31
+    text = f"~H1:0000000001:{len(body):08d}~~D{len(body):06d}:{body}{zlib.crc32(body.encode()):08x}~E1:{'0' * 32}~"
+    v = spark.createDataFrame([(text,)], "content string").select(framed.verdict(F.col("content")).alias("v")).first().v
+    assert (v.promising, v.good, v.validates, v.validates_to) == (True, 1, False, len(text) - framed.FOOTER - 1)
+
+
+def test_only_proposals_that_close_the_open_frame_are_gathered_whole(spark):
+    text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(90))
+    own = [r.payload for r in sorted(layout.split(layout.framed_files(spark.createDataFrame([(5, text)], DOCS))).collect(), key=lambda r: r.logical_block)]
+    fill = [hashlib.sha256(f"fill{k}".encode()).hexdigest() * (layout.BLOCK // 64) for k in range(3)]
+    blocks = spark.createDataFrame([(i, i, p) for i, p in enumerate(own[:6] + fill + own[6:])], "pos long, live long, payload string")
+    rows = spark.createDataFrame([(0, "".join((own[:6] + fill + own[6:])[: len(own)]), list(range(len(own))))], "header_pos long, content string, positions array<long>").withColumn("v", framed.verdict(F.col("content")))
+    tries = spark.createDataFrame([(0, j, start) for j in (3, 4, 5, 6, 7) for start in range(1, len(own) + 3)], "header_pos long, j int, start long")
+    assert [tuple(r) for r in solve.plausible(rows, tries, blocks).collect()] == [(0, 6, 9)]
+    assert [r.v.validates for r in solve.extend(rows, tries, blocks).collect()] == [True]
