@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 from blockrecover import layout
 from blockrecover.formats import framed
-from blockrecover.operators import solve
+from blockrecover.operators import contiguous, solve
 from blockrecover.operators.recover import Options, recover, recovered_texts
 
 DOCS = "doc_id long, text string"
@@ -86,3 +86,8 @@ def test_only_proposals_that_close_the_open_frame_are_gathered_whole(spark):
     tries = spark.createDataFrame([(0, j, start) for j in (3, 4, 5, 6, 7) for start in range(1, len(own) + 3)], "header_pos long, j int, start long")
     assert [tuple(r) for r in solve.plausible(rows, tries, blocks).collect()] == [(0, 6, 9)]
     assert [r.v.validates for r in solve.extend(rows, tries, blocks).collect()] == [True]
+
+
+def test_ranks_are_taken_from_positions_only_where_these_have_no_holes(spark):
+    at = lambda *xs: contiguous.start_of(spark.createDataFrame([(x,) for x in xs], "pos long"))
+    assert (at(3, 4, 5), at(3, 5), at(3, 3, 5), at()) == (3, None, None, None)
