@@ -7,6 +7,7 @@ from blockrecover import layout
 from blockrecover.formats import framed
 from blockrecover.operators import contiguous, solve
 from blockrecover.operators.recover import Options, recover, recovered_texts
+from blockrecover.session import partitions_for
 
 DOCS = "doc_id long, text string"
 
@@ -91,3 +92,61 @@ def test_only_proposals_that_close_the_open_frame_are_gathered_whole(spark):
 def test_ranks_are_taken_from_positions_only_where_these_have_no_holes(spark):
     at = lambda *xs: contiguous.start_of(spark.createDataFrame([(x,) for x in xs], "pos long"))
     assert (at(3, 4, 5), at(3, 5), at(3, 3, 5), at()) == (3, None, None, None)
+
+
+def test_ranges_are_put_together_where_their_bins_lie(spark):
+    """frg_omit: the blocks of an image were dealt out once to meet their files and once more to be put together."""
+    blocks = spark.range(40).selectExpr("id + 100 as pos", "id as live", "concat('<', id, '>') as payload")
+    wanted = spark.createDataFrame([(1, 0, 3), (2, 3, 8), (3, 8, 21), (4, 30, 30), (5, 22, 24), (6, 38, 44)], "header_pos long, lo long, hi long")
+    rows = lambda df: sorted(map(tuple, df.select("header_pos", "content", "positions").collect()))
+    got = rows(contiguous.gather_once(blocks, wanted, ["header_pos"], width=8))
+    assert got == rows(contiguous.gather(blocks, wanted, ["header_pos"])) and [r[0] for r in got] == [1, 2, 3, 5, 6]
+
+
+def joined_schemas(df):
+    """The schemas of the inputs of all joins of a plan."""
+    todo, out = [df._jdf.queryExecution().optimizedPlan()], []
+    while todo:
+        node = todo.pop()
+        kids = [node.children().apply(i) for i in range(node.children().size())]
+        if node.nodeName() == "Join":
+            out += [k.schema() for k in kids]
+        todo += kids
+    return out
+
+
+def test_blocks_that_start_no_file_do_not_meet_the_headers(spark):
+    image = spark.createDataFrame([(0, f"~H1:0000000001:{0:08d}~"), (1, "x"), (2, "~H1:damaged")], "pos long, payload string")
+    boundary = spark.createDataFrame([("header", 0), ("header", 2)], "kind string, pos long")
+    found = contiguous.spans(image, boundary, image.selectExpr("pos", "pos as live"))
+    assert [tuple(r) for r in found.collect()] == [(0, 0, 1)]
+    # what meets the headers is a length, not a payload
+    assert len(joined_schemas(found)) >= 4 and all(set(s.fieldNames()) <= {"pos", "n", "live"} for s in joined_schemas(found))
+
+
+def test_searches_carry_a_window_and_cuts_are_made_whole_on_demand(spark):
+    text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(200))
+    own = [r.payload for r in sorted(layout.split(layout.framed_files(spark.createDataFrame([(5, text)], DOCS))).collect(), key=lambda r: r.logical_block)]
+    fill = [hashlib.sha256(f"fill{k}".encode()).hexdigest() * (layout.BLOCK // 64) for k in range(2)]
+    # frame 4 lies in blocks 14 to 17: two blocks of filler before block 16
+    blocks = own[:16] + fill + own[16:]
+    rows = spark.createDataFrame([(3, "".join(blocks[: len(own)]), list(range(len(own))))], "header_pos long, content string, positions array<long>").withColumn("v", framed.verdict(F.col("content")))
+    cuts = solve.without_filler(rows)
+    assert "content" not in cuts.columns and max(len(r.win) for r in cuts.collect()) <= (solve.WINDOW + solve.MOST_GAP) * layout.BLOCK
+    whole = {r.header_pos: r for r in solve.cut_contents(rows, cuts).collect()}
+    assert len(whole) == cuts.count() and any(r.content == "".join(own[:-2]) and r.positions == [*range(16), *range(18, len(own))] for r in whole.values())
+    assert all(k // 64 == 3 for k in whole)
+
+
+def test_little_data_has_few_partitions(spark):
+    key = "spark.sql.shuffle.partitions"
+    before = spark.conf.get(key)
+    try:
+        spark.conf.set(key, "200")
+        with partitions_for(spark, 1 << 20) as n:
+            assert n == int(spark.conf.get(key)) == spark.sparkContext.defaultParallelism
+        with partitions_for(spark, 1 << 40) as n:
+            assert n == 200
+        assert spark.conf.get(key) == "200"
+    finally:
+        spark.conf.set(key, before)
