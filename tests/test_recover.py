@@ -7,7 +7,7 @@ from blockrecover import layout
 from blockrecover.formats import framed
 from blockrecover.operators import contiguous, solve
 from blockrecover.operators.recover import Options, recover, recovered_texts
-from blockrecover.session import partitions_for
+from blockrecover.session import partitions_for, settings
 
 DOCS = "doc_id long, text string"
 
@@ -150,3 +150,43 @@ def test_little_data_has_few_partitions(spark):
         assert spark.conf.get(key) == "200"
     finally:
         spark.conf.set(key, before)
+
+
+def test_columns_of_a_search_are_made_once(spark, monkeypatch):
+    """frg_both: each round made the some thousand parts of the same columns anew, each part by calls to the JVM."""
+    rows = spark.createDataFrame([(0, "x", [0])], "header_pos long, content string, positions array<long>").withColumn("v", framed.verdict(F.col("content")))
+    blocks = spark.createDataFrame([(0, 0, "x")], "pos long, live long, payload string")
+    tries = spark.createDataFrame([(0, 1, 0)], "header_pos long, j int, start long")
+    calls, client = [], type(spark.sparkContext._gateway._gateway_client)
+    send = client.send_command
+    monkeypatch.setattr(client, "send_command", lambda self, *a, **b: calls.append(1) or send(self, *a, **b))
+
+    def planned():
+        calls.clear()
+        solve.extend(rows, tries, blocks)
+        return len(calls)
+
+    planned()
+    again = planned()
+    framed.verdict(F.col("content"))  # one of its columns alone
+    assert again < 2 * (len(calls) - again)
+
+
+def test_settings_hold_inside_only(spark):
+    key = "spark.sql.maxPlanStringLength"
+    before = spark.conf.get(key)
+    with settings(spark, maxPlanStringLength="100"):
+        assert spark.conf.get(key) == "100"
+    assert spark.conf.get(key) == before
+
+
+def test_a_content_that_is_no_file_has_no_text(spark):
+    """frg_*: a caller's filter on the texts met contents that did not validate, whose bytes are no UTF-8, and failed."""
+    docs = spark.createDataFrame([(1, "ä" * 40), (2, "")], DOCS)
+    good = layout.framed_files(docs).select("content")
+    body = "//79" * 5
+    bad = f"~H1:0000000003:{len(body):08d}~~D{len(body):06d}:{body}{zlib.crc32(body.encode()):08x}~E1:{'0' * 32}~"
+    rows = good.unionByName(spark.createDataFrame([(bad,), (bad.replace("//79", "*-,;"),)], "content string"))
+    got = recovered_texts(rows).collect()
+    assert sorted((r.doc_id, r.text_sha256) for r in got if r.doc_id < 3) == [(i, hashlib.sha256(t.encode()).hexdigest()) for i, t in ((1, "ä" * 40), (2, ""))]
+    assert [r.text_sha256 for r in got if r.doc_id == 3] == [None, None]
