@@ -1,5 +1,7 @@
 import hashlib
+import os
 import zlib
+from urllib.parse import urlparse
 
 from pyspark.sql import functions as F
 
@@ -7,7 +9,7 @@ from blockrecover import layout
 from blockrecover.formats import framed
 from blockrecover.operators import contiguous, solve
 from blockrecover.operators.recover import Options, recover, recovered_texts
-from blockrecover.session import partitions_for, settings
+from blockrecover.session import partitions_for, settings, snapshot
 
 DOCS = "doc_id long, text string"
 
@@ -190,3 +192,14 @@ def test_a_content_that_is_no_file_has_no_text(spark):
     got = recovered_texts(rows).collect()
     assert sorted((r.doc_id, r.text_sha256) for r in got if r.doc_id < 3) == [(i, hashlib.sha256(t.encode()).hexdigest()) for i, t in ((1, "ä" * 40), (2, ""))]
     assert [r.text_sha256 for r in got if r.doc_id == 3] == [None, None]
+
+
+def test_the_whole_image_goes_when_what_is_left_of_it_is_kept(spark, monkeypatch):
+    """frg_both: a copy of the whole image stayed on disk through all epochs."""
+    made = []
+    monkeypatch.setattr("blockrecover.operators.recover.snapshot", lambda df, name, **kw: made.append((name, snapshot(df, name, **kw))) or made[-1][1])
+    text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(90))
+    out = recover(image_of(spark, {7: text}, [(7, 0), (7, 1)]))
+    assert [r.text_sha256 for r in recovered_texts(out.written).collect()] == [hashlib.sha256(text.encode()).hexdigest()]
+    stays = {name: os.path.exists(urlparse(t.inputFiles()[0]).path) for name, t in made if name in ("image", "live")}
+    assert stays == {"image": False, "live": True}
