@@ -199,7 +199,7 @@ def test_the_whole_image_goes_when_what_is_left_of_it_is_kept(spark, monkeypatch
     made = []
     monkeypatch.setattr("blockrecover.operators.recover.snapshot", lambda df, name, **kw: made.append((name, snapshot(df, name, **kw))) or made[-1][1])
     text = " ".join(hashlib.md5(str(i).encode()).hexdigest() for i in range(90))
-    out = recover(image_of(spark, {7: text}, [(7, 0), (7, 1)]))
+    out = recover(image_of(spark, {7: text}, [(7, 0), (7, 1), (7, 2)]))
     assert [r.text_sha256 for r in recovered_texts(out.written).collect()] == [hashlib.sha256(text.encode()).hexdigest()]
     stays = {name: os.path.exists(urlparse(t.inputFiles()[0]).path) for name, t in made if name in ("image", "live")}
     assert stays == {"image": False, "live": True}
